@@ -2,14 +2,16 @@
 
 from __future__ import annotations
 
-from rangekeep.llm import line_dedup, mixing, quality, secrets, toxicity, url_filter
+from rangekeep.llm import lattice, line_dedup, mixing, ngram_join, quality, secrets, toxicity, url_filter
 
 QUERIES = {
     "op1_toxicity": toxicity.query,
+    "op2_ngram_join": ngram_join.query,
     "op4_quality": quality.query,
     "op6_mixing": mixing.query,
     "op7_secrets": secrets.query,
     "op8_url_filter": url_filter.query,
+    "op9_lattice": lattice.query,
     "op10_line_dedup": line_dedup.query,
 }
 SQL = {"op6_mixing": mixing.SQL, "op10_line_dedup": line_dedup.SQL}

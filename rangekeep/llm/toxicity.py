@@ -143,19 +143,19 @@ def _distinct_features(bits: int):
     return run
 
 
+def sample(labels: DataFrame, key: str = "doc_id", most: int = MOST_TRAIN) -> DataFrame:
+    """At most `most` rows of labels, those first by a hash of their key; the same for the same rows."""
+    return labels.withColumn("__k", F.xxhash64(F.lit("toxicity"), F.col(key))).orderBy("__k", *labels.columns).limit(most).drop("__k")
+
+
 def fit(labelled: DataFrame, text: str = "text", label: str = "label", key: str = "doc_id", most: int = MOST_TRAIN, bits: int = BITS, **how) -> Model:
-    """A model from at most `most` rows of labelled, those first by a hash of their key; null labels are left out.
+    """A model from labelled rows, in the order of a hash of their key; null labels are left out.
 
-    What reaches the driver is bounded by that number of rows; the sample is the same for the same rows.
+    Their features go to the driver, so labelled comes from sample(), which bounds it; beyond `most` rows none counts.
     """
     rows = labelled.where(F.col(label).isNotNull()).select(
         F.xxhash64(F.lit("toxicity"), F.col(key)).alias("k"), F.coalesce(F.col(text), F.lit("")).cast("binary").alias("t"), F.col(label).cast("int").alias("label")
     )
-    total = rows.count()
-    if total > most:
-        # the cut is drawn a little wide and made exact by the sort over hashes alone
-        share = min(1.0, 1.2 * most / total + 100 / total)
-        rows = rows.where(F.pmod(F.col("k"), F.lit(1 << 30)) < int(share * (1 << 30)))
     got = rows.mapInArrow(_distinct_features(bits), "k long, label int, gram array<int>").toArrow()
     order = np.argsort(np.asarray(got.column("k")), kind="stable")[:most]
     grams, y = got.column("gram").combine_chunks(), np.asarray(got.column("label"))[order]
@@ -200,6 +200,6 @@ def query(spark, sf_dir: str) -> DataFrame:
     docs = table(spark, sf_dir, "documents").select("doc_id", "text")
     held = F.pmod(F.crc32(F.col("doc_id").cast("string").cast("binary")), F.lit(4)) == 2
     labels = table(spark, sf_dir, "labels").select("doc_id", F.col("toxic").alias("label"))
-    model = fit(docs.join(labels.where(~held), "doc_id"))
+    model = fit(docs.join(F.broadcast(sample(labels.where(~held & F.col("label").isNotNull()))), "doc_id"))
     out = score(docs, model, columns=["doc_id"])
     return out.select("doc_id", F.coalesce(held, F.lit(False)).alias("held_out"), "score", "predicted")
