@@ -15,7 +15,7 @@ from __future__ import annotations
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
-from rangekeep.llm._shared import lower_az, small
+from rangekeep.llm._shared import keep, lower_az, small
 
 LEAST_CHARS, LEAST_DOCS = 20, 3
 
@@ -33,7 +33,7 @@ def drop_shared_lines(docs: DataFrame, text: str = "text", key_col: str = "doc_i
     held = docs.select(F.col(key_col).alias("__id"), F.posexplode(lines(F.col(text))).alias("__at", "__line")).where(F.col("__id").isNotNull())
     held = held.withColumn("__key", key(F.col("__line"))).where(F.length("__key") >= least_chars)
     held = held.select("__id", "__at", F.xxhash64("__key").alias("__h1"), F.xxhash64(F.lit("again"), "__key").alias("__h2"))
-    shared = (
+    shared = keep(
         held.groupBy("__h1", "__h2", "__id").agg(F.lit(1).alias("one"))
         .groupBy("__h1", "__h2").agg(F.count("*").alias("n"), F.max("__id").alias("__stays"))
         .where(F.col("n") >= least_docs).select("__h1", "__h2", "__stays")
