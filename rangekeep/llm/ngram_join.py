@@ -11,12 +11,13 @@ blocks, so at least one block of two linked texts is equal. A block is a very wi
 the exclusive or of a random word for each toggled bit stands for it. Only non-empty blocks say much, so a text sends
 the d + 1 of them that come first in one global order (its non-empty blocks less those it may share is at most d);
 the rare texts that have no more than d non-empty blocks send their empty ones too, which meet only each other.
-A text whose partners may lie in the next band sends blocks of that band as well. Another, short sketch of 256 bits
+A text whose partners may lie in the next band sends blocks of that band as well. Another, short sketch of 1024 bits
 drops most chance meetings, and whole shingle sets verify the rest.
 
-Groups: equal sets are folded first. In a bucket, every set is verified against the first and the last alone; only
-sets of one bucket that are not connected after that are held against each other, so that no link between different
-components is lost and a group of many near copies costs a multiple of its size.
+Groups: equal sets are folded first. In a bucket, every set is verified against the first and the last alone, then,
+where that leaves several components, against one more drawn anew for each bucket. Only sets of one bucket that are
+not connected after that are held against each other, so that no link between different components is lost and a
+group of many near copies costs a multiple of its size.
 
 Nulls: a null text is empty; rows with a null id come back with a null component. An id
 is taken to name one text; rows that share an id come back each with the component of its own set. An empty table gives an empty result. Extra columns are left out.
@@ -34,7 +35,9 @@ from rangekeep.llm._graph import components
 from rangekeep.llm._shared import forget, keep, pieces, small
 
 GROWTH = 1.5
-SKETCH = 256
+SKETCH = 1024
+PARTS = [f"k{i}" for i in range(SKETCH // 64)]
+ROUNDS = 2
 _C1, _C2 = np.uint64(0xBF58476D1CE4E5B9), np.uint64(0x94D049BB133111EB)
 
 
@@ -109,7 +112,7 @@ def blocks(s: np.ndarray, num: int, den: int, edges: list[tuple[int, int]]) -> n
 
 
 def fingerprint(s: np.ndarray) -> list[int]:
-    """Two 64-bit hashes of the set and its short parity sketch as four words."""
+    """Two 64-bit hashes of the set and its short parity sketch in words of 64 bits."""
     h = _mix(s, 0x5E7)
     bits = np.bincount((h % np.uint64(SKETCH)).astype(np.int64), minlength=SKETCH) & 1
     sketch = np.packbits(bits.astype(np.uint8)).view(np.int64)
@@ -124,9 +127,9 @@ def _fingerprints(k: int):
             rows = []
             for t in b.column(1):
                 s = shingles(t.as_py(), k, known)
-                rows.append([len(s), *(fingerprint(s) if len(s) else [0] * 6)])
-            cols = np.array(rows, np.int64).reshape(-1, 7).T
-            yield pa.RecordBatch.from_arrays([b.column(0), *[pa.array(c) for c in cols]], ["id", "n", "s1", "s2", "k0", "k1", "k2", "k3"])
+                rows.append([len(s), *(fingerprint(s) if len(s) else [0] * (2 + len(PARTS)))])
+            cols = np.array(rows, np.int64).reshape(-1, 3 + len(PARTS)).T
+            yield pa.RecordBatch.from_arrays([b.column(0), *[pa.array(c) for c in cols]], ["id", "n", "s1", "s2", *PARTS])
 
     return run
 
@@ -184,7 +187,7 @@ def _verified(k: int, num: int, den: int):
 def _near(x: str, y: str, num: int, den: int) -> Column:
     """Sizes and short sketches of two sets allow a link."""
     m, n = F.col(f"{x}n"), F.col(f"{y}n")
-    apart = sum((F.bit_count(F.col(f"{x}k{i}").bitwiseXOR(F.col(f"{y}k{i}"))) for i in range(4)), F.lit(0))
+    apart = sum((F.bit_count(F.col(f"{x}k{i}").bitwiseXOR(F.col(f"{y}k{i}"))) for i in range(len(PARTS))), F.lit(0))
     return (den * F.least(m, n) >= num * F.greatest(m, n)) & (apart * (den + num) <= (m + n) * (den - num))
 
 
@@ -196,9 +199,9 @@ def link(docs: DataFrame, text: str = "text", key: str = "doc_id", k: int = 5, n
     """(key, n_shingles, component_id) for every row of docs; see the module for what links."""
     rows = docs.select(F.col(key).alias("id"), F.col(text).cast("binary").alias("t"))
     kind = docs.schema[key].dataType.simpleString()
-    marks = keep(rows.mapInArrow(_fingerprints(k), f"id {kind}, n long, s1 long, s2 long, k0 long, k1 long, k2 long, k3 long"))
+    marks = keep(rows.mapInArrow(_fingerprints(k), f"id {kind}, n long, s1 long, s2 long, " + ", ".join(f"{c} long" for c in PARTS)))
     real = marks.where(F.col("id").isNotNull() & (F.col("n") > 0))
-    firsts = [F.first(c).alias(c) for c in ("n", "k0", "k1", "k2", "k3")]
+    firsts = [F.first(c).alias(c) for c in ("n", *PARTS)]
     sets = keep(real.groupBy("s1", "s2").agg(F.min("id").alias("rep"), *firsts))
 
     # buckets: every block that two different sets sent, with the first and last of them
@@ -208,26 +211,37 @@ def link(docs: DataFrame, text: str = "text", key: str = "doc_id", k: int = 5, n
     met = keep(met.distinct())
     ends = met.select(F.explode(F.array(F.struct(F.col("lo").alias("x"), F.col("s1").alias("y")), F.struct(F.col("s1").alias("x"), F.col("hi").alias("y")))).alias("p"))
     stars = ends.select("p.x", "p.y").where("x < y").distinct()
-    lean = sets.select("s1", "rep", "n", "k0", "k1", "k2", "k3")
+    lean = sets.select("s1", "rep", "n", *PARTS)
     tested = stars.join(_as(lean, "a_"), F.col("x") == F.col("a_s1")).join(_as(lean, "b_"), F.col("y") == F.col("b_s1")).where(_near("a_", "b_", num, den))
-    tested = keep(tested.select(F.least("a_rep", "b_rep").alias("a"), F.greatest("a_rep", "b_rep").alias("b")).where("a < b").distinct())
+    tested = keep(_ordered(tested))
     links = keep(verify(rows, tested, k, num, den))
     joined = components(links)
 
-    # what the first and last of a bucket have not connected is compared within the bucket
-    names = lean.join(joined, F.col("rep") == F.col("node"), "left").select("s1", "rep", "n", "k0", "k1", "k2", "k3", F.coalesce("component", "rep").alias("c"))
-    open_ = met.select("key", "s1").join(names, "s1").drop("s1")
-    apart = open_.groupBy("key").agg(F.min("c").alias("c_lo"), F.max("c").alias("c_hi")).where("c_lo < c_hi").select("key")
-    open_ = keep(open_.join(apart, "key", "left_semi"))
+    # sets that one bucket holds and nothing connects: first each against one of its bucket, another in every bucket
+    for turn in range(ROUNDS):
+        open_ = _open(met, lean, joined)
+        draw = F.struct(F.xxhash64(F.lit(turn), "key", "rep").alias("h"), *[c for c in open_.columns if c != "key"])
+        centres = _as(open_.groupBy("key").agg(F.min(draw).alias("m")).select("key", "m.*").drop("h"), "a_")
+        pairs = centres.join(_as(open_, "b_"), (F.col("a_key") == F.col("b_key")) & (F.col("a_c") != F.col("b_c")) & _near("a_", "b_", num, den))
+        fresh = keep(_ordered(pairs).join(tested, ["a", "b"], "left_anti"))
+        forget(open_)
+        more = keep(verify(rows, fresh, k, num, den))
+        tested = tested.unionByName(fresh)
+        if not more.limit(1).count():
+            break
+        links = links.unionByName(more)
+        forget(joined)
+        joined = components(links)
+
+    # then all that are left: what is linked in another way shares a component by now
+    open_ = _open(met, lean, joined)
     cross = _as(open_, "a_").join(_as(open_, "b_"), (F.col("a_key") == F.col("b_key")) & (F.col("a_c") < F.col("b_c")) & _near("a_", "b_", num, den))
-    more = cross.select(F.least("a_rep", "b_rep").alias("a"), F.greatest("a_rep", "b_rep").alias("b")).distinct().join(tested, ["a", "b"], "left_anti")
-    more = keep(more)
-    late = keep(verify(rows, more, k, num, den))
+    fresh = keep(_ordered(cross).join(tested, ["a", "b"], "left_anti"))
+    late = keep(verify(rows, fresh, k, num, den))
     if late.limit(1).count():
-        again = components(links.union(late))
         forget(joined)
-        joined = again
-    forget(met, tested, open_, more)
+        joined = components(links.unionByName(late))
+    forget(met, open_)
 
     at = sets.join(joined, F.col("rep") == F.col("node"), "left").select("s1", "s2", F.coalesce("component", "rep").alias("component_id"))
     out = marks.join(at, ["s1", "s2"], "left")
@@ -235,6 +249,19 @@ def link(docs: DataFrame, text: str = "text", key: str = "doc_id", k: int = 5, n
     return out.select(F.col("id").alias(key), F.col("n").alias("n_shingles"), lone.alias("component_id"))
 
 
+def _ordered(pairs: DataFrame) -> DataFrame:
+    return pairs.select(F.least("a_rep", "b_rep").alias("a"), F.greatest("a_rep", "b_rep").alias("b")).where("a < b").distinct()
+
+
+def _open(met: DataFrame, lean: DataFrame, joined: DataFrame) -> DataFrame:
+    """(key, rep, n, sketch, c) of the buckets whose sets are not all in one component c."""
+    names = lean.join(joined, F.col("rep") == F.col("node"), "left").select("s1", "rep", "n", *PARTS, F.coalesce("component", "rep").alias("c"))
+    label = names.select("s1", "c")
+    held = met.select("key", "s1").join(label, "s1")
+    apart = held.groupBy("key").agg(F.min("c").alias("lo"), F.max("c").alias("hi")).where("lo < hi").select("key")
+    return keep(held.join(apart, "key", "left_semi").select("key", "s1").join(names, "s1").drop("s1"))
+
+
 def verify(rows: DataFrame, pairs: DataFrame, k: int, num: int, den: int) -> DataFrame:
     """The pairs (a, b) of rows (id, t) that link, by their whole shingle sets."""
     needed = pairs.select(F.explode(F.array("a", "b")).alias("id")).distinct()
