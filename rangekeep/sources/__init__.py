@@ -1,0 +1,15 @@
+"""Readers of the given tables."""
+
+from __future__ import annotations
+
+from pyspark.sql import DataFrame, SparkSession
+
+
+def table(spark: SparkSession, sf_dir: str, name: str) -> DataFrame:
+    return spark.read.parquet(f"{sf_dir}/{name}.parquet")
+
+
+def views(spark: SparkSession, sf_dir: str, *names: str) -> None:
+    """Temporary views of the named tables, for SQL text."""
+    for n in names:
+        table(spark, sf_dir, n).createOrReplaceTempView(n)
