@@ -156,7 +156,7 @@ class Hierarchy:
 
 def draw_guide(keys: DataFrame, size: int, kind: str, columns: list[str], seed: int) -> tuple[DataFrame, float]:
     """(guide rows with hk, units, columns and mass weight w, its threshold)."""
-    cols = ["hk", "units", *columns]
+    cols = list(dict.fromkeys(["hk", "units", *columns]))
     if kind == "poisson":
         th = threshold(keys, size)
         inc = with_inclusion(keys, th.tau)
@@ -215,7 +215,8 @@ def two_pass(keys: DataFrame, s: int, structure, guide_factor: float | str = 5,
     # a guide key stands for as much mass as the keys it was drawn from
     mass = np.maximum(np.asarray(t.column("units"), np.float64), tau_g) / th.tau
     structure = structure.fit([_values(t.column(c)) for c in structure.columns], mass)
-    light = inc.where(~F.col("is_heavy") & (F.col("ticks") > 0)).select("hk", "ticks", uniform(f"{stage}-cell", seed, "hk").alias("u"), *structure.columns)
+    at = [F.col(c).alias(f"at{i}") for i, c in enumerate(structure.columns)]
+    light = inc.where(~F.col("is_heavy") & (F.col("ticks") > 0)).select("hk", "ticks", uniform(f"{stage}-cell", seed, "hk").alias("u"), *at)
     passed = keep(light.mapInArrow(_cell_pass(structure, len(structure.columns)), "hk string, cell long, ticks long"))
     sure = passed.where(F.col("ticks") == UNIT).select("hk")
     got, left = chain(passed.where(F.col("ticks") < UNIT), ["cell"], [], f"{stage}-merge", seed)

@@ -1,22 +1,14 @@
 """Queries of the sampling engine, by name, and their DuckDB twins."""
 
-FLAGSHIP = "scan_prune"
+from rangekeep.plans import product_queries, sampling_queries
 
-
-def _scan_prune(spark, sf_dir):
-    from pyspark.sql import functions as F
-
-    return (
-        spark.read.parquet(f"{sf_dir}/lineitem.parquet")
-        .where(F.col("l_returnflag") == "R")
-        .groupBy("l_linestatus")
-        .agg(F.count("*").alias("n"))
-    )
+FLAGSHIP = "flagship_monthly"
+PARTS = (sampling_queries, product_queries)
 
 
 def queries():
-    return {"scan_prune": _scan_prune}
+    return {n: f for part in PARTS for n, f in part.queries().items()}
 
 
 def oracle_sql():
-    return {"scan_prune": "SELECT l_linestatus, count(*) AS n FROM lineitem WHERE l_returnflag = 'R' GROUP BY 1"}
+    return {n: q for part in PARTS for n, q in part.oracle_sql().items()}
