@@ -7,6 +7,7 @@ import random
 import numpy as np
 
 from rangekeep.functions import UNIT
+from rangekeep.operators.ipps import local_threshold
 
 
 def chain(group: np.ndarray, t: np.ndarray, u: np.ndarray) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
@@ -84,3 +85,18 @@ def replay(masses: list, rounds: list[tuple[int, int, str]], unit=1) -> list[lis
         p[i], p[j] = (low, high) if who == "first" else (high, low)
         states.append(list(p))
     return states
+
+
+def shrink(adjusted: np.ndarray, s: int, u: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
+    """(kept row numbers, their adjusted weights): s of the rows, blind to structure; all rows if they are no more than s."""
+    n = len(adjusted)
+    if n <= s:
+        return np.arange(n), adjusted
+    tau = local_threshold(adjusted, float(adjusted.sum()), s)
+    t = np.floor(np.minimum(1.0, adjusted / tau) * UNIT + 0.5).astype(np.int64)
+    heavy, light = np.flatnonzero(t >= UNIT), np.flatnonzero((t > 0) & (t < UNIT))
+    light = light[np.argsort(u[light], kind="stable")]
+    # the order is by u, so the draws turn it by half to stay apart from it
+    got, left, mass = chain(np.zeros(len(light), np.int64), t[light], (u[light] * 7919.0) % 1.0)
+    rows = np.concatenate([heavy, light[got], light[left[:1]] if len(left) and mass[0] * 2 >= UNIT else light[:0]])
+    return rows, np.maximum(adjusted[rows], tau)

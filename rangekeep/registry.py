@@ -1,9 +1,9 @@
 """Queries of the sampling engine, by name, and their DuckDB twins."""
 
-from rangekeep.plans import product_queries, sampling_queries
+from rangekeep.plans import operator_queries, product_queries, sampling_queries, stream_queries
 
 FLAGSHIP = "flagship_monthly"
-PARTS = (sampling_queries, product_queries)
+PARTS = (sampling_queries, product_queries, operator_queries, stream_queries)
 
 
 def queries():
