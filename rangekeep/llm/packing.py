@@ -64,8 +64,15 @@ def pack(docs: DataFrame, text: str = "text", key: str = "doc_id", length: Colum
     counted = keep(rows.groupBy(cell(F.col("n_tokens")).alias("cell"), F.col("__shard").alias("shard")).count())
     histogram = counted.groupBy("cell").agg(F.sum("count").alias("n")).orderBy("cell").collect()
     edges = boundaries([r.cell for r in histogram], [r.n for r in histogram], buckets)
-    ends = F.array(*[F.lit(e) for e in edges]).cast("array<bigint>")
-    of = lambda c: F.get(F.filter(ends, lambda e: e >= c), F.lit(0))
+    edges = edges or [1]
+
+    def of(c: Column) -> Column:
+        # no lambda: there, a costly length would be computed anew for every boundary
+        out = F.lit(edges[-1]).cast("bigint")
+        for e in reversed(edges[:-1]):
+            out = F.when(c <= e, F.lit(e).cast("bigint")).otherwise(out)
+        return out
+
     parts = counted.groupBy(of(F.col("cell")).alias("__bucket"), F.col("shard").alias("__at")).agg(F.sum("count").alias("n"))
     before = Window.partitionBy("__bucket").orderBy("__at").rowsBetween(Window.unboundedPreceding, -1)
     starts = parts.select("__bucket", "__at", F.coalesce(F.sum("n").over(before), F.lit(0)).alias("__start"))
