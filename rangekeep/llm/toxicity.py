@@ -108,7 +108,9 @@ def learn(rows: list[np.ndarray], labels: np.ndarray, bits: int = BITS, alpha=0.
     share = float(labels.mean()) if len(labels) else 0.0
     if not len(labels) or share in (0.0, 1.0):
         return Model(np.zeros(0, np.int64), np.zeros(0), float(np.log((share + 1e-9) / (1 - share + 1e-9))), bits)
-    df = np.bincount(np.concatenate(rows), minlength=1 << bits)
+    df = np.zeros(1 << bits, np.int32)
+    for r in rows:
+        df[r] += 1  # a row's features are distinct
     rows = [r[df[r] >= least_df] for r in rows]
     z, n, w = np.zeros(1 << bits), np.zeros(1 << bits), np.zeros(1 << bits)
     bias, bias_n = float(np.log(share / (1 - share))), 0.0
@@ -151,18 +153,34 @@ def sample(labels: DataFrame, key: str = "doc_id", most: int = MOST_TRAIN) -> Da
 def fit(labelled: DataFrame, text: str = "text", label: str = "label", key: str = "doc_id", most: int = MOST_TRAIN, bits: int = BITS, **how) -> Model:
     """A model from labelled rows, in the order of a hash of their key; null labels are left out.
 
-    Their features go to the driver, so labelled comes from sample(), which bounds it; beyond `most` rows none counts.
+    One task learns, so labelled comes from sample(), which bounds it; beyond `most` rows none counts. Only the sparse
+    weights reach the driver.
     """
     rows = labelled.where(F.col(label).isNotNull()).select(
         F.xxhash64(F.lit("toxicity"), F.col(key)).alias("k"), F.coalesce(F.col(text), F.lit("")).cast("binary").alias("t"), F.col(label).cast("int").alias("label")
     )
-    got = rows.mapInArrow(_distinct_features(bits), "k long, label int, gram array<int>").toArrow()
-    order = np.argsort(np.asarray(got.column("k")), kind="stable")[:most]
-    grams, y = got.column("gram").combine_chunks(), np.asarray(got.column("label"))[order]
-    if isinstance(grams, pa.ChunkedArray):
-        grams = pa.concat_arrays(grams.chunks) if grams.num_chunks else pa.array([], pa.list_(pa.int32()))
-    ends, flat = np.asarray(grams.offsets), np.asarray(grams.values)
-    return learn([flat[ends[i] : ends[i + 1]].astype(np.int64) for i in order], (y > 0).astype(float), bits, **how)
+    grams = rows.mapInArrow(_distinct_features(bits), "k long, label int, gram array<int>")
+    one = grams.repartition(1).sortWithinPartitions("k", "label").mapInArrow(_learner(most, bits, how), "at array<int>, weight array<double>, bias double")
+    got = one.first()
+    if got is None:
+        return learn([], np.zeros(0), bits)
+    return Model(np.array(got["at"], np.int64), np.array(got["weight"]), got["bias"], bits)
+
+
+def _learner(most: int, bits: int, how: dict):
+    """One task learns from the bounded sample, away from the driver's memory; a lost executor means that it is done again."""
+
+    def run(batches):
+        rows, y = [], []
+        for b in batches:
+            lists = b.column(2)
+            ends, flat = np.asarray(lists.offsets), np.asarray(lists.values)
+            rows += [flat[ends[i] : ends[i + 1]].copy() for i in range(b.num_rows)][: most - len(rows)]
+            y += b.column(1).to_pylist()
+        m = learn(rows, np.array(y[: len(rows)], float).clip(0, 1), bits, **how)
+        yield pa.RecordBatch.from_arrays([pa.array([m.at.astype(np.int32)], pa.list_(pa.int32())), pa.array([m.weight], pa.list_(pa.float64())), pa.array([m.bias])], ["at", "weight", "bias"])
+
+    return run
 
 
 def score_texts(texts: list[bytes | None], model: Model, weights: np.ndarray, vocabulary: Vocabulary) -> np.ndarray:
