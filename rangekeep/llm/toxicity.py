@@ -31,27 +31,24 @@ THRESHOLD = 0.3
 class Vocabulary(dict):
     """Word -> row in a table of hashes (word, four-letter stem, five-letter stem); forgets all when it is full."""
 
-    def __init__(self, most: int = 400_000):
-        self.most, self.rows = most, []
+    def __init__(self, most: int = 100_000):
+        self.most, self.fresh, self.table = most, [], np.zeros((0, 3), np.uint64)
 
     def __missing__(self, word: str) -> int:
         h = xxhash.xxh3_64_intdigest
-        self.rows.append((h(word), h("4" + word[:4]), h("5" + word[:5])))
-        self[word] = n = len(self.rows) - 1
+        self.fresh.append((h(word), h("4" + word[:4]), h("5" + word[:5])))
+        self[word] = n = len(self.table) + len(self.fresh) - 1
         return n
 
     def ids(self, found: list[str]) -> tuple[np.ndarray, np.ndarray]:
-        if len(self.rows) > self.most:
+        if len(self) > self.most:
             self.clear()
-            self.rows.clear()
-            self.table = None
+            self.table = self.table[:0]
         ids = np.fromiter(map(self.__getitem__, found), np.int64, len(found))
-        old = getattr(self, "table", None)
-        n = 0 if old is None else len(old)
-        if len(self.rows) > n:
-            fresh = np.array(self.rows[n:], np.uint64)
-            self.table = fresh if old is None else np.concatenate([old, fresh])
-        return ids, self.table if self.rows else np.zeros((0, 3), np.uint64)
+        if self.fresh:
+            self.table = np.concatenate([self.table, np.array(self.fresh, np.uint64)])
+            self.fresh = []
+        return ids, self.table
 
 
 def features(texts: list[bytes | None], vocabulary: Vocabulary, bits: int = BITS) -> tuple[np.ndarray, np.ndarray]:
@@ -111,7 +108,8 @@ def learn(rows: list[np.ndarray], labels: np.ndarray, bits: int = BITS, alpha=0.
     df = np.zeros(1 << bits, np.int32)
     for r in rows:
         df[r] += 1  # a row's features are distinct
-    rows = [r[df[r] >= least_df] for r in rows]
+    for i, r in enumerate(rows):
+        rows[i] = r[df[r] >= least_df]
     z, n, w = np.zeros(1 << bits), np.zeros(1 << bits), np.zeros(1 << bits)
     bias, bias_n = float(np.log(share / (1 - share))), 0.0
     for _ in range(epochs):
@@ -134,7 +132,7 @@ def _distinct_features(bits: int):
         vocabulary = Vocabulary()
         for b in batches:
             texts = b.column(1).to_pylist()
-            for lo, hi in pieces(texts):
+            for lo, hi in pieces(texts, 1_000_000):
                 doc, gram = features(texts[lo:hi], vocabulary, bits)
                 both = _distinct((doc << bits) | gram)
                 doc, gram = both >> bits, (both & ((1 << bits) - 1)).astype(np.int32)
@@ -175,7 +173,7 @@ def _learner(most: int, bits: int, how: dict):
         for b in batches:
             lists = b.column(2)
             ends, flat = np.asarray(lists.offsets), np.asarray(lists.values)
-            rows += [flat[ends[i] : ends[i + 1]].copy() for i in range(b.num_rows)][: most - len(rows)]
+            rows += [flat[ends[i] : ends[i + 1]] for i in range(b.num_rows)][: most - len(rows)]
             y += b.column(1).to_pylist()
         m = learn(rows, np.array(y[: len(rows)], float).clip(0, 1), bits, **how)
         yield pa.RecordBatch.from_arrays([pa.array([m.at.astype(np.int32)], pa.list_(pa.int32())), pa.array([m.weight], pa.list_(pa.float64())), pa.array([m.bias])], ["at", "weight", "bias"])
@@ -185,7 +183,7 @@ def _learner(most: int, bits: int, how: dict):
 
 def score_texts(texts: list[bytes | None], model: Model, weights: np.ndarray, vocabulary: Vocabulary) -> np.ndarray:
     out = np.zeros(len(texts))
-    for lo, hi in pieces(texts):
+    for lo, hi in pieces(texts, 1_000_000):
         doc, gram = features(texts[lo:hi], vocabulary, model.bits)
         hit = weights[gram] != 0
         both = _distinct((doc[hit] << model.bits) | gram[hit])
