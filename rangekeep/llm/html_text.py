@@ -3,7 +3,7 @@
 Every page is read into blocks of text and containers, each a run of blocks with a path of generalised tags and
 classes (digits dropped). A container's score is the share of the page's plain text that it holds, times the share of
 its own text that is plain (neither a link nor part of a menu, footer, advert and the like), raised where its name
-says article or content. Pages send their best paths, Spark adds the votes up per host, and each page is read again
+says article or content. Every page votes for its best path with its score, Spark adds the votes up per host, and each page is read again
 with the path that its host agrees on; a page that lacks it uses its own best container.
 
 White space inside a block becomes one space, blocks are trimmed and joined by \\n in page order, character references
@@ -49,7 +49,9 @@ ASIDE = frozenset((
 ))
 REMARKS = frozenset(("comment", "comments", "reply", "replies"))
 GOOD = frozenset(("article", "content", "post", "entry", "story", "main", "text", "body"))
-VOTES_OF_A_PAGE = 3
+VOTES_OF_A_PAGE = 1
+#: A container with this share of a page's plain text has enough: a wider one around it scores no more, and the deeper wins.
+ENOUGH = 0.9
 
 
 def _words(value: str) -> list[str]:
@@ -203,7 +205,8 @@ class Page:
         for _, start, end, depth, words in self.containers:
             mine, rest = plain[end] - plain[start], other[end] - other[start]
             raised = 1.25 if words & GOOD else 1.0
-            out.append(int(1000 * raised * mine / max(1, plain[-1]) * mine / max(1, mine + rest)) + min(depth, 9) if mine else 0)
+            held = min(1.0, mine / max(1, plain[-1]) / ENOUGH)
+            out.append(int(1000 * raised * held * mine / max(1, mine + rest)) + min(depth, 9) if mine else 0)
         for i, (path, *_) in enumerate(self.containers):
             if out[i] and path.rpartition(">")[2].split(".")[0] in ("article", "main"):
                 out[i] = int(out[i] * 1.25)
