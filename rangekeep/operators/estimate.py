@@ -101,6 +101,15 @@ def estimate_boxes(summary: Summary, boxes: DataFrame, x: str, y: str) -> DataFr
     return boxes.select("query_id").distinct().join(sums, "query_id", "left").select("query_id", F.coalesce("e", F.lit(0.0)).alias("est"))
 
 
+def union_estimate(parts: list[Summary], predicate: Column | str | None = None) -> DataFrame:
+    """One row: the sum of several summaries' estimates; their errors are independent, so they add like square roots."""
+    rows = None
+    for p in parts:
+        e = estimate(p, predicate)
+        rows = e if rows is None else rows.unionByName(e)
+    return rows.agg(F.sum("est").alias("est"), F.sum("n_keys").alias("n_keys"))
+
+
 def merge(parts: list[Summary], s: int, sampler=varopt, **how) -> Summary:
     """One summary of size s from several over disjoint key sets: their adjusted weights are sampled again."""
     rows = None

@@ -384,6 +384,67 @@ def _(spark, d):
     return spark.createDataFrame([(300, bool(r[300]["aware"] < r[300]["oblivious"]))], "s int, aware_is_better boolean")
 
 
+# replicates and costs
+SEEDS = 20
+_REPLICATES = f"""WITH {key_set_sql('docs')},{threshold_sql('k', 100)}, i AS (SELECT k.*, least(1.0::DOUBLE, units / tau) AS p, tau FROM k, th WHERE units > 0), r AS (SELECT unnest(range(1, {SEEDS + 1})) AS seed),
+d AS (SELECT seed, source, greatest(units::DOUBLE, tau) AS a FROM i, r WHERE units >= tau OR ('0x' || substr(md5('poisson|' || seed || '|' || hk), 1, 13))::BIGINT / 4503599627370496.0::DOUBLE < p)"""
+
+
+def replicates(spark, d, s=100):
+    """(seed, source, adj_weight): Poisson samples of every seed at once, a row for each seed and sampled key."""
+    k = key_set(spark, d, "docs")
+    th = threshold(k, s)
+    rows = k.where("units > 0").withColumn("seed", F.explode(F.sequence(F.lit(1), F.lit(SEEDS))))
+    u = F.conv(F.substring(F.md5(F.concat_ws("|", F.lit("poisson"), F.col("seed").cast("string"), "hk")), 1, 13), 16, 10).cast("bigint") / float(1 << 52)
+    hit = (F.col("units") >= F.lit(th.tau)) | (u < F.least(F.lit(1.0), F.col("units") / F.lit(th.tau)))
+    return rows.where(hit).select("seed", "source", F.greatest(F.col("units").cast("double"), F.lit(th.tau)).alias("adj_weight"))
+
+
+@query("size_spread", _REPLICATES + ", n AS (SELECT seed, count(*) AS n FROM d GROUP BY 1) SELECT min(n) AS least, round(avg(n), 6) AS mean, max(n) AS most, round(stddev_samp(n), 6) AS sd FROM n")
+def _(spark, d):
+    r = M.size_spread(replicates(spark, d).groupBy("seed").agg(F.count("*").alias("n")))
+    return r.select("least", F.round("mean", 6).alias("mean"), "most", F.round("sd", 6).alias("sd"))
+
+
+@query("variance_by_source", _REPLICATES + ", e AS (SELECT source, seed, sum(a) AS e FROM d GROUP BY 1, 2) SELECT source, round(avg(e), 2) AS mean, round(sqrt(var_samp(e)), 2) AS sd, count(*) AS replicates FROM e GROUP BY 1")
+def _(spark, d):
+    e = replicates(spark, d).groupBy("source", "seed").agg(F.sum("adj_weight").alias("e"))
+    return M.variance_report(e, ["source"], "e").select("source", F.round("mean", 2).alias("mean"), F.round(F.sqrt("variance"), 2).alias("sd"), "replicates")
+
+
+@query("boundary_cells", f"""WITH {W.values(SMALL_BOXES)}, c AS (SELECT x * 16 AS x0, x * 16 + 16 AS x1, y * 8 AS y0, y * 8 + 8 AS y1 FROM (SELECT unnest(range(16)) AS x), (SELECT unnest(range(8)) AS y))
+SELECT query_id::INT AS query_id, rect_id::INT AS rect_id, count(*) FILTER (x0 < x_hi AND x_lo < x1 AND y0 < y_hi AND y_lo < y1 AND NOT (x0 >= x_lo AND x1 <= x_hi AND y0 >= y_lo AND y1 <= y_hi)) AS cut FROM boxes, c GROUP BY 1, 2""")
+def _(spark, d):
+    x, y = F.floor(F.col("id") / 8) * 16, (F.col("id") % 8) * 8
+    cells = spark.range(128).select(x.alias("x0"), (x + 16).alias("x1"), y.alias("y0"), (y + 8).alias("y1"))
+    return M.boundary_cells(cells, W.frame(spark, SMALL_BOXES))
+
+
+def _report(name, make):
+    """An experiment as rows (setting, method, value), for reading; its values hang on draws, so rows only."""
+
+    def run(spark, d):
+        rows = [(str(k), m, float(v)) for k, r in make(spark, d).items() for m, v in r.items()]
+        return spark.createDataFrame(rows, "setting string, method string, value double")
+
+    query(name)(run)
+
+
+def _experiments():
+    from rangekeep.plans import experiments as X
+
+    blind = ("aware", "oblivious")
+    _report("acc_vs_size", lambda s, d: X.error_vs_size(s, d, "docs", (100, 300), methods=("aware", "oblivious", "wavelet", "qdigest", "sketch"), seeds=1, queries=10))
+    _report("acc_vs_weight", lambda s, d: X.error_vs_weight(s, d, "docs", 300, (4, 6), methods=blind, seeds=1, queries=10))
+    _report("acc_vs_ranges", lambda s, d: X.error_vs_ranges(s, d, "docs", 300, (1, 10), methods=blind, seeds=1, queries=10))
+    _report("acc_vs_guide", lambda s, d: X.guide_sweep(s, d, "docs", 300, (1, 5), seeds=1, queries=10))
+    _report("cost_build", lambda s, d: {f"{r['method']} {r['s']}": {"sec": r["sec"], "keys_per_sec": r["keys_per_sec"], "touched": r["touched"]} for r in X.build_times(s, d, (100,), "docs")})
+    _report("cost_query", lambda s, d: {f"{r['method']} {r['s']}": {"sec": r["sec"]} for r in X.query_times(s, d, (100,), "docs", 20, 25)})
+
+
+_experiments()
+
+
 def queries():
     return dict(QUERIES)
 

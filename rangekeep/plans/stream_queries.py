@@ -83,6 +83,15 @@ def _(spark, d):
     return R.run_to_table(twice.select("event_id"), fresh(spark, "dedup")).agg(F.count("*").alias("n"))
 
 
+@query("stream_static_join", "SELECT c_mktsegment, count(*) AS n FROM events JOIN customer ON user_id = c_custkey GROUP BY 1")
+def _(spark, d):
+    """Stream rows meet a table that stays as it is."""
+    e = R.event_stream(spark, d).select("event_id", "user_id")
+    c = spark.read.parquet(f"{d}/customer.parquet").select("c_custkey", "c_mktsegment")
+    rows = R.run_to_table(e.join(c, e.user_id == c.c_custkey).select("event_id", "c_mktsegment"), fresh(spark, "static"))
+    return rows.groupBy("c_mktsegment").agg(F.count("*").alias("n"))
+
+
 def queries():
     return dict(QUERIES)
 

@@ -22,6 +22,6 @@ def test_query(spark, data, duck, name):
     assert same(registry.queries()[name](spark, data).toPandas(), duck(SQL[name], data)), name
 
 
-@pytest.mark.parametrize("name", ["sample_builtin", "sample_by", "sample_table"])
+@pytest.mark.parametrize("name", ["sample_builtin", "sample_by", "sample_table", "acc_vs_guide"])
 def test_rows_only(spark, data, name):
     assert registry.queries()[name](spark, data).count() >= 0
