@@ -7,12 +7,17 @@ from pyspark.sql import functions as F
 
 from rangekeep.sources.shared import keep
 
+#: Levels between two written ones. Each level's nodes rest on all levels below, which are not computed again for each.
+EVERY = 4
+
 
 def build_1d(points: DataFrame, x: str, w: str, bits: int, share: float) -> DataFrame:
     """(level, k, units): siblings that hold less than share of all mass between them go to their parent."""
     total = int(points.agg(F.coalesce(F.sum(w), F.lit(0)).alias("t")).first().t)
     now, out = points.groupBy(F.col(x).alias("k")).agg(F.sum(w).alias("units")).where("units > 0"), None
     for level in range(bits):
+        if level % EVERY == EVERY - 1:
+            now = keep(now)
         up = now.groupBy(F.shiftright("k", 1).alias("p")).agg(F.sum("units").alias("both"))
         rows = now.withColumn("p", F.shiftright("k", 1)).join(up, "p")
         stay = rows.where(F.col("both") >= F.lit(share * total)).select(F.lit(level).alias("level"), "k", "units")
@@ -47,6 +52,8 @@ def build_2d(points: DataFrame, x: str, y: str, w: str, bits_x: int, bits_y: int
         now = now.groupBy(F.shiftright("x", kx - had[0]).alias("x"), F.shiftright("y", ky - had[1]).alias("y")).agg(F.sum("units").alias("units")).where("units > 0")
         had = (kx, ky)
         last = (kx, ky) == steps[-1]
+        if (kx + ky) % EVERY == EVERY - 1:
+            now = keep(now)
         full = F.col("units") >= F.lit(share * total)
         stay = (now if last else now.where(full)).select(F.lit(kx).alias("kx"), F.lit(ky).alias("ky"), "x", "y", "units")
         out = stay if out is None else out.unionByName(stay)
@@ -70,7 +77,7 @@ def build_2d_nested(points: DataFrame, x: str, y: str, w: str, bits_x: int, bits
     return out
 
 
-def fit_share(points: DataFrame, x: str, y: str, w: str, bits_x: int, bits_y: int, nodes: int, rounds: int = 8) -> DataFrame:
+def fit_share(points: DataFrame, x: str, y: str, w: str, bits_x: int, bits_y: int, nodes: int, rounds: int = 5) -> DataFrame:
     """A 2-d digest of at most so many nodes: the share is halved in between by bisection."""
     total = int(points.agg(F.coalesce(F.sum(w), F.lit(0)).alias("t")).first().t)
     lo, hi, best = 0.02 / nodes, 1.0 / max(1, nodes - 1), None
