@@ -28,7 +28,7 @@ from __future__ import annotations
 import numpy as np
 import pyarrow as pa
 import xxhash
-from pyspark.sql import Column, DataFrame, Window
+from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
 from rangekeep.llm._graph import components
@@ -120,44 +120,33 @@ def fingerprint(s: np.ndarray) -> list[int]:
     return [int(np.uint64(x).astype(np.int64)) for x in both] + [int(x) for x in sketch]
 
 
-def _fingerprints(k: int):
-    def run(batches):
-        known = _Words()
-        for b in batches:
-            rows = []
-            for t in b.column(1):
-                s = shingles(t.as_py(), k, known)
-                rows.append([len(s), *(fingerprint(s) if len(s) else [0] * (2 + len(PARTS)))])
-            cols = np.array(rows, np.int64).reshape(-1, 3 + len(PARTS)).T
-            yield pa.RecordBatch.from_arrays([b.column(0), *[pa.array(c) for c in cols]], ["id", "n", "s1", "s2", *PARTS])
-
-    return run
-
+def _marks(k: int, num: int, den: int):
+    """Rows (id, text) -> id, set size, fingerprint and the keys of the blocks that the set sends."""
 
-def _keys(k: int, num: int, den: int):
     def run(batches):
         known, edges, seen = _Words(), bands(64, num, den), set()
+        none = np.zeros(0, np.uint64)
         for b in batches:
-            texts = b.column(0)
-            for lo, hi in pieces(texts.to_pylist(), 8_000_000):
-                keys, ends, nodes = [], [], []
-                for t in texts.slice(lo, hi - lo):
-                    s = shingles(t.as_py(), k, known)
-                    if not len(s):
+            texts, named = b.column(1).to_pylist(), b.column(0).is_valid().to_pylist()
+            for lo, hi in pieces(texts, 8_000_000):
+                rows, keys = [], []
+                for t, ok in zip(texts[lo:hi], named[lo:hi], strict=True):
+                    s = shingles(t, k, known)
+                    mark = fingerprint(s) if len(s) else [0] * (2 + len(PARTS))
+                    rows.append([len(s), *mark])
+                    node = (mark[0], mark[1])
+                    if not ok or not len(s) or node in seen:
+                        keys.append(none)  # an equal set of this task has sent the same keys
                         continue
-                    node = int(np.bitwise_xor.reduce(_mix(s, 0x11)).astype(np.int64))
-                    if node in seen:
-                        continue  # an equal set of this task has sent the same rows
                     if len(seen) < 300_000:
                         seen.add(node)
                     if len(s) * den >= num * edges[-1][0]:
                         edges = bands(2 * len(s), num, den)
-                    out = blocks(s, num, den, edges)
-                    keys.append(out)
-                    ends.append(len(out))
-                    nodes.append(node)
-                if keys:
-                    yield pa.RecordBatch.from_arrays([pa.array(np.concatenate(keys).view(np.int64)), pa.array(np.repeat(np.array(nodes, np.int64), ends))], ["key", "s1"])
+                    keys.append(blocks(s, num, den, edges))
+                ends = np.concatenate([[0], np.cumsum([len(x) for x in keys])]).astype(np.int32)
+                sent = pa.ListArray.from_arrays(pa.array(ends), pa.array(np.concatenate(keys).view(np.int64)))
+                cols = np.array(rows, np.int64).T
+                yield pa.RecordBatch.from_arrays([b.column(0).slice(lo, hi - lo), *[pa.array(c) for c in cols], sent], ["id", "n", "s1", "s2", *PARTS, "keys"])
 
     return run
 
@@ -199,16 +188,19 @@ def link(docs: DataFrame, text: str = "text", key: str = "doc_id", k: int = 5, n
     """(key, n_shingles, component_id) for every row of docs; see the module for what links."""
     rows = docs.select(F.col(key).alias("id"), F.col(text).cast("binary").alias("t"))
     kind = docs.schema[key].dataType.simpleString()
-    marks = keep(rows.mapInArrow(_fingerprints(k), f"id {kind}, n long, s1 long, s2 long, " + ", ".join(f"{c} long" for c in PARTS)))
+    longs = ", ".join(f"{c} long" for c in ("n", "s1", "s2", *PARTS))
+    marks = keep(rows.mapInArrow(_marks(k, num, den), f"id {kind}, {longs}, keys array<long>"))
     real = marks.where(F.col("id").isNotNull() & (F.col("n") > 0))
     firsts = [F.first(c).alias(c) for c in ("n", *PARTS)]
     sets = keep(real.groupBy("s1", "s2").agg(F.min("id").alias("rep"), *firsts))
 
-    # buckets: every block that two different sets sent, with the first and last of them
-    sent = rows.where(F.col("id").isNotNull()).select("t").mapInArrow(_keys(k, num, den), "key long, s1 long")
-    of_key = Window.partitionBy("key")
-    met = sent.withColumns({"lo": F.min("s1").over(of_key), "hi": F.max("s1").over(of_key)}).where("lo < hi")
-    met = keep(met.distinct())
+    # buckets: every block that two different sets sent, with the first and last of them; a key that very many send
+    # is folded before it is shuffled, and the join back can be split
+    sent = real.select(F.explode("keys").alias("key"), "s1")
+    busy = sent.groupBy("key").agg(F.min("s1").alias("lo"), F.max("s1").alias("hi")).where("lo < hi")
+    every = keep(sent.join(busy, "key").select("key", "s1", "lo", "hi"))
+    met = keep(every.distinct())
+    forget(every)
     ends = met.select(F.explode(F.array(F.struct(F.col("lo").alias("x"), F.col("s1").alias("y")), F.struct(F.col("s1").alias("x"), F.col("hi").alias("y")))).alias("p"))
     stars = ends.select("p.x", "p.y").where("x < y").distinct()
     lean = sets.select("s1", "rep", "n", *PARTS)
