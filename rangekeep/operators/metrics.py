@@ -4,6 +4,7 @@ from __future__ import annotations
 
 import math
 
+import numpy as np
 from pyspark.sql import DataFrame, Window
 from pyspark.sql import functions as F
 
@@ -40,6 +41,20 @@ def error_bound(discrepancy: float, tau: float) -> float:
     return discrepancy * tau
 
 
+def check_aggregate(samples: np.ndarray, p: np.ndarray, subsets: list[list[int]], z: float = 5.0) -> dict[str, bool]:
+    """What replicates (rows of 0, 1 or undecided masses) of an aggregation must show: means p, a constant sum, and that
+    keys of a subset are all in, or all out, no more often than independent draws would have it, within z deviations."""
+    n = len(samples)
+    near = lambda got, want: bool((got - want <= z * np.sqrt(np.maximum(want * (1 - want), 1e-12) / n) + 1e-12).all())
+    joint = np.array([samples[:, s].prod(1).mean() for s in subsets]), np.array([p[s].prod() for s in subsets])
+    none = np.array([(1 - samples[:, s]).prod(1).mean() for s in subsets]), np.array([(1 - p[s]).prod() for s in subsets])
+    mean = samples.mean(0)
+    return {
+        "expectation": bool((np.abs(mean - p) <= z * np.sqrt(np.maximum(p * (1 - p), 1e-12) / n) + 1e-12).all()),
+        "sum": bool(np.allclose(samples.sum(1), p.sum())), "inclusion": near(*joint), "exclusion": near(*none),
+    }
+
+
 def theory(s: int, d: int, mass: float) -> dict[str, float]:
     """Expected orders of deviation for a box of expected count mass: blind and aware samples, and cells a box can cut."""
     cut = 2 * d * s ** ((d - 1) / d)

@@ -103,3 +103,17 @@ def test_shrink_keeps_total():
     w = np.random.default_rng(1).pareto(1.2, 500) * 100 + 1
     rows, adj = local.shrink(w, 50, np.random.default_rng(2).random(500))
     assert len(rows) == len(set(rows)) == 50 and abs(adj.sum() / w.sum() - 1) < 1e-9
+
+
+def test_checks_of_replicates():
+    """The loop passes the checks of an aggregation; one shared offset for all draws does not."""
+    import random
+
+    from rangekeep.operators.metrics import check_aggregate
+
+    p, rng = [5] * 6, random.Random(1)
+    runs = np.array([local.aggregate(p, unit=10, rng=rng) for _ in range(4000)]) / 10
+    pairs = [[i, j] for i in range(6) for j in range(i)]
+    assert all(check_aggregate(runs, np.full(6, 0.5), pairs).values())
+    shared = np.array([[1, 0] * 3 if rng.random() < 0.5 else [0, 1] * 3 for _ in range(4000)])
+    assert not check_aggregate(shared, np.full(6, 0.5), pairs)["inclusion"]
