@@ -81,6 +81,18 @@ def _sweep() -> None:
             _delete(spark, path)
 
 
+#: Rows of an Arrow batch for whole texts, so that a worker's memory follows a few texts and not ten thousand.
+ARROW_ROWS = 2_000
+
+
+def short_batches(spark: SparkSession) -> None:
+    """Arrow batches of at most ARROW_ROWS rows from here on; a session's own smaller setting stays."""
+    name = "spark.sql.execution.arrow.maxRecordsPerBatch"
+    now = int(spark.conf.get(name))
+    if now <= 0 or now > ARROW_ROWS:
+        spark.conf.set(name, str(ARROW_ROWS))
+
+
 def small(df: DataFrame, most: int = BROADCAST_ROWS) -> DataFrame:
     """df with a broadcast hint if it is counted to hold at most so many rows; else as it is."""
     return F.broadcast(df) if df.limit(most + 1).count() <= most else df

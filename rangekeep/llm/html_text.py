@@ -23,7 +23,7 @@ import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from rangekeep.llm._shared import keep, lower_az, small
+from rangekeep.llm._shared import keep, lower_az, short_batches, small
 
 TAG = re.compile(r"<!--.*?(?:-->|\Z)|<(/?)([a-zA-Z][^\s/>]*)((?:[^>\"']++|\"[^\"]*+\"|'[^']*+')*+|[^>]*)>|<[!?][^>]*>", re.S)
 ATTRIBUTE = re.compile(r"([a-zA-Z:-]+)\s*(?:=\s*(?:\"([^\"]*)\"|'([^']*)'|([^\s>]+)))?")
@@ -267,6 +267,7 @@ def host_paths(pages: DataFrame, url: str = "url", html: str = "html") -> DataFr
 
 def extract(pages: DataFrame, url: str = "url", html: str = "html", columns: tuple[str, ...] = ("page_id", "url")) -> DataFrame:
     """columns, text and n_chars of every page."""
+    short_batches(pages.sparkSession)
     winners = keep(host_paths(pages, url, html)).select(F.col("host").alias("__host"), F.col("path").alias("__path"))
     rows = pages.select(*columns, host(F.col(url)).alias("__h"), F.col(html).alias("__html"))
     rows = rows.join(small(winners), F.col("__h") == F.col("__host"), "left").select(*columns, "__path", "__html")

@@ -32,7 +32,7 @@ from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
 from rangekeep.llm._graph import components
-from rangekeep.llm._shared import forget, keep, pieces, small
+from rangekeep.llm._shared import forget, keep, pieces, short_batches, small
 
 GROWTH = 1.5
 SKETCH = 1024
@@ -188,6 +188,7 @@ def link(docs: DataFrame, text: str = "text", key: str = "doc_id", k: int = 5, n
     """(key, n_shingles, component_id) for every row of docs; see the module for what links."""
     rows = docs.select(F.col(key).alias("id"), F.col(text).cast("binary").alias("t"))
     kind = docs.schema[key].dataType.simpleString()
+    short_batches(docs.sparkSession)
     longs = ", ".join(f"{c} long" for c in ("n", "s1", "s2", *PARTS))
     marks = keep(rows.mapInArrow(_marks(k, num, den), f"id {kind}, {longs}, keys array<long>"))
     real = marks.where(F.col("id").isNotNull() & (F.col("n") > 0))

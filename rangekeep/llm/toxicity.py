@@ -20,7 +20,7 @@ import xxhash
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from rangekeep.llm._shared import pieces
+from rangekeep.llm._shared import pieces, short_batches
 
 WORD = re.compile(r"\w+")
 BITS = 20
@@ -157,6 +157,7 @@ def fit(labelled: DataFrame, text: str = "text", label: str = "label", key: str
     rows = labelled.where(F.col(label).isNotNull()).select(
         F.xxhash64(F.lit("toxicity"), F.col(key)).alias("k"), F.coalesce(F.col(text), F.lit("")).cast("binary").alias("t"), F.col(label).cast("int").alias("label")
     )
+    short_batches(rows.sparkSession)
     grams = rows.mapInArrow(_distinct_features(bits), "k long, label int, gram array<int>")
     one = grams.repartition(1).sortWithinPartitions("k", "label").mapInArrow(_learner(most, bits, how), "at array<int>, weight array<double>, bias double")
     got = one.first()
@@ -206,6 +207,7 @@ def score(docs: DataFrame, model: Model, text: str = "text", columns: list[str]
     kept = [docs[c] for c in (columns or docs.columns) if c not in ("score", "predicted")]
     rows = docs.select(*kept, F.col(text).cast("binary").alias("__text"))
     schema = ", ".join(f"`{f.name}` {f.dataType.simpleString()}" for f in rows.schema.fields[:-1])
+    short_batches(docs.sparkSession)
     out = rows.mapInArrow(_scores(model, len(kept)), f"{schema}{', ' if schema else ''}score double")
     return out.withColumn("predicted", (F.col("score") >= threshold).cast("int"))
 
