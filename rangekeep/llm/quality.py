@@ -16,7 +16,7 @@ from __future__ import annotations
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
-from rangekeep.llm._shared import keep
+from rangekeep.llm._shared import keep, small
 
 # Very frequent function words of four languages.
 COMMON = ("the", "of", "and", "to", "in", "is", "der", "die", "und", "das", "ein", "von", "de", "la", "le", "et", "les", "que", "el", "en", "y", "los", "a", "un")
@@ -136,12 +136,13 @@ def divergence(a: Column, b: Column) -> Column:
 
 def judge(measured: DataFrame, least_words: int = LEAST_WORDS, most_classes: float = MOST_CLASSES, most_common: float = MOST_COMMON, noise: float = COMMON_NOISE, least_docs: int = LEAST_DOCS) -> DataFrame:
     """measured with base_failed, the two divergences and kept."""
-    refs = references(measured, least_docs)
+    refs = keep(references(measured, least_docs))
     # the sums over the whole corpus are one row of some thirty numbers
     whole = {"classes": [], "common": []} | {k: r[f"__r_{k}"] for r in refs.where(F.col("__of").isNull()).collect() for k in ("classes", "common")}
     whole = {k: F.array(*[F.lit(x) for x in v]).cast("array<double>") for k, v in whole.items()}
     own = refs.where(F.col("__of").isNotNull())
-    rows = measured.join(own, F.col("__lang") == F.col("__of"), "left")
+    # a language may hold a third of all rows: the few references go to the rows, not the rows to them
+    rows = measured.join(small(own), F.col("__lang") == F.col("__of"), "left")
     # a text in several languages is near the whole corpus, though far from the one it is filed under
     near = lambda c: F.least(*[divergence(F.col(f"__{c}").cast("array<double>"), r) for r in (F.coalesce(F.col(f"__r_{c}"), whole[c]), whole[c])])
     rows = rows.withColumns({
