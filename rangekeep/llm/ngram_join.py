@@ -28,7 +28,7 @@ from __future__ import annotations
 import numpy as np
 import pyarrow as pa
 import xxhash
-from pyspark.sql import Column, DataFrame
+from pyspark.sql import Column, DataFrame, Window
 from pyspark.sql import functions as F
 
 from rangekeep.llm._graph import components
@@ -195,13 +195,12 @@ def link(docs: DataFrame, text: str = "text", key: str = "doc_id", k: int = 5, n
     firsts = [F.first(c).alias(c) for c in ("n", *PARTS)]
     sets = keep(real.groupBy("s1", "s2").agg(F.min("id").alias("rep"), *firsts))
 
-    # buckets: every block that two different sets sent, with the first and last of them; a key that very many send
-    # is folded before it is shuffled, and the join back can be split
+    # buckets: every block that two different sets sent, with the first and last of them. The keys go over the network
+    # once; a window spills, and a bucket has a row for each different set (and task that met it), not for each text
     sent = real.select(F.explode("keys").alias("key"), "s1")
-    busy = sent.groupBy("key").agg(F.min("s1").alias("lo"), F.max("s1").alias("hi")).where("lo < hi")
-    every = keep(sent.join(busy, "key").select("key", "s1", "lo", "hi"))
-    met = keep(every.distinct())
-    forget(every)
+    of_key = Window.partitionBy("key")
+    met = sent.withColumns({"lo": F.min("s1").over(of_key), "hi": F.max("s1").over(of_key)}).where("lo < hi")
+    met = keep(met.distinct())
     ends = met.select(F.explode(F.array(F.struct(F.col("lo").alias("x"), F.col("s1").alias("y")), F.struct(F.col("s1").alias("x"), F.col("hi").alias("y")))).alias("p"))
     stars = ends.select("p.x", "p.y").where("x < y").distinct()
     lean = sets.select("s1", "rep", "n", *PARTS)
