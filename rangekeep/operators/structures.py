@@ -8,7 +8,7 @@ from pyspark.sql import DataFrame, Window
 from pyspark.sql import functions as F
 
 from rangekeep.functions import UNIT, uniform
-from rangekeep.operators.chain import chain, settle, takes_place
+from rangekeep.operators.chain import settle, takes_place
 from rangekeep.operators.ipps import Threshold, threshold, with_inclusion
 
 #: Groups of two hex digits of the key's hash: a window each, so that no task chains all keys.
