@@ -24,14 +24,8 @@ def lower_az(c: Column) -> Column:
     return F.translate(c, UPPER, LOWER)
 
 
-def words(c: Column) -> Column:
-    """Maximal runs of characters other than ASCII blanks, in order; empty for null."""
-    cut = F.split(F.trim(F.translate(F.coalesce(c, F.lit("")), BLANKS, " " * len(BLANKS))), " +")
-    return F.when(cut[0] == "", F.array().cast("array<string>")).otherwise(cut)
-
-
 def n_words(c: Column) -> Column:
-    """Number of such words without building them."""
+    """Number of maximal runs of characters other than ASCII blanks; 0 for null."""
     return F.regexp_count(F.coalesce(c, F.lit("")), F.lit("[^\\x20\\x09-\\x0D]+")).cast("long")
 
 
