@@ -11,7 +11,6 @@ from pyspark.sql import Column, DataFrame, SparkSession
 from pyspark.sql import functions as F
 
 UPPER, LOWER = "ABCDEFGHIJKLMNOPQRSTUVWXYZ", "abcdefghijklmnopqrstuvwxyz"
-BLANKS = " \t\n\x0b\f\r"
 #: Size up to which a table is broadcast; beyond it the same join shuffles.
 BROADCAST_ROWS = 200_000
 

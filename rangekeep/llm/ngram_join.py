@@ -52,7 +52,7 @@ class _Words(dict):
     """Word -> 64-bit hash, remembered; starts anew when it is large."""
 
     def __missing__(self, word: bytes) -> int:
-        if len(self) > 500_000:
+        if len(self) > 200_000:
             self.clear()
         self[word] = h = xxhash.xxh3_64_intdigest(word)
         return h
@@ -138,7 +138,7 @@ def _marks(k: int, num: int, den: int):
                     if not ok or not len(s) or node in seen:
                         keys.append(none)  # an equal set of this task has sent the same keys
                         continue
-                    if len(seen) < 300_000:
+                    if len(seen) < 100_000:
                         seen.add(node)
                     if len(s) * den >= num * edges[-1][0]:
                         edges = bands(2 * len(s), num, den)
