@@ -6,9 +6,10 @@ the base if it has under 50 words or if repeated three-word windows cover over h
 The method compares two histograms of each document with those of its language over the whole corpus, by
 Jensen-Shannon divergence in bits: classes of characters (lower, upper, digit, space, mark, other) and the share of
 each of the language's frequent function words. A text of under `least_words` words isn't judged by it,
-and the limit for common words is wider by `noise` / n_words, since short texts stray. A language
-with under `least_docs` documents, or a null one, is held against the whole corpus. Extra columns stay out of the result but `columns`; repeated
-rows are judged each alike; an empty table gives an empty result.
+and the limit for common words is wider by `noise` / n_words, since short texts stray. A document whose language is
+null or has under `least_docs` documents is held against every language, small ones too, and the nearest counts; where no document
+has a language the base rules alone decide. Extra columns stay out of the result but `columns`; repeated rows are judged each
+alike; an empty table gives an empty result.
 """
 
 from __future__ import annotations
@@ -111,12 +112,13 @@ def measures(docs: DataFrame, text: str = "text", lang: str = "lang", columns: t
 
 
 def references(measured: DataFrame, least_docs: int = LEAST_DOCS) -> DataFrame:
-    """Histograms summed over each language's documents, and over all (language null)."""
+    """Histograms summed over each language's documents, and over all (language null); `__few` marks those of under least_docs documents."""
     sums = [F.sum(F.col(c)[i]).alias(f"{c}{i}") for c, n in (("__classes", 6), ("__common", len(COMMON) + 1)) for i in range(n)]
     folded = measured.rollup("__lang").agg(F.count("*").alias("n"), F.grouping("__lang").alias("all"), *sums)
-    folded = folded.where((F.col("all") == 1) | (F.col("__lang").isNotNull() & (F.col("n") >= least_docs)))
+    folded = folded.where((F.col("all") == 1) | F.col("__lang").isNotNull())
     return folded.select(
         F.col("__lang").alias("__of"),
+        ((F.col("all") == 0) & (F.col("n") < least_docs)).alias("__few"),
         F.array(*[F.col(f"__classes{i}").cast("double") for i in range(6)]).alias("__r_classes"),
         F.array(*[F.col(f"__common{i}").cast("double") for i in range(len(COMMON) + 1)]).alias("__r_common"),
     )
@@ -142,16 +144,26 @@ def judge(measured: DataFrame, least_words: int = LEAST_WORDS, most_classes: flo
     whole = {k: F.array(*[F.lit(x) for x in v]).cast("array<double>") for k, v in whole.items()}
     own = refs.where(F.col("__of").isNotNull())
     # a language may hold a third of all rows: the few references go to the rows, not the rows to them
-    rows = measured.join(small(own), F.col("__lang") == F.col("__of"), "left")
-    # a text in several languages is near the whole corpus, though far from the one it is filed under
-    near = lambda c: F.least(*[divergence(F.col(f"__{c}").cast("array<double>"), r) for r in (F.coalesce(F.col(f"__r_{c}"), whole[c]), whole[c])])
+    rows = measured.join(small(own.where(~F.col("__few")).drop("__few")), F.col("__lang") == F.col("__of"), "left")
+    # one row of all languages' references, for the rows that have none of their own
+    every = own.agg(F.collect_list(F.struct(F.col("__r_classes").alias("classes"), F.col("__r_common").alias("common"))).alias("__every"))
+    rows = rows.join(F.broadcast(every), F.col("__of").isNull(), "left")
+
+    def near(c: str) -> Column:
+        counts = F.col(f"__{c}").cast("array<double>")
+        nearest = F.array_min(F.transform("__every", lambda r: divergence(counts, r[c])))
+        mine = F.when(F.col("__of").isNotNull(), divergence(counts, F.col(f"__r_{c}"))).otherwise(nearest)
+        # a text in several languages is near the whole corpus, though far from the one it is filed under
+        return F.least(mine, divergence(counts, whole[c]))
+
     rows = rows.withColumns({
         "jsd_classes": near("classes"),
         "jsd_common": near("common"),
         "base_failed": (F.col("n_words") < 50) | (100 * F.col("n_repeat_words") > 50 * F.col("n_words")),
     })
-    odd = (F.col("n_words") >= least_words) & ((F.col("jsd_classes") > most_classes) | (F.col("jsd_common") > most_common + noise / F.col("n_words")))
-    return rows.withColumn("kept", ~F.col("base_failed") & ~odd).drop("__lang", "__classes", "__common", "__of", "__r_classes", "__r_common")
+    held = F.col("__of").isNotNull() | (F.size("__every") > 0)
+    odd = held & (F.col("n_words") >= least_words) & ((F.col("jsd_classes") > most_classes) | (F.col("jsd_common") > most_common + noise / F.col("n_words")))
+    return rows.withColumn("kept", ~F.col("base_failed") & ~odd).drop("__lang", "__classes", "__common", "__of", "__r_classes", "__r_common", "__every")
 
 
 def apply(docs: DataFrame, text: str = "text", lang: str = "lang", columns: tuple[str, ...] = ("doc_id",), **how) -> DataFrame:

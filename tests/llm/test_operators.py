@@ -136,6 +136,20 @@ def test_quality_counts(docs):
     assert quality.apply(docs.limit(0)).count() == 0
 
 
+def test_quality_of_small_and_null_languages(spark, data):
+    """Good documents of languages with few documents, or of none, are held against their own language, wherever it stands."""
+    docs = spark.read.parquet(f"{data}/documents.parquet")
+    good = {r.doc_id for r in spark.read.parquet(f"{data}/labels.parquet").where("quality = 1").collect()}
+    small = {r.doc_id for r in docs.where("lang IN ('de', 'es', 'fr')").collect()} & good
+    kept = lambda d: {r.doc_id for r in quality.apply(d).collect() if r.kept or r.base_failed}
+    assert len(small) > 20 and small <= kept(docs)
+    no_lang = docs.withColumn("lang", F.when(F.col("doc_id") % 2 == 0, F.col("lang")))
+    assert small <= kept(no_lang)
+    # with no language at all there is nothing of a document's own to judge by
+    bare = quality.apply(docs.withColumn("lang", F.lit(None).cast("string"))).collect()
+    assert all(r.kept != r.base_failed for r in bare) and any(r.kept for r in bare)
+
+
 def test_many_repeated_windows(spark):
     """More repeated windows than are looked up one by one take the sorting way, with the same count."""
     text = " ".join([f"a{i}" for i in range(200)] * 2 + ["b", "c"])
