@@ -12,6 +12,10 @@ from pyspark.sql import Column, DataFrame, Window
 from pyspark.sql import functions as F
 
 from rangekeep.functions import UNIT, uniform, uniform_sql
+from rangekeep.sources.shared import keep
+
+#: Levels of a deep hierarchy settled in one plan: each level's rows are read twice, so longer plans are cut by a table.
+PLAN_LEVELS = 4
 
 
 def takes_place(q: Column, t: Column, u: Column) -> Column:
@@ -49,6 +53,8 @@ def settle(light: DataFrame, levels: list[tuple[list[str], list[str]]], stage: s
     rows = light.where((F.col("ticks") > 0) & (F.col("ticks") < UNIT))
     out = None
     for i, (group, order) in enumerate(levels):
+        if i and i % PLAN_LEVELS == 0 and len(levels) > PLAN_LEVELS + 1:
+            rows = keep(rows)
         got, rows = chain(rows, group, order, f"{stage}{i}", seed)
         got = got.select("hk")
         out = got if out is None else out.unionByName(got)

@@ -61,8 +61,12 @@ def sample_hierarchy(keys: DataFrame, s: int, path: list[str], stage: str = "hie
     return _aware(keys, s, levels_hierarchy(path), stage, seed, "hierarchy")
 
 
-def with_path_levels(keys: DataFrame, path: str, depth: int) -> tuple[DataFrame, list[str]]:
-    """Columns l1..ldepth of prefixes of an array path, null below a path's end: a leaf right under a high node waits there."""
+def with_path_levels(keys: DataFrame, path: str, depth: int | None = None) -> tuple[DataFrame, list[str]]:
+    """Columns l1..ldepth of prefixes of an array path, null below a path's end: a leaf right under a high node waits there.
+
+    depth defaults to the longest path of the keys.
+    """
+    depth = (keys.agg(F.max(F.size(path))).first()[0] or 0) if depth is None else depth
     cols = [f"l{i}" for i in range(1, depth + 1)]
     return keys.withColumns({c: F.when(F.size(path) >= i, F.get(path, F.lit(i - 1))) for i, c in enumerate(cols, 1)}), cols
 
@@ -73,6 +77,16 @@ def with_prefix_levels(keys: DataFrame, code: str, bits: int, steps: list[int])
     return keys.withColumns({c: F.shiftright(F.col(code), bits - n) for c, n in zip(cols, steps, strict=True)}), cols
 
 
+def prefix_lengths(keys: DataFrame, code: str, bits: int) -> list[int]:
+    """All prefix lengths, from one bit on, at which some node holds two keys. Where a prefix is shared its own prefixes are too, so the longest is searched by halves."""
+    low, high = 0, bits
+    while low < high:
+        n = (low + high + 1) // 2
+        shared = keys.groupBy(F.shiftright(F.col(code), bits - n)).count().where("count > 1")
+        low, high = (n, high) if shared.limit(1).count() else (low, n - 1)
+    return list(range(1, low + 1))
+
+
 def sample_order(keys: DataFrame, s: int, order: list[str], stage: str = "order", seed: int = 1) -> Summary:
     """Left to right in one window: prefixes are off by less than 1, intervals by less than 2. For moderate key sets."""
     return _aware(keys, s, [([], order)], stage, seed, "order")

@@ -12,6 +12,7 @@ from rangekeep.operators.chain import settle_sql
 from rangekeep.operators.ipps import inclusion_sql, threshold, threshold_sql, with_inclusion
 from rangekeep.operators.keys import keyed, keyed_sql
 from rangekeep.sources import table
+from rangekeep.sources.shared import keep
 
 QUERIES, SQL = {}, {}
 
@@ -199,7 +200,7 @@ def page_paths(spark, d):
 
 def url_set(spark, d):
     k = keyed(page_paths(spark, d), ["page_id"], "n", carry=["path"])
-    return S.with_path_levels(k, "path", 4)
+    return S.with_path_levels(k, "path")
 
 
 URL_SQL = """k0 AS (SELECT page_id, length(html) AS n, list_concat(list_reverse(string_split(regexp_extract(url, '://([^/?#]*)', 1), '.')),
@@ -211,20 +212,22 @@ URL_LEVELS = ["l1", "l2", "l3", "l4"]
 
 @query("hier_url_ragged")
 def _(spark, d):
-    """Rows of the sample's facts: size, heavy keys, total of adjusted weights, nodes off by one or more."""
+    """Rows of the sample's facts: size, heavy keys, total of adjusted weights, nodes of every depth off by one or more."""
     k, cols = url_set(spark, d)
     out = S.sample_hierarchy(k, 100, cols)
-    return _facts(spark, k, out, [cols[:i] for i in range(1, 5)])
+    return _facts(spark, k, out, [cols[:i] for i in range(1, len(cols) + 1)])
 
 
 def _facts(spark, keys, out, nodes):
-    inc = with_inclusion(keys, out.th.tau)
+    chosen = keep(out.rows)
+    # read once for each level, so it is written first
+    inc = keep(with_inclusion(keys, out.th.tau))
     bad = None
     for by in nodes:
         # rounding to ticks moves a node's mass by half a tick a key at most
-        off = M.group_discrepancy(inc, out.rows, by).where("off >= 1.000001").select(F.lit(1).alias("x"))
+        off = M.group_discrepancy(inc, chosen, by).where("off >= 1.000001").select(F.lit(1).alias("x"))
         bad = off if bad is None else bad.unionByName(off)
-    facts = out.rows.agg(F.count("*").alias("n"), F.countDistinct("hk").alias("distinct_keys"), F.count_if("is_heavy").alias("heavy"), F.round(F.sum("adj_weight"), 0).cast("bigint").alias("total"))
+    facts = chosen.agg(F.count("*").alias("n"), F.countDistinct("hk").alias("distinct_keys"), F.count_if("is_heavy").alias("heavy"), F.round(F.sum("adj_weight"), 0).cast("bigint").alias("total"))
     return facts.join(bad.agg(F.count("*").alias("violations")), F.lit(True))
 
 
@@ -235,11 +238,19 @@ def facts_sql(set_sql: str, s: int) -> str:
 SQL["hier_url_ragged"] = facts_sql(URL_SQL, 100)
 
 
+def prefix_set(spark, d):
+    """Customers with the prefixes of nation and customer packed into as few bits as hold them."""
+    k = keep(customers(spark, d))
+    most = k.agg(F.coalesce(F.max("c_nationkey"), F.lit(0)).cast("bigint").alias("n"), F.coalesce(F.max("o_custkey"), F.lit(0)).alias("c")).first()
+    low = most.c.bit_length()
+    k, bits = k.withColumn("code", F.shiftleft(F.col("c_nationkey").cast("bigint"), low) + F.col("o_custkey")), low + most.n.bit_length()
+    return S.with_prefix_levels(k, "code", bits, S.prefix_lengths(k, "code", bits))
+
+
 @query("hier_prefix_bits", facts_sql(CUSTOMER_SQL, 100))
 def _(spark, d):
-    """A binary hierarchy over packed codes: nation in the high bits, customer below; nodes at four prefix lengths."""
-    k = customers(spark, d).withColumn("code", F.shiftleft(F.col("c_nationkey").cast("bigint"), 20) + F.col("o_custkey"))
-    k, cols = S.with_prefix_levels(k, "code", 25, [2, 5, 12, 18])
+    """A binary hierarchy over packed codes: nation in the high bits, customer below; nodes at every prefix length that holds two keys."""
+    k, cols = prefix_set(spark, d)
     return _facts(spark, k, S.sample_hierarchy(k, 100, cols), [[c] for c in cols])
 
 

@@ -120,3 +120,23 @@ def test_count_bounds_hold_the_count():
     lo, hi = count_bounds(np.array([0, 1, 10, 100]), 0.05)
     assert lo[0] == 0 and hi[0] == pytest.approx(np.log(40), rel=1e-6)
     assert (lo <= [0, 1, 10, 100]).all() and (hi >= [0, 1, 10, 100]).all() and lo[3] > 75 and hi[3] < 130
+
+
+def test_every_depth_of_deep_hierarchies(spark, data):
+    """Nodes below the fourth path element and at every prefix length get the floor or ceiling of their mass."""
+    from rangekeep.plans import sampling_queries as Q
+    from rangekeep.sources.shared import keep
+
+    k, cols = Q.url_set(spark, data)
+    deepest = k.agg(F.max(F.size("path"))).first()[0]
+    assert len(cols) == deepest > 4
+    sets = [(k, S.sample_hierarchy(k, 20, cols), [F.slice("path", 1, d) for d in range(1, deepest + 1)])]
+    k, cols = Q.prefix_set(spark, data)
+    most = k.agg(F.max("code")).first()[0].bit_length()
+    assert len(cols) > 4 and k.select(cols[-1]).distinct().count() < k.count()
+    sets += [(k, S.sample_hierarchy(k, 20, cols), [F.shiftright("code", n) for n in range(most)])]
+    for k, out, nodes in sets:
+        chosen, inc = keep(out.rows), keep(with_inclusion(k, out.th.tau))
+        assert chosen.count() == 20
+        for n in nodes:
+            assert M.group_discrepancy(inc.withColumn("node", n), chosen, ["node"]).agg(F.max("off")).first()[0] < 1 + 1e-6
