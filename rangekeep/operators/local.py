@@ -33,10 +33,11 @@ def chain(group: np.ndarray, t: np.ndarray, u: np.ndarray) -> tuple[np.ndarray,
     return sampled, taker[end][mass > 0], mass[mass > 0]
 
 
-def settle_tree(node: np.ndarray, t: np.ndarray, parent: np.ndarray, depth: np.ndarray, draw) -> np.ndarray:
+def settle_tree(node: np.ndarray, t: np.ndarray, parent: np.ndarray, depth: np.ndarray, draw, rest: bool = False):
     """Row numbers sampled when undecided rows at nodes of a tree settle with their nearest relatives first.
 
-    draw(level, rows) gives a uniform number for each row at each level.
+    draw(level, rows) gives a uniform number for each row at each level. With rest, (sampled, rows still undecided at
+    the root, their masses), and the last row isn't rounded.
     """
     rows, at, mass, out = np.arange(len(t)), node.astype(np.int64), t.astype(np.int64), []
     for level in range(int(depth[at].max(initial=0)), -1, -1):
@@ -49,6 +50,8 @@ def settle_tree(node: np.ndarray, t: np.ndarray, parent: np.ndarray, depth: np.n
         rows, at, mass = rows[left], at[left], left_mass
         up = depth[at] >= level
         at = np.where(up & (parent[at] >= 0), parent[at], at)
+    if rest:
+        return np.concatenate(out), rows, mass
     if len(rows) and mass[0] * 2 >= UNIT:
         out.append(rows[:1])
     return np.concatenate(out) if out else np.zeros(0, np.int64)

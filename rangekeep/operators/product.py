@@ -2,15 +2,22 @@
 
 from __future__ import annotations
 
+import zlib
+
+import numpy as np
+import pyarrow as pa
 from pyspark.sql import DataFrame, SparkSession, Window
 from pyspark.sql import functions as F
 
-from rangekeep.functions import uniform
+from rangekeep.functions import UNIT, uniform
+from rangekeep.operators import kdtree, local
 from rangekeep.operators.chain import settle
 from rangekeep.operators.ipps import threshold, with_inclusion
 from rangekeep.operators.structures import Summary, finish
+from rangekeep.operators.twopass import _values
+from rangekeep.sources.shared import keep
 
-#: Levels cut in Spark at most; each is a pass over the folded masses.
+#: Levels cut in Spark at most; each is a pass over the folded masses. Deeper ones are cut within each part, a task a part.
 MOST_DEPTH = 8
 
 
@@ -42,19 +49,69 @@ def distributed_cuts(light: DataFrame, axes: list[str], depth: int) -> tuple[Dat
     return rows, cuts
 
 
+def _part(axes: list[str], first_axis: int, depth: int | None, stage: str, seed: int):
+    """Cuts a part further, to nodes of about one unit or by depth more levels, and settles its keys up to the part's root.
+
+    Adds each key's way down as 0s and 1s, and its ticks after settling: a unit, none, or the rest of the undecided key.
+    """
+
+    def run(t: pa.Table) -> pa.Table:
+        t = t.sort_by("hk")
+        node, ticks = t.column("node")[0].as_py(), t.column("ticks").to_numpy()
+        tree, leaf = kdtree.build([_values(t.column(a)) for a in axes], ticks / UNIT, 1.0 if depth is None else None, first_axis, depth)
+        way = [""] * len(tree.axis)
+        for i, p in enumerate(tree.parent):
+            if p >= 0:
+                way[i] = way[p] + ("0" if tree.left[p] == i else "1")
+        # rows come by key and numbers by tag, seed and part, so that a retried task draws the same
+        rng = np.random.default_rng([zlib.crc32(stage.encode()), seed, node])
+        after = np.zeros(len(ticks), np.int64)
+        got, left, mass = local.settle_tree(leaf, ticks, np.array(tree.parent), np.array(tree.depth), lambda _, rows: rng.random(len(rows)), rest=True)
+        after[got] = UNIT
+        after[left] = mass
+        return pa.table({"hk": t.column("hk"), "node": t.column("node"), "ticks": t.column("ticks"), "way": pa.array([way[i] for i in leaf], pa.string()), "after": after})
+
+    return run
+
+
+def product_parts(light: DataFrame, axes: list[str], deep: int, depth: int | None, stage: str, seed: int) -> tuple[DataFrame, int]:
+    """((hk, node, ticks, way, after) of light keys, level of node): parts cut in Spark, each cut on and settled in its own task."""
+    top = min(deep, MOST_DEPTH)
+    rows, _ = distributed_cuts(light, axes, top)
+    run = _part(axes, top % len(axes), None if depth is None else depth - top, stage, seed)
+    return keep(rows.groupBy("node").applyInArrow(run, "hk string, node long, ticks long, way string, after long")), top
+
+
+def node_counts(parts: DataFrame, top: int, chosen: DataFrame) -> DataFrame:
+    """(node, n_sampled, mass, off) of every node of every level; chosen has hk."""
+    rows = parts.join(chosen.select("hk").withColumn("__in", F.lit(1)), "hk", "left")
+    above = [F.shiftright("node", i).cast("string") for i in range(1, top + 1)]
+    below = F.transform(F.sequence(F.lit(0), F.length("way")), lambda n: F.concat_ws("/", F.col("node").cast("string"), F.col("way").substr(F.lit(1), n)))
+    rows = rows.select(F.explode(F.concat(F.array(*above).cast("array<string>"), below)).alias("at"), "__in", "ticks")
+    sums = rows.groupBy("at").agg(F.count("__in").alias("n_sampled"), (F.sum("ticks") / float(UNIT)).alias("mass"))
+    return sums.withColumn("off", F.abs(F.col("n_sampled") - F.col("mass")))
+
+
 def sample_product(keys: DataFrame, s: int, axes: list[str], depth: int | None = None, stage: str = "kd", seed: int = 1) -> Summary:
-    """The kd hierarchy over all light keys, cut in Spark until a node holds about one unit of mass; heavy keys apart.
+    """The kd hierarchy over all light keys, cut until a node holds one unit of mass at most, or by depth levels; heavy keys apart.
 
-    Nodes of the last level settle within, then undecided keys settle upwards, nearest relatives first. For full-data
-    trees of moderate samples; the two-pass form needs no sort of the data.
+    The first levels are cut in Spark, the rest part by part. Nodes of the last level settle within, then undecided keys
+    settle upwards, nearest relatives first. For full-data trees; the two-pass form needs no sort of the data.
     """
+    return _product(keys, s, axes, depth, stage, seed)[0]
+
+
+def _product(keys: DataFrame, s: int, axes: list[str], depth: int | None = None, stage: str = "kd", seed: int = 1) -> tuple[Summary, DataFrame, int]:
+    """sample_product() with the parts and their level, for counts of nodes."""
     th = threshold(keys, s)
     inc = with_inclusion(keys, th.tau)
     light = inc.where(~F.col("is_heavy") & (F.col("ticks") > 0)).select("hk", "ticks", *axes)
     deep = max(1, (s - th.k).bit_length() - 1) if depth is None else depth
-    rows, _ = distributed_cuts(light, axes, min(deep, MOST_DEPTH))
-    names = [f"n{i}" for i in range(min(deep, MOST_DEPTH), -1, -1)]
-    rows = rows.withColumns({n: F.shiftright("node", i) for i, n in enumerate(names)})
-    # a group carries its ancestors along, so that the next level can group by them
-    levels = [(list(reversed(names[i:])), axes if i == 0 else [names[i - 1]]) for i in range(len(names))]
-    return finish(inc, settle(rows, levels, stage, seed), th, seed, "product")
+    parts, top = product_parts(light, axes, deep, depth, stage, seed)
+    names = [f"n{i}" for i in range(top, -1, -1)]
+    rows = parts.where((F.col("after") > 0) & (F.col("after") < UNIT)).select("hk", F.col("after").alias("ticks"), "node")
+    rows = keep(rows.withColumns({n: F.shiftright("node", i) for i, n in enumerate(names)}))
+    # a part has one undecided key at most; a group carries its ancestors along, so that the next level can group by them
+    levels = [(list(reversed(names[i:])), [] if i == 0 else [names[i - 1]]) for i in range(len(names))]
+    chosen = settle(rows, levels, stage, seed).unionByName(parts.where(F.col("after") == UNIT).select("hk"))
+    return finish(inc, chosen, th, seed, "product"), parts, top

@@ -15,7 +15,7 @@ from rangekeep.operators import structures as S
 from rangekeep.operators import twopass as T
 from rangekeep.operators.ipps import threshold, threshold_sql
 from rangekeep.operators.keys import keyed, keyed_sql
-from rangekeep.operators.product import sample_hypercube, sample_product
+from rangekeep.operators.product import _product, node_counts, sample_hypercube, sample_product
 from rangekeep.plans import workloads as W
 from rangekeep.plans.sampling_queries import EVENT_SQL, event_set, facts_sql, key_set, key_set_sql
 from rangekeep.sources import table
@@ -70,6 +70,17 @@ def _(spark, d):
 _facts_of("kd_pairs_inv", lambda s, d: key_set(s, d, "pairs"), key_set_sql("pairs"), 100, lambda k, s: sample_product(k, s, PAIR))
 _facts_of("kd_mixed_custday_inv", custday, DATE_SQL, 100, lambda k, s: sample_product(k, s, ["o_custkey", "day"]))
 _facts_of("kd_vecs_d3_inv", lambda s, d: vectors(s, d, 3), VEC_SQL, 64, lambda k, s: sample_product(k, s, ["x0", "x1", "x2"]))
+
+
+@query("kd_pairs_nodes", facts_sql(key_set_sql("pairs"), 2700))
+def _(spark, d):
+    """A kd sample beyond the levels cut in Spark, with the nodes of all levels off by one or more."""
+    out, parts, top = _product(key_set(spark, d, "pairs"), 2700, PAIR)
+    # rounding to ticks moves a node's mass by half a tick a key at most
+    bad = node_counts(parts, top, out.rows.where("NOT is_heavy")).agg(F.count_if(F.col("off") >= 1.000001).alias("violations"))
+    return _summary_facts(out).join(bad, F.lit(True))
+
+
 _facts_of("two_pass_pairs", lambda s, d: key_set(s, d, "pairs"), key_set_sql("pairs"), 1000, lambda k, s: T.two_pass(k, s, T.Product(PAIR)))
 _facts_of("two_pass_events", event_set, EVENT_SQL, 2700, lambda k, s: T.two_pass(k, s, T.Product(["code", "user_id"])))
 _facts_of("two_pass_docs_heavy", lambda s, d: key_set(s, d, "docs"), key_set_sql("docs"), 300, lambda k, s: T.two_pass(k, s, T.Product(["doc_id"]), guide="varopt"))
