@@ -1,13 +1,24 @@
-"""kd trees that balance probability mass: built from arrays, located by vectors, with ordered or hierarchical axes."""
+"""kd trees that balance probability mass: built from arrays, located by vectors, with ordered or hierarchical axes.
+
+An axis is a vector (ordered), a `Codes` vector (integer codes whose leading bits are a binary hierarchy) or a matrix of
+levels, coarse to fine (a hierarchy of any fan-out).
+"""
 
 from __future__ import annotations
 
 from dataclasses import dataclass, field
-from itertools import combinations
 
 import numpy as np
 
 
+class Codes(np.ndarray):
+    """A vector of integer codes that is cut at prefixes only."""
+
+    @staticmethod
+    def of(v: np.ndarray) -> Codes:
+        return np.asarray(v, np.int64).view(Codes)
+
+
 @dataclass
 class Tree:
     """Nodes in the order of their making; node 0 is the root. Leaves have axis -1."""
@@ -29,11 +40,12 @@ class Tree:
         return [i for i, a in enumerate(self.axis) if a < 0]
 
     def locate(self, axes: list[np.ndarray]) -> np.ndarray:
-        """Leaf of each point; every point of the domain lies in one. Ordered axes are vectors, hierarchical ones matrices of levels."""
-        n = len(axes[0])
-        at = np.zeros(n, np.int64)
+        """Leaf of each point; every point of the domain lies in one."""
+        at = np.zeros(len(axes[0]), np.int64)
         axis, left, right = np.array(self.axis), np.array(self.left), np.array(self.right)
-        plain = np.array([c if isinstance(c, int | float | np.integer | np.floating) else 0 for c in self.cut])
+        # an ordered cut is the stretch up to its value, a cut of codes the stretch of one prefix
+        low = np.array([c[0] if a >= 0 and axes[a].ndim == 1 and isinstance(c, tuple) else -np.inf for a, c in zip(self.axis, self.cut, strict=True)])
+        high = np.array([(c[1] if isinstance(c, tuple) else c) if a >= 0 and axes[a].ndim == 1 else 0 for a, c in zip(self.axis, self.cut, strict=True)])
         while True:
             moving = np.flatnonzero(axis[at] >= 0)
             if not len(moving):
@@ -45,11 +57,13 @@ class Tree:
                 if not mine.any():
                     continue
                 if values.ndim == 1:
-                    go[mine] = values[moving[mine]] <= plain[node[mine]]
-                else:
-                    for x in np.unique(node[mine]):
-                        sel = np.flatnonzero(node == x)
-                        go[sel] = goes_left(values[moving[sel]], self.cut[x])
+                    v, n = np.asarray(values)[moving[mine]], node[mine]
+                    go[mine] = (low[n] <= v) & (v <= high[n])
+                    continue
+                rows = np.flatnonzero(mine)
+                rows = rows[np.argsort(node[rows], kind="stable")]
+                for part in np.split(rows, np.flatnonzero(np.diff(node[rows])) + 1):
+                    go[part] = goes_left(values[moving[part]], self.cut[node[part[0]]])
             at[moving] = np.where(go, left[node], right[node])
 
 
@@ -63,18 +77,47 @@ def ordered_cut(v: np.ndarray, m: np.ndarray):
     return sv[ends[np.abs(2 * c[ends] - c[-1]).argmin()]]
 
 
-def _subset(masses: list[float], goal: float) -> frozenset[int]:
+def _subset(masses: np.ndarray, goal: float) -> np.ndarray:
     """Positions whose masses come nearest the goal, neither none nor all: exact up to 16, else by falling size while it fits."""
     n = len(masses)
     if n <= 16:
-        best = min((c for k in range(1, n) for c in combinations(range(n), k)), key=lambda c: (abs(sum(masses[i] for i in c) - goal), c))
-        return frozenset(best)
-    got, held = set(), 0.0
-    for i in sorted(range(n), key=lambda i: (-masses[i], i)):
+        sums = np.zeros(1)
+        for m in masses:
+            sums = np.concatenate([sums, sums + m])
+        best = int(np.abs(sums[1:-1] - goal).argmin()) + 1
+        return np.flatnonzero((best >> np.arange(n)) & 1)
+    got, held = [], 0.0
+    for i in np.lexsort((np.arange(n), -masses)):
         if (abs(held + masses[i] - goal) <= abs(held - goal) and len(got) < n - 1) or not got:
-            got.add(i)
+            got.append(i)
             held += masses[i]
-    return frozenset(got)
+    return np.array(sorted(got))
+
+
+def code_cut(v: np.ndarray, m: np.ndarray):
+    """(low, high) of the codes under one prefix whose mass comes nearest half: down the heavier child while it has over half."""
+    order = np.argsort(v, kind="stable")
+    sv, c = np.asarray(v)[order], np.concatenate([[0.0], np.cumsum(m[order])])
+    lo, hi = 0, len(sv)
+    while int(sv[lo]) != int(sv[hi - 1]):
+        bit = (int(sv[lo]) ^ int(sv[hi - 1])).bit_length() - 1
+        at = lo + int(np.searchsorted(sv[lo:hi], (int(sv[hi - 1]) >> bit) << bit))
+        lo, hi = (lo, at) if c[at] - c[lo] >= c[hi] - c[at] else (at, hi)
+        if 2 * (c[hi] - c[lo]) <= c[-1]:
+            break
+    # one code may outweigh all others: it stands against them
+    if hi - lo == len(sv):
+        return None
+    apart = int(sv[lo]) ^ int(sv[hi - 1])
+    fixed = apart.bit_length()
+    # the widest prefix that holds these codes and no other code at hand
+    while True:
+        start = (int(sv[lo]) >> (fixed + 1)) << (fixed + 1)
+        if fixed >= 62 or (lo and int(sv[lo - 1]) >= start) or (hi < len(sv) and int(sv[hi]) < start + (1 << (fixed + 1))):
+            break
+        fixed += 1
+    start = (int(sv[lo]) >> fixed) << fixed
+    return start, start + (1 << fixed) - 1
 
 
 def hierarchical_cut(levels: np.ndarray, m: np.ndarray):
@@ -84,10 +127,10 @@ def hierarchical_cut(levels: np.ndarray, m: np.ndarray):
         names, back = np.unique(levels[inside, d], return_inverse=True)
         masses = np.bincount(back, m[inside])
         if len(names) > 1 and (2 * masses.max() <= total or d == levels.shape[1] - 1):
-            pick = _subset(list(masses), total / 2)
+            pick = _subset(masses, total / 2)
             other = total - m[inside].sum()
-            side = abs(masses[list(pick)].sum() + other - total / 2) < abs(masses[list(pick)].sum() - total / 2)
-            return prefix, frozenset(names[i] for i in pick), bool(side)
+            side = abs(masses[pick].sum() + other - total / 2) < abs(masses[pick].sum() - total / 2)
+            return prefix, frozenset(names[pick].tolist()), bool(side)
         heaviest = names[masses.argmax()]
         below = inside & (levels[:, d] == heaviest)
         if len(names) > 1 and len(np.unique(levels[below][:, d + 1 :], axis=0)) <= 1:
@@ -102,7 +145,7 @@ def goes_left(levels: np.ndarray, cut) -> np.ndarray:
     inside = np.ones(len(levels), bool)
     for d, p in enumerate(prefix):
         inside &= levels[:, d] == p
-    return np.where(inside, np.isin(levels[:, len(prefix)], list(names)), rest_left)
+    return np.where(inside, np.isin(levels[:, len(prefix)], np.array(sorted(names))), rest_left)
 
 
 def build(axes: list[np.ndarray], mass: np.ndarray, leaf_mass: float | None = None, first_axis: int = 0, depth: int | None = None, jitter=None) -> tuple[Tree, np.ndarray]:
@@ -122,7 +165,10 @@ def build(axes: list[np.ndarray], mass: np.ndarray, leaf_mass: float | None = No
         for turn in range(len(axes)):
             k = (d + first_axis + turn) % len(axes)
             v = axes[k][rows]
-            if v.ndim == 1:
+            if isinstance(v, Codes):
+                cut = code_cut(v, mass[rows])
+                go = (cut[0] <= np.asarray(v)) & (np.asarray(v) <= cut[1]) if cut is not None else None
+            elif v.ndim == 1:
                 m = mass[rows]
                 cut = ordered_cut(v, m) if jitter is None else _off_middle(v, m, jitter(node))
                 go = v <= cut if cut is not None else None

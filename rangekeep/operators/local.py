@@ -10,6 +10,17 @@ from rangekeep.functions import UNIT
 from rangekeep.operators.ipps import local_threshold
 
 
+def fresh(h: np.ndarray, turn: int) -> np.ndarray:
+    """Numbers in [0, 1) from 64-bit hashes of keys; every turn gives others, apart from each other and from the hashes' order."""
+    with np.errstate(over="ignore"):
+        x = np.asarray(h).view(np.uint64) + np.uint64((turn + 1) * 0x9E3779B97F4A7C15 % (1 << 64))
+        for _ in range(2):
+            x = (x ^ (x >> np.uint64(30))) * np.uint64(0xBF58476D1CE4E5B9)
+            x = (x ^ (x >> np.uint64(27))) * np.uint64(0x94D049BB133111EB)
+            x = x ^ (x >> np.uint64(31))
+    return (x >> np.uint64(11)).astype(np.float64) / float(1 << 53)
+
+
 def chain(group: np.ndarray, t: np.ndarray, u: np.ndarray) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
     """Of rows sorted by group: (sampled row numbers, last takers' row numbers, their masses), undecided masses of zero left out."""
     n = len(t)
@@ -90,16 +101,19 @@ def replay(masses: list, rounds: list[tuple[int, int, str]], unit=1) -> list[lis
     return states
 
 
-def shrink(adjusted: np.ndarray, s: int, u: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
-    """(kept row numbers, their adjusted weights): s of the rows, blind to structure; all rows if they are no more than s."""
+def shrink(adjusted: np.ndarray, s: int, h: np.ndarray, turn: int) -> tuple[np.ndarray, np.ndarray]:
+    """(kept row numbers, their adjusted weights): s of the rows, blind to structure; all rows if they are no more than s.
+
+    h are 64-bit hashes of the keys; a key must not meet the same turn twice.
+    """
     n = len(adjusted)
     if n <= s:
         return np.arange(n), adjusted
     tau = local_threshold(adjusted, float(adjusted.sum()), s)
     t = np.floor(np.minimum(1.0, adjusted / tau) * UNIT + 0.5).astype(np.int64)
     heavy, light = np.flatnonzero(t >= UNIT), np.flatnonzero((t > 0) & (t < UNIT))
-    light = light[np.argsort(u[light], kind="stable")]
-    # the order is by u, so the draws turn it by half to stay apart from it
-    got, left, mass = chain(np.zeros(len(light), np.int64), t[light], (u[light] * 7919.0) % 1.0)
+    # the order and the draws come from different numbers, or rows late in the order would draw high
+    light = light[np.argsort(fresh(h[light], 2 * turn), kind="stable")]
+    got, left, mass = chain(np.zeros(len(light), np.int64), t[light], fresh(h[light], 2 * turn + 1))
     rows = np.concatenate([heavy, light[got], light[left[:1]] if len(left) and mass[0] * 2 >= UNIT else light[:0]])
     return rows, np.maximum(adjusted[rows], tau)

@@ -15,10 +15,11 @@ from rangekeep.operators import structures as S
 from rangekeep.operators import twopass as T
 from rangekeep.operators.ipps import threshold, threshold_sql
 from rangekeep.operators.keys import keyed, keyed_sql
-from rangekeep.operators.product import _product, node_counts, sample_hypercube, sample_product
+from rangekeep.operators.product import _product, node_counts, sample_hypercube
 from rangekeep.plans import workloads as W
 from rangekeep.plans.sampling_queries import EVENT_SQL, event_set, facts_sql, key_set, key_set_sql
 from rangekeep.sources import table
+from rangekeep.sources.shared import keep
 
 QUERIES, SQL = {}, {}
 
@@ -39,9 +40,29 @@ def _summary_facts(out):
     )
 
 
-def _facts_of(name, make, set_sql, s, sample):
-    sql = facts_sql(set_sql, s).replace(", 0::BIGINT AS violations", "")
-    query(name, sql)(lambda spark, d: _summary_facts(sample(make(spark, d), s)))
+def _kd(name, make, set_sql, s, axes):
+    """A kd sample's facts, with the nodes of all levels that are off by one or more."""
+
+    def run(spark, d):
+        out, parts, top = _product(keep(make(spark, d)), s, axes)
+        rows = keep(out.rows)
+        # rounding to ticks moves a node's mass by half a tick a key at most
+        bad = node_counts(parts, top, rows.where("NOT is_heavy")).agg(F.count_if(F.col("off") >= 1.000001).alias("violations"))
+        return _summary_facts(S.Summary(rows, out.th, out.seed, out.structure)).join(bad, F.lit(True))
+
+    query(name, facts_sql(set_sql, s))(run)
+
+
+def _two(name, make, set_sql, s, structure, **how):
+    """A two-pass sample's facts, with the nodes over its cells (or prefixes of cells in a line) that are off by one or more."""
+
+    def run(spark, d):
+        k = keep(make(spark, d))
+        out, fitted = T._two_pass(k, s, structure(), **how)
+        out = S.Summary(keep(out.rows), out.th, out.seed, out.structure)
+        return _summary_facts(out).withColumn("violations", F.lit(T.nodes_off(k, out, fitted)[0]).cast("bigint"))
+
+    query(name, facts_sql(set_sql, s))(run)
 
 
 PAIR = ["l_partkey", "l_suppkey"]
@@ -67,44 +88,68 @@ def _(spark, d):
     return sample_hypercube(spark, 10, 2).select("cell", F.round("x0", 9).alias("x0"), F.round("x1", 9).alias("x1"))
 
 
-_facts_of("kd_pairs_inv", lambda s, d: key_set(s, d, "pairs"), key_set_sql("pairs"), 100, lambda k, s: sample_product(k, s, PAIR))
-_facts_of("kd_mixed_custday_inv", custday, DATE_SQL, 100, lambda k, s: sample_product(k, s, ["o_custkey", "day"]))
-_facts_of("kd_vecs_d3_inv", lambda s, d: vectors(s, d, 3), VEC_SQL, 64, lambda k, s: sample_product(k, s, ["x0", "x1", "x2"]))
-
-
-@query("kd_pairs_nodes", facts_sql(key_set_sql("pairs"), 2700))
-def _(spark, d):
-    """A kd sample beyond the levels cut in Spark, with the nodes of all levels off by one or more."""
-    out, parts, top = _product(key_set(spark, d, "pairs"), 2700, PAIR)
-    # rounding to ticks moves a node's mass by half a tick a key at most
-    bad = node_counts(parts, top, out.rows.where("NOT is_heavy")).agg(F.count_if(F.col("off") >= 1.000001).alias("violations"))
-    return _summary_facts(out).join(bad, F.lit(True))
-
-
-_facts_of("two_pass_pairs", lambda s, d: key_set(s, d, "pairs"), key_set_sql("pairs"), 1000, lambda k, s: T.two_pass(k, s, T.Product(PAIR)))
-_facts_of("two_pass_events", event_set, EVENT_SQL, 2700, lambda k, s: T.two_pass(k, s, T.Product(["code", "user_id"])))
-_facts_of("two_pass_docs_heavy", lambda s, d: key_set(s, d, "docs"), key_set_sql("docs"), 300, lambda k, s: T.two_pass(k, s, T.Product(["doc_id"]), guide="varopt"))
-_facts_of("two_pass_vecs_d5", lambda s, d: vectors(s, d, 5), VEC_SQL, 100, lambda k, s: T.two_pass(k, s, T.Product([f"x{i}" for i in range(5)], leaf_mass=1.0)))
-_facts_of("two_pass_disjoint", lambda s, d: key_set(s, d, "docs"), key_set_sql("docs"), 300, lambda k, s: T.two_pass(k, s, T.Disjoint("source")))
-_facts_of("two_pass_order", lambda s, d: key_set(s, d, "shipday"), key_set_sql("shipday"), 100, lambda k, s: T.two_pass(k, s, T.Order("l_shipdate"), guide_factor="slogs"))
-_facts_of("two_pass_hier_linear", lambda s, d: key_set(s, d, "docs"), key_set_sql("docs"), 300, lambda k, s: T.two_pass(k, s, T.Hierarchy(["lang", "source", "hk"], "linear"), guide="reservoir"))
-_facts_of("two_pass_hier_anc", lambda s, d: key_set(s, d, "docs"), key_set_sql("docs"), 300, lambda k, s: T.two_pass(k, s, T.Hierarchy(["lang", "source"], "ancestors")))
+def nations(spark, d):
+    """Customers by day, with the customer's nation and region."""
+    o = table(spark, d, "orders").select("o_custkey", F.datediff("o_orderdate", F.lit("1990-01-01")).alias("day"), "o_totalprice")
+    c = table(spark, d, "customer").select("c_custkey", "c_nationkey").join(F.broadcast(table(spark, d, "nation").select("n_nationkey", "n_regionkey")), F.col("c_nationkey") == F.col("n_nationkey"))
+    return keyed(o.join(c, F.col("o_custkey") == F.col("c_custkey")), ["o_custkey", "day"], "o_totalprice", 100, carry=["n_regionkey", "c_nationkey"])
+
+
+NATIONS_SQL = "k AS (" + keyed_sql("(SELECT o_custkey, date_diff('day', DATE '1990-01-01', o_orderdate::DATE) AS day, o_totalprice FROM orders JOIN customer ON o_custkey = c_custkey JOIN nation ON c_nationkey = n_nationkey) x", ["o_custkey", "day"], "o_totalprice", 100) + ")"
+CUSTOMER = T.Levels(("n_regionkey", "c_nationkey", "o_custkey"))
+
+
+def flows(spark, d):
+    """Flows from parts (brand, type, part) to suppliers (region, nation, supplier): both ends are hierarchies, also packed into codes."""
+    p = table(spark, d, "part").select("p_partkey", "p_brand", "p_type")
+    s = table(spark, d, "supplier").join(F.broadcast(table(spark, d, "nation")), F.col("s_nationkey") == F.col("n_nationkey")).select("s_suppkey", "s_nationkey", "n_regionkey")
+    rows = table(spark, d, "lineitem").select(*PAIR, "l_extendedprice").join(p, F.col("l_partkey") == F.col("p_partkey")).join(s, F.col("l_suppkey") == F.col("s_suppkey"))
+    k = keyed(rows, PAIR, "l_extendedprice", 100, carry=["p_brand", "p_type", "n_regionkey", "s_nationkey"])
+    left = lambda c, n: F.shiftleft(c.cast("bigint"), n)
+    # 16 bits of brand and type, 32 of the part; 3 of the region, 5 of the nation, 32 of the supplier
+    source = left(F.pmod(F.crc32("p_brand"), F.lit(256)), 40) + left(F.pmod(F.crc32("p_type"), F.lit(256)), 32) + F.col("l_partkey")
+    target = left(F.col("n_regionkey"), 37) + left(F.col("s_nationkey"), 32) + F.col("l_suppkey")
+    return k.withColumns({"source_code": source, "target_code": target})
+
+
+FLOWS_SQL = "k AS (" + keyed_sql("(SELECT l_partkey, l_suppkey, l_extendedprice FROM lineitem JOIN part ON l_partkey = p_partkey JOIN supplier ON l_suppkey = s_suppkey JOIN nation ON s_nationkey = n_nationkey) x", PAIR, "l_extendedprice", 100) + ")"
+FLOW_AXES = [T.Levels(("p_brand", "p_type", "l_partkey")), T.Levels(("n_regionkey", "s_nationkey", "l_suppkey"))]
+TICKET_AXES = [T.Levels(("event_type", "code")), T.Prefixes("user_id")]
+
+_kd("kd_pairs_inv", lambda s, d: key_set(s, d, "pairs"), key_set_sql("pairs"), 100, PAIR)
+_kd("kd_custday_inv", custday, DATE_SQL, 100, ["o_custkey", "day"])
+_kd("kd_mixed_custday_inv", nations, NATIONS_SQL, 100, [CUSTOMER, "day"])
+_kd("kd_flow_codes_inv", flows, FLOWS_SQL, 200, [T.Prefixes("source_code"), T.Prefixes("target_code")])
+_kd("kd_vecs_d3_inv", lambda s, d: vectors(s, d, 3), VEC_SQL, 64, ["x0", "x1", "x2"])
+_kd("kd_pairs_nodes", lambda s, d: key_set(s, d, "pairs"), key_set_sql("pairs"), 2700, PAIR)
+
+_two("two_pass_pairs", lambda s, d: key_set(s, d, "pairs"), key_set_sql("pairs"), 1000, lambda: T.Product(PAIR))
+_two("two_pass_flows", flows, FLOWS_SQL, 1000, lambda: T.Product(FLOW_AXES))
+_two("two_pass_flow_codes", flows, FLOWS_SQL, 1000, lambda: T.Product([T.Prefixes("source_code"), T.Prefixes("target_code")]))
+_two("two_pass_events", event_set, EVENT_SQL, 2700, lambda: T.Product(TICKET_AXES))
+_two("two_pass_mixed", nations, NATIONS_SQL, 300, lambda: T.Product([CUSTOMER, "day"]), guide="poisson")
+_two("two_pass_docs_heavy", lambda s, d: key_set(s, d, "docs"), key_set_sql("docs"), 300, lambda: T.Product(["doc_id"]), guide="poisson")
+_two("two_pass_vecs_d5", lambda s, d: vectors(s, d, 5), VEC_SQL, 100, lambda: T.Product([f"x{i}" for i in range(5)], leaf_mass=1.0), guide="reservoir")
+_two("two_pass_disjoint", lambda s, d: key_set(s, d, "docs"), key_set_sql("docs"), 300, lambda: T.Disjoint("source"))
+_two("two_pass_order", lambda s, d: key_set(s, d, "shipday"), key_set_sql("shipday"), 100, lambda: T.Order("l_shipdate"), guide_factor="slogs")
+_two("two_pass_hier_linear", lambda s, d: key_set(s, d, "docs"), key_set_sql("docs"), 300, lambda: T.Hierarchy(["lang", "source", "doc_id"], "linear"), guide="reservoir")
+_two("two_pass_hier_anc", lambda s, d: key_set(s, d, "docs"), key_set_sql("docs"), 300, lambda: T.Hierarchy(["lang", "source"], "ancestors"))
 
 _G = f"WITH {key_set_sql('docs')},{threshold_sql('k', 500, 'g')}"
 
 
 @query("guide_poisson", _G + f" SELECT doc_id FROM k, g WHERE units > 0 AND (units >= tau OR {uniform_sql('guide', 1, 'hk')} < least(1.0::DOUBLE, units / tau))")
 def _(spark, d):
-    return T.draw_guide(key_set(spark, d, "docs"), 500, "poisson", ["doc_id"], 1)[0].select("doc_id")
+    t = T.draw_guide(key_set(spark, d, "docs"), 500, "poisson", ["doc_id"], 1).rows
+    return spark.createDataFrame(t.select(["doc_id"]))
 
 
-@query("tau_from_guide", f"WITH {key_set_sql('docs')},{threshold_sql('k', 300)} SELECT round(tau, 6) AS tau FROM th")
+@query("tau_from_guide", f"WITH {key_set_sql('docs')},{threshold_sql('k', 300)} SELECT round(tau, 6) AS tau, k, heavy, total, n FROM th")
 def _(spark, d):
-    k = key_set(spark, d, "docs")
-    rows, _ = T.draw_guide(k, 900, "poisson", ["doc_id"], 1)
-    th = threshold(k, 300)
-    units = np.array([r.units for r in rows.select("units").collect()], float)
-    return spark.createDataFrame([(round(float(T.threshold_from_guide(units, th.total, th.n, 300)), 6),)], "tau double")
+    """The threshold from the one-scan guide alone, equal to that from a sort of all keys."""
+    g = T.draw_guide(key_set(spark, d, "docs"), 900, "varopt", ["doc_id"], 1)
+    th = T.threshold_from_guide(np.asarray(g.rows.column("units")), g.total, g.n, 300)
+    return spark.createDataFrame([(round(th.tau, 6), th.k, th.heavy, th.total, th.n)], "tau double, k bigint, heavy bigint, total bigint, n bigint")
 
 
 @query("kd_hier_axis_inv", "SELECT count(DISTINCT n_nationkey) AS points, count(DISTINCT n_nationkey) AS leaves, true AS balanced FROM nation")

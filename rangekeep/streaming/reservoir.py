@@ -13,43 +13,75 @@ import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from rangekeep.functions import uniform
 from rangekeep.operators.local import shrink
 
 FAN_IN = 32
 
 
-def _fold(s: int):
+#: Rows that a task gathers before it works on them.
+AT_ONCE = 65_536
+LOW = (1 << 40) - 1
+
+
+def gathered(batches, rows: int = AT_ONCE):
+    """Tables of at least so many rows, but for the last, from record batches."""
+    held, n = [], 0
+    for b in batches:
+        if b.num_rows:
+            held.append(b)
+            n += b.num_rows
+        if n >= rows:
+            yield pa.Table.from_batches(held)
+            held, n = [], 0
+    if held:
+        yield pa.Table.from_batches(held)
+
+
+def _fold(s: int, turn: int):
+    """A reservoir over a task's rows; the totals of all rows met (weight in two parts, and number) stay with the first one kept."""
+
     def run(batches):
-        hk, units, adj, u = [], np.zeros(0, np.int64), np.zeros(0), np.zeros(0)
-        for b in batches:
-            hk = hk + b.column(0).to_pylist()
-            units = np.concatenate([units, np.asarray(b.column(1))])
-            adj = np.concatenate([adj, np.asarray(b.column(2))])
-            u = np.concatenate([u, np.asarray(b.column(3))])
-            rows, adj = shrink(adj, s, u)
-            hk, units = [hk[i] for i in rows], units[rows]
-            u = (u[rows] * 104729.0 + 0.5) % 1.0  # fresh numbers for the next draw
-        if hk:
-            yield pa.RecordBatch.from_arrays([pa.array(hk), pa.array(units), pa.array(adj), pa.array(u)], ["hk", "units", "adj_weight", "u"])
+        held, adj, now, sums = None, np.zeros(0), turn, [0, 0, 0]
+        for t in gathered(batches):
+            sums = [x + int(np.asarray(t.column(c)).sum()) for x, c in zip(sums, ("hi", "lo", "met"), strict=True)]
+            adj = np.concatenate([adj, np.asarray(t.column("adj_weight"))])
+            t = t if held is None else pa.concat_tables([held, t])
+            rows, adj = shrink(adj, s, np.asarray(t.column("h")), now)
+            held, now = t.take(pa.array(rows)).combine_chunks(), now + 1
+        if held is None or not held.num_rows:
+            return
+        sums = [sums[0] + (sums[1] >> 40), sums[1] & LOW, sums[2]]
+        first = np.arange(held.num_rows) == 0
+        for c, x in zip(("hi", "lo", "met"), sums, strict=True):
+            held = held.set_column(held.schema.get_field_index(c), c, pa.array(np.where(first, x, 0)))
+        held = held.set_column(held.schema.get_field_index("adj_weight"), "adj_weight", pa.array(adj))
+        yield from held.to_batches()
 
     return run
 
 
-def varopt_reservoir(keys: DataFrame, s: int, seed: int = 1, fan_in: int = FAN_IN) -> DataFrame:
-    """(hk, units, adj_weight) in one scan: a reservoir for each task, then merges of fan_in reservoirs at a time.
+def varopt_reservoir(keys: DataFrame, s: int, seed: int = 1, fan_in: int = FAN_IN, columns: tuple[str, ...] = (), totals: bool = False) -> DataFrame:
+    """(hk, units, adj_weight, columns...) in one scan: a reservoir for each task, then rounds of merges, each by fan_in fewer tasks.
 
-    A merge task reads at most fan_in * s rows, however many tasks there were.
+    A task holds s rows and those that it has just read. With totals, the sums of hi * 2^40 + lo and of met over the
+    rows are the weight and the number of all keys.
     """
-    kind = "hk string, units bigint, adj_weight double, u double"
-    rows = keys.where("units > 0").select("hk", "units", F.col("units").cast("double").alias("adj_weight"), uniform("reservoir", seed, "hk").alias("u"))
-    parts = rows.rdd.getNumPartitions()
-    rows = rows.mapInArrow(_fold(s), kind)
+    extra = [c for c in dict.fromkeys(columns) if c not in ("hk", "units")]
+    low = F.col("units").bitwiseAND(F.lit(LOW))
+    rows = keys.where("units > 0").select(
+        "hk", "units", F.col("units").cast("double").alias("adj_weight"), *extra, F.xxhash64(F.lit(f"reservoir|{seed}"), "hk").alias("h"),
+        F.shiftright("units", 40).alias("hi"), low.alias("lo"), F.lit(1).cast("bigint").alias("met"),
+    )
+    schema, level = rows.schema, 0
+    rows = rows.mapInArrow(_fold(s, 0), schema)
+    parts = int(keys.sparkSession.conf.get("spark.sql.shuffle.partitions"))
     while parts > 1:
-        parts = -(-parts // fan_in)
-        rows = rows.coalesce(parts) if parts > 1 else rows.repartition(1)
-        rows = rows.mapInArrow(_fold(s), kind)
-    return rows.select("hk", "units", "adj_weight")
+        parts, level = -(-parts // fan_in), level + 1
+        # not coalesce, which would hand the scan to as few tasks as the merge
+        rows = rows.repartition(parts).mapInArrow(_fold(s, level << 32), schema)
+    if level == 0:
+        rows = rows.repartition(1).mapInArrow(_fold(s, 1 << 32), schema)
+    return rows if totals else rows.drop("h", "hi", "lo", "met")
 
 
 def event_stream(spark, d: str, files: int = 1):
@@ -66,25 +98,26 @@ def varopt_stream(events: DataFrame, ts: str, key: str, w: str, s: int, window:
     rows = events.withWatermark(ts, late).where(F.col(w) > 0)
     rows = rows.select(
         F.window(ts, window)["start"].alias("start"), F.window(ts, window)["end"].alias("until"), F.col(key).cast("string").alias("hk"),
-        F.floor(F.col(w) * 100 + 0.5).cast("bigint").alias("units"), uniform("stream", seed, key).alias("u"), ts,
+        F.floor(F.col(w) * 100 + 0.5).cast("bigint").alias("units"), F.xxhash64(F.lit(f"stream|{seed}"), key).alias("h"), ts,
     )
     out = "start timestamp, hk string, units bigint, adj_weight double"
-    state = "hk array<string>, units array<bigint>, adj array<double>, u array<double>"
+    state = "hk array<string>, units array<bigint>, adj array<double>, h array<bigint>, turn bigint"
 
     def step(group, frames, held):
         start, until = group
         if held.hasTimedOut:
-            hk, units, adj, _ = held.get
+            hk, units, adj, _, _ = held.get
             held.remove()
             yield pd.DataFrame({"start": [start] * len(hk), "hk": list(hk), "units": list(units), "adj_weight": list(adj)})
             return
-        hk, units, adj, u = (list(x) for x in held.get) if held.exists else ([], [], [], [])
+        *lists, turn = held.get if held.exists else ([], [], [], [], 0)
+        hk, units, adj, h = (list(x) for x in lists)
         for f in frames:
-            hk, units, adj, u = hk + list(f.hk), units + list(f.units), adj + [float(x) for x in f.units], u + list(f.u)
-            rows, kept = shrink(np.array(adj), s, np.array(u))
-            hk, units, adj = [hk[i] for i in rows], [int(units[i]) for i in rows], [float(x) for x in kept]
-            u = [(u[i] * 104729.0 + 0.5) % 1.0 for i in rows]
-        held.update((hk, [int(x) for x in units], adj, u))
+            hk, units, adj, h = hk + list(f.hk), units + list(f.units), adj + [float(x) for x in f.units], h + list(f.h)
+            rows, kept = shrink(np.array(adj), s, np.array(h, np.int64), turn)
+            turn += 1
+            hk, units, h, adj = [hk[i] for i in rows], [int(units[i]) for i in rows], [int(h[i]) for i in rows], [float(x) for x in kept]
+        held.update((hk, units, adj, h, turn))
         edge = int(pd.Timestamp(until).timestamp() * 1000)
         held.setTimeoutTimestamp(max(edge, held.getCurrentWatermarkMs() + 1))
         return

@@ -101,7 +101,7 @@ def test_general_loop_keeps_sum():
 
 def test_shrink_keeps_total():
     w = np.random.default_rng(1).pareto(1.2, 500) * 100 + 1
-    rows, adj = local.shrink(w, 50, np.random.default_rng(2).random(500))
+    rows, adj = local.shrink(w, 50, np.random.default_rng(2).integers(0, 1 << 62, 500), 0)
     assert len(rows) == len(set(rows)) == 50 and abs(adj.sum() / w.sum() - 1) < 1e-9
 
 

@@ -148,8 +148,8 @@ def test_kd_nodes_hold_one_unit(spark):
 
     rng = np.random.default_rng(3)
     k = spark.createDataFrame([(i, int(x), int(y), float(w)) for i, (x, y, w) in enumerate(zip(rng.permutation(4000), rng.permutation(4000), rng.integers(50, 100, 4000), strict=True))], "id bigint, x bigint, y bigint, w double")
-    out, parts, top = product._product(keyed(k, ["id"], "w", carry=["x", "y"]), 1000, ["x", "y"])
+    out, parts, top = product._product(keyed(k, ["id"], "w", carry=["x", "y"]), 1000, ["x", "y"], part_rows=300)
     chosen = out.rows.select("hk", "is_heavy").collect()
-    assert len(chosen) == len({r.hk for r in chosen}) == 1000 and top == product.MOST_DEPTH
+    assert len(chosen) == len({r.hk for r in chosen}) == 1000 and 4 <= top < 9
     assert parts.groupBy("node", "way").agg((F.sum("ticks") / float(1 << 40)).alias("m")).agg(F.max("m")).first()[0] <= 1
     assert product.node_counts(parts, top, out.rows).agg(F.max("off")).first()[0] < 1 + 1e-6
