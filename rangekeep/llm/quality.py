@@ -4,12 +4,16 @@ Base counts of each text (null: empty): n_words, word_chars, n_symbols, n_dup_li
 the base if it has under 50 words or if repeated three-word windows cover over half of its words.
 
 The method compares two histograms of each document with those of its language over the whole corpus, by
-Jensen-Shannon divergence in bits: classes of characters (lower, upper, digit, space, mark, other) and the share of
-each of the language's frequent function words. A text of under `least_words` words isn't judged by it,
-and the limit for common words is wider by `noise` / n_words, since short texts stray. A document whose language is
-null or has under `least_docs` documents is held against every language, small ones too, and the nearest counts; where no document
-has a language the base rules alone decide. Extra columns stay out of the result but `columns`; repeated rows are judged each
-alike; an empty table gives an empty result.
+Jensen-Shannon distance (the root of the divergence in bits): classes of characters (lower, upper, digit, space, mark,
+other) and the share of each of some very frequent words. A language's reference is its documents' counts and, as a
+prior, the corpus's shares for `prior` characters or words, so that a language of few documents leans on the corpus a
+little and one of many not at all, without a step between them. A document without a language is held against every
+language, and the nearest counts; all are also held against the corpus, since a text in several languages is near it.
+A text of under `least_words` words isn't judged by the method, and the limit for common words is wider by `noise` /
+n_words under the root, since short texts stray. Where no document has a language the base rules alone decide.
+Languages are a few hundred at most, so their references are sent to the rows.
+
+Extra columns stay out of the result but `columns`; repeated rows are judged each alike; an empty table gives an empty result.
 """
 
 from __future__ import annotations
@@ -22,9 +26,11 @@ from rangekeep.llm._shared import keep, small
 # Very frequent function words of four languages.
 COMMON = ("the", "of", "and", "to", "in", "is", "der", "die", "und", "das", "ein", "von", "de", "la", "le", "et", "les", "que", "el", "en", "y", "los", "a", "un")
 LEAST_WORDS = 50
+#: Squares of the largest distances; the second grows by COMMON_NOISE / n_words.
 MOST_CLASSES = 0.05
 MOST_COMMON, COMMON_NOISE = 0.058, 0.8
-LEAST_DOCS = 100
+#: Characters or words of the corpus in a language's reference.
+PRIOR = 1000.0
 
 
 def _less(text: Column, chars: str) -> Column:
@@ -111,17 +117,19 @@ def measures(docs: DataFrame, text: str = "text", lang: str = "lang", columns: t
     )
 
 
-def references(measured: DataFrame, least_docs: int = LEAST_DOCS) -> DataFrame:
-    """Histograms summed over each language's documents, and over all (language null); `__few` marks those of under least_docs documents."""
-    sums = [F.sum(F.col(c)[i]).alias(f"{c}{i}") for c, n in (("__classes", 6), ("__common", len(COMMON) + 1)) for i in range(n)]
-    folded = measured.rollup("__lang").agg(F.count("*").alias("n"), F.grouping("__lang").alias("all"), *sums)
-    folded = folded.where((F.col("all") == 1) | F.col("__lang").isNotNull())
-    return folded.select(
-        F.col("__lang").alias("__of"),
-        ((F.col("all") == 0) & (F.col("n") < least_docs)).alias("__few"),
-        F.array(*[F.col(f"__classes{i}").cast("double") for i in range(6)]).alias("__r_classes"),
-        F.array(*[F.col(f"__common{i}").cast("double") for i in range(len(COMMON) + 1)]).alias("__r_common"),
-    )
+def references(measured: DataFrame, prior: float = PRIOR) -> DataFrame:
+    """(__of, __r_classes, __r_common): each language's histograms with the prior, and the whole corpus's (language null)."""
+    parts = [(c, i) for c, n in (("__classes", 6), ("__common", len(COMMON) + 1)) for i in range(n)]
+    folded = measured.rollup("__lang").agg(F.grouping("__lang").alias("all"), *[F.sum(F.col(c)[i]).cast("double").alias(f"{c}{i}") for c, i in parts])
+    # the corpus's own sums are the largest of each column, and stand beside each language's
+    whole = folded.where("all = 1").select(*[F.col(f"{c}{i}").alias(f"w{c}{i}") for c, i in parts])
+    rows = folded.where((F.col("all") == 1) | F.col("__lang").isNotNull()).join(F.broadcast(whole), F.lit(True))
+
+    def smooth(c: str, n: int) -> Column:
+        total = sum((F.coalesce(F.col(f"w{c}{i}"), F.lit(0.0)) for i in range(n)), F.lit(0.0))
+        return F.array(*[F.col(f"{c}{i}") + F.when(total > 0, prior * F.col(f"w{c}{i}") / total).otherwise(0.0) for i in range(n)])
+
+    return rows.select(F.when(F.col("all") == 0, F.col("__lang")).alias("__of"), smooth("__classes", 6).alias("__r_classes"), smooth("__common", len(COMMON) + 1).alias("__r_common"))
 
 
 def divergence(a: Column, b: Column) -> Column:
@@ -136,15 +144,15 @@ def divergence(a: Column, b: Column) -> Column:
     return F.when((na > 0) & (nb > 0), total / 2).otherwise(1.0)
 
 
-def judge(measured: DataFrame, least_words: int = LEAST_WORDS, most_classes: float = MOST_CLASSES, most_common: float = MOST_COMMON, noise: float = COMMON_NOISE, least_docs: int = LEAST_DOCS) -> DataFrame:
-    """measured with base_failed, the two divergences and kept."""
-    refs = keep(references(measured, least_docs))
+def judge(measured: DataFrame, least_words: int = LEAST_WORDS, most_classes: float = MOST_CLASSES, most_common: float = MOST_COMMON, noise: float = COMMON_NOISE, prior: float = PRIOR) -> DataFrame:
+    """measured with base_failed, the two distances and kept."""
+    refs = keep(references(measured, prior))
     # the sums over the whole corpus are one row of some thirty numbers
     whole = {"classes": [], "common": []} | {k: r[f"__r_{k}"] for r in refs.where(F.col("__of").isNull()).collect() for k in ("classes", "common")}
     whole = {k: F.array(*[F.lit(x) for x in v]).cast("array<double>") for k, v in whole.items()}
     own = refs.where(F.col("__of").isNotNull())
     # a language may hold a third of all rows: the few references go to the rows, not the rows to them
-    rows = measured.join(small(own.where(~F.col("__few")).drop("__few")), F.col("__lang") == F.col("__of"), "left")
+    rows = measured.join(small(own), F.col("__lang") == F.col("__of"), "left")
     # one row of all languages' references, for the rows that have none of their own
     every = own.agg(F.collect_list(F.struct(F.col("__r_classes").alias("classes"), F.col("__r_common").alias("common"))).alias("__every"))
     rows = rows.join(F.broadcast(every), F.col("__of").isNull(), "left")
@@ -153,8 +161,8 @@ def judge(measured: DataFrame, least_words: int = LEAST_WORDS, most_classes: flo
         counts = F.col(f"__{c}").cast("array<double>")
         nearest = F.array_min(F.transform("__every", lambda r: divergence(counts, r[c])))
         mine = F.when(F.col("__of").isNotNull(), divergence(counts, F.col(f"__r_{c}"))).otherwise(nearest)
-        # a text in several languages is near the whole corpus, though far from the one it is filed under
-        return F.least(mine, divergence(counts, whole[c]))
+        # rounding may leave a divergence of none just under zero
+        return F.sqrt(F.greatest(F.lit(0.0), F.least(mine, divergence(counts, whole[c]))))
 
     rows = rows.withColumns({
         "jsd_classes": near("classes"),
@@ -162,7 +170,7 @@ def judge(measured: DataFrame, least_words: int = LEAST_WORDS, most_classes: flo
         "base_failed": (F.col("n_words") < 50) | (100 * F.col("n_repeat_words") > 50 * F.col("n_words")),
     })
     held = F.col("__of").isNotNull() | (F.size("__every") > 0)
-    odd = held & (F.col("n_words") >= least_words) & ((F.col("jsd_classes") > most_classes) | (F.col("jsd_common") > most_common + noise / F.col("n_words")))
+    odd = held & (F.col("n_words") >= least_words) & ((F.col("jsd_classes") > F.lit(most_classes**0.5)) | (F.col("jsd_common") > F.sqrt(most_common + noise / F.col("n_words"))))
     return rows.withColumn("kept", ~F.col("base_failed") & ~odd).drop("__lang", "__classes", "__common", "__of", "__r_classes", "__r_common", "__every")
 
 
