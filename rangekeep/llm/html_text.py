@@ -1,9 +1,12 @@
 """Main text of web pages by consensus host paths.
 
 Every page is read into blocks of text and containers, each a run of blocks with a path of generalised tags and
-classes (digits dropped). A container's score is the share of the page's plain text that it holds, times the share of
+classes (digits dropped). A path is named by a rolling hash of the paths above it and its own last step, so that deep pages cost no more.
+An element whose name marks it as no article is left out whole, unless it holds an article or main element or its name also says
+content, and it holds most of the page's text: such names (with-sidebar, search-page) tell of the page around. A container's score is the share of the page's plain text that it holds, times the share of
 its own text that is plain (neither a link nor part of a menu, footer, advert and the like), raised where its name
-says article or content. Every page votes for its best path with its score, Spark adds the votes up per host, and each page is read again
+says article or content. Every page votes for its best path with its score (one vote, since
+the containers around the best one hold its text too and would outvote it where articles are long), Spark adds the votes up per host, and each page is read again
 with the path that its host agrees on; a page that lacks it uses its own best container.
 
 White space inside a block becomes one space, blocks are trimmed and joined by \\n in page order, character references
@@ -20,6 +23,7 @@ import re
 
 import numpy as np
 import pyarrow as pa
+import xxhash
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
@@ -58,6 +62,20 @@ def _words(value: str) -> list[str]:
     return [w.lower() for w in re.split(r"[^A-Za-z]+|(?<=[a-z])(?=[A-Z])", value) if w]
 
 
+def _step(above: str, step: str) -> str:
+    """Name of a path: a hash of all of it, and its last step."""
+    return f"{xxhash.xxh3_64_hexdigest(above + '>' + step)}>{step}"
+
+
+class _Open:
+    """An element that is open: name, whether it is left out (1), and only by its name (2), its path, first block and words."""
+
+    __slots__ = ("name", "out", "path", "start", "words", "nested", "before", "holds")
+
+    def __init__(self, name, out, path, start, words, nested=0, before=None):
+        self.name, self.out, self.path, self.start, self.words, self.nested, self.before, self.holds = name, out, path, start, words, nested, before, False
+
+
 class Page:
     """Blocks of a page: their texts, plain and linked lengths; and its containers (path, first block, end, depth, words of the name)."""
 
@@ -66,7 +84,9 @@ class Page:
         self.plain: list[int] = []
         self.other: list[int] = []
         self.containers: list[tuple[str, int, int, int, frozenset]] = []
+        self._doubtful: list[tuple[int, int, bool, frozenset]] = []
         self._read(source)
+        self._leave_out()
 
     def _flush(self) -> None:
         if self._buffer:
@@ -80,16 +100,40 @@ class Page:
             self._buffer.clear()
         self._link_chars = 0
 
+    def _leave_out(self) -> None:
+        """Elements out by their name alone: from the outermost on, each goes unless it is the page's content after all."""
+        if not self._doubtful:
+            return
+        before = np.concatenate([[0], np.cumsum(self.plain)])
+        done = 0
+        for start, end, holds, words in sorted(self._doubtful, key=lambda d: (d[0], -d[1])):
+            if end <= done:
+                continue
+            if (holds or words & GOOD) and not words & REMARKS and 2 * (before[end] - before[start]) > before[-1]:
+                continue
+            for i in range(max(start, done), end):
+                self.other[i] += self.plain[i]
+                self.plain[i], self.texts[i] = 0, ""
+            done = end
+
     def _pop(self) -> None:
         self._flush()
-        name, out, path, start, words, _, before = self._stack.pop()
-        if before is not None:  # an inline element left out: the block around it goes on
-            self._out -= out
-            self._buffer, self._link_chars = [*before[0], " "], before[1]
+        held = self._stack.pop()
+        self._count[held.name] -= 1
+        if held.before is not None:  # an inline element left out: the block around it goes on
+            self._out -= 1
+            self._buffer, self._link_chars = [*held.before[0], " "], held.before[1]
             return
-        if name in CONTAINERS and not out and self._out == 0:
-            self.containers.append((path, start, len(self.texts), len(self._stack), words))
-        self._out -= out
+        if held.name in ("article", "main"):
+            self._inside -= 1
+        hard = held.out == 1
+        if self._stack and (held.holds or (held.name in ("article", "main") and not held.out)):
+            self._stack[-1].holds = True
+        if held.out == 2:
+            self._doubtful.append((held.start, len(self.texts), held.holds, held.words))
+        if held.name in CONTAINERS and not hard and self._out == 0:
+            self.containers.append((held.path, held.start, len(self.texts), len(self._stack), held.words))
+        self._out -= hard
 
     def _text(self, text: str) -> None:
         if text:
@@ -99,8 +143,9 @@ class Page:
 
     def _read(self, source: str) -> None:
         self._buffer: list[str] = []
-        self._stack: list[list] = []
-        self._out = self._link = self._link_chars = 0
+        self._stack: list[_Open] = []
+        self._count: dict[str, int] = {}
+        self._out = self._link = self._link_chars = self._inside = 0
         at, search = 0, TAG.search
         while m := search(source, at):
             self._text(source[at : m.start()])
@@ -120,6 +165,10 @@ class Page:
         while self._stack:
             self._pop()
 
+    def _push(self, held: _Open) -> None:
+        self._stack.append(held)
+        self._count[held.name] = self._count.get(held.name, 0) + 1
+
     def _open(self, name: str, attributes: str) -> None:
         if name in VOID:
             if name == "br":
@@ -132,27 +181,29 @@ class Page:
         if name in INLINE:
             if name == "a":
                 self._link = 1
-            if self._stack and self._stack[-1][0] == name and self._stack[-1][5]:
-                self._stack[-1][5] += 1  # inside an inline element that is left out: its own kind nests
+            if self._stack and self._stack[-1].name == name and self._stack[-1].nested:
+                self._stack[-1].nested += 1  # inside an inline element that is left out: its own kind nests
             elif attributes and self._aside(name, attributes)[0]:
                 before, self._buffer = (self._buffer, self._link_chars), []
-                self._stack.append([name, 1, "", len(self.texts), frozenset(), 1, before])
+                self._push(_Open(name, 1, "", len(self.texts), frozenset(), 1, before))
                 self._out += 1
             return
         self._flush()
         self._link = 0
         for closed in ONCE.get(name, ("p",) if name not in ("html", "body") else ()):
             self._close_open(closed, HOLDS.get(name, ()) if closed != "p" else ())
-        out, words = self._aside(name, attributes)
-        above = next((s[2] for s in reversed(self._stack) if s[2]), "")
-        path = f"{above}>{name}" + "".join(f".{w}" for w in sorted(words))
-        self._stack.append([name, int(out), path, len(self.texts), words, 0, None])
-        self._out += int(out)
+        out, classes, named = self._aside(name, attributes)
+        above = next((s.path for s in reversed(self._stack) if s.path), "")
+        self._push(_Open(name, out, _step(above, name + "".join(f".{w}" for w in sorted(classes))), len(self.texts), named if out == 2 else classes))
+        self._inside += name in ("article", "main")
+        self._out += out == 1
 
     def _close_open(self, name: str, until: tuple[str, ...]) -> None:
         """Close an element that ends by itself where the next begins, if it is open inside the innermost of `until`."""
+        if not self._count.get(name):
+            return
         for i in range(len(self._stack) - 1, -1, -1):
-            held = self._stack[i][0]
+            held = self._stack[i].name
             if held == name:
                 while len(self._stack) > i:
                     self._pop()
@@ -168,35 +219,34 @@ class Page:
         if name in INLINE:
             if name == "a":
                 self._link = 0
-            if self._stack and self._stack[-1][0] == name and self._stack[-1][5]:
-                self._stack[-1][5] -= 1
-                if not self._stack[-1][5]:
+            if self._stack and self._stack[-1].name == name and self._stack[-1].nested:
+                self._stack[-1].nested -= 1
+                if not self._stack[-1].nested:
                     self._pop()
             return
         self._flush()
         self._link = 0
-        for i in range(len(self._stack) - 1, -1, -1):
-            if self._stack[i][0] == name:
-                while len(self._stack) > i:
-                    self._pop()
-                return
+        if self._count.get(name):
+            while self._stack[-1].name != name:
+                self._pop()
+            self._pop()
 
-    def _aside(self, name: str, attributes: str) -> tuple[bool, frozenset]:
-        """Whether an element is left out, and the words of its classes."""
+    def _aside(self, name: str, attributes: str) -> tuple[int, frozenset, frozenset]:
+        """Whether an element is left out (1) or may be, by its name alone (2); the words of its classes; those of all its names."""
         found = {}
         if attributes and not attributes.isspace():
             for k, *v in ATTRIBUTE.findall(attributes):
                 found.setdefault(k.lower(), v[0] or v[1] or v[2])
         classes = frozenset(_words(found.get("class", "")))
-        if name in ("html", "body", "main"):
-            return False, classes
         named = classes | set(_words(found.get("id", "") + " " + found.get("role", "")))
+        if name in ("html", "body", "main"):
+            return 0, classes, named
         if name == "article":
-            return bool(named & REMARKS), classes
-        inside = any(s[0] in ("article", "main") for s in self._stack)
+            return int(bool(named & REMARKS)), classes, named
         hidden = "hidden" in found or found.get("aria-hidden") == "true" or re.search(r"display\s*:\s*none", found.get("style", ""), re.I) is not None
-        page_header = not inside and (name == "header" or "header" in named)
-        return name in NEVER or hidden or page_header or bool(named & ASIDE), classes
+        if name in NEVER or hidden or (not self._inside and (name == "header" or "header" in named)):
+            return 1, classes, named
+        return 2 * bool(named & ASIDE), classes, named
 
     def scores(self) -> list[int]:
         """Score of each container, in thousandths."""
