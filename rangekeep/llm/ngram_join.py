@@ -17,7 +17,12 @@ drops most chance meetings, and whole shingle sets verify the rest.
 Groups: equal sets are folded first. In a bucket, every set is verified against the first and the last alone, then,
 where that leaves several components, against one more drawn anew for each bucket. Only sets of one bucket that are
 not connected after that are held against each other, so that no link between different components is lost and a
-group of many near copies costs a multiple of its size.
+group of many near copies costs a multiple of its size. Where many are left, as in texts that share a passage and no
+more, the bound is used once more: their short sketches are cut into more groups of bits than may differ, and only sets
+that agree on one group meet.
+
+Hot keys: a block that very many texts share is found from a share of the rows, folded where the rows lie and joined
+back; all others meet in a window by key.
 
 Nulls: a null text is empty; rows with a null id come back with a null component. An id
 is taken to name one text; rows that share an id come back each with the component of its own set. An empty table gives an empty result. Extra columns are left out.
@@ -38,6 +43,10 @@ GROWTH = 1.5
 SKETCH = 1024
 PARTS = [f"k{i}" for i in range(SKETCH // 64)]
 ROUNDS = 2
+#: Rows of a key among one in HOT_SHARE from which it is folded first: about half a million in all.
+HOT_SHARE, HOT = 128, 4096
+#: Sets of a bucket, not connected, from which their sketches divide them; and the most groups that a sketch is cut into.
+MANY, GROUPS = 64, 32
 _C1, _C2 = np.uint64(0xBF58476D1CE4E5B9), np.uint64(0x94D049BB133111EB)
 
 
@@ -195,12 +204,7 @@ def link(docs: DataFrame, text: str = "text", key: str = "doc_id", k: int = 5, n
     firsts = [F.first(c).alias(c) for c in ("n", *PARTS)]
     sets = keep(real.groupBy("s1", "s2").agg(F.min("id").alias("rep"), *firsts))
 
-    # buckets: every block that two different sets sent, with the first and last of them. The keys go over the network
-    # once; a window spills, and a bucket has a row for each different set (and task that met it), not for each text
-    sent = real.select(F.explode("keys").alias("key"), "s1")
-    of_key = Window.partitionBy("key")
-    met = sent.withColumns({"lo": F.min("s1").over(of_key), "hi": F.max("s1").over(of_key)}).where("lo < hi")
-    met = keep(met.distinct())
+    met = keep(_buckets(real.select(F.explode("keys").alias("key"), "s1")))
     ends = met.select(F.explode(F.array(F.struct(F.col("lo").alias("x"), F.col("s1").alias("y")), F.struct(F.col("s1").alias("x"), F.col("hi").alias("y")))).alias("p"))
     stars = ends.select("p.x", "p.y").where("x < y").distinct()
     lean = sets.select("s1", "rep", "n", *PARTS)
@@ -212,7 +216,7 @@ def link(docs: DataFrame, text: str = "text", key: str = "doc_id", k: int = 5, n
     # sets that one bucket holds and nothing connects: first each against one of its bucket, another in every bucket
     for turn in range(ROUNDS):
         open_ = _open(met, lean, joined)
-        draw = F.struct(F.xxhash64(F.lit(turn), "key", "rep").alias("h"), *[c for c in open_.columns if c != "key"])
+        draw = F.struct(F.xxhash64(F.lit(turn), "key", "rep").alias("h"), *[c for c in open_.columns if c not in ("key", "s1")])
         centres = _as(open_.groupBy("key").agg(F.min(draw).alias("m")).select("key", "m.*").drop("h"), "a_")
         pairs = centres.join(_as(open_, "b_"), (F.col("a_key") == F.col("b_key")) & (F.col("a_c") != F.col("b_c")) & _near("a_", "b_", num, den))
         fresh = keep(_ordered(pairs).join(tested, ["a", "b"], "left_anti"))
@@ -227,13 +231,14 @@ def link(docs: DataFrame, text: str = "text", key: str = "doc_id", k: int = 5, n
 
     # then all that are left: what is linked in another way shares a component by now
     open_ = _open(met, lean, joined)
-    cross = _as(open_, "a_").join(_as(open_, "b_"), (F.col("a_key") == F.col("b_key")) & (F.col("a_c") < F.col("b_c")) & _near("a_", "b_", num, den))
+    parted = keep(_parted(open_, num, den))
+    cross = _as(parted, "a_").join(_as(parted, "b_"), (F.col("a_part") == F.col("b_part")) & (F.col("a_c") < F.col("b_c")) & _near("a_", "b_", num, den))
     fresh = keep(_ordered(cross).join(tested, ["a", "b"], "left_anti"))
     late = keep(verify(rows, fresh, k, num, den))
     if late.limit(1).count():
         forget(joined)
         joined = components(links.unionByName(late))
-    forget(met, open_)
+    forget(met, open_, parted)
 
     at = sets.join(joined, F.col("rep") == F.col("node"), "left").select("s1", "s2", F.coalesce("component", "rep").alias("component_id"))
     out = marks.join(at, ["s1", "s2"], "left")
@@ -241,6 +246,41 @@ def link(docs: DataFrame, text: str = "text", key: str = "doc_id", k: int = 5, n
     return out.select(F.col("id").alias(key), F.col("n").alias("n_shingles"), lone.alias("component_id"))
 
 
+def _buckets(sent: DataFrame) -> DataFrame:
+    """(key, s1, lo, hi): every block that two different sets sent, with the first and last of them.
+
+    The keys go over the network once; a window spills, and a bucket has a row for each different set (and task that met it).
+    """
+    share = sent.where(F.pmod(F.xxhash64("s1", "key"), F.lit(HOT_SHARE)) == 0).groupBy("key").agg(F.count("*").alias("n"))
+    hot = keep(share.where(F.col("n") >= HOT).select("key"))
+    cold = sent
+    if hot.limit(1).count():
+        cold = sent.join(small(hot), "key", "left_anti")
+    of_key = Window.partitionBy("key")
+    met = cold.withColumns({"lo": F.min("s1").over(of_key), "hi": F.max("s1").over(of_key)}).where("lo < hi").distinct()
+    if cold is sent:
+        return met
+    warm = sent.join(small(hot), "key", "left_semi").distinct()
+    ends = keep(warm.groupBy("key").agg(F.min("s1").alias("lo"), F.max("s1").alias("hi")).where("lo < hi"))
+    return met.unionByName(warm.join(small(ends), "key").select("key", "s1", "lo", "hi"))
+
+
+def _parted(open_: DataFrame, num: int, den: int) -> DataFrame:
+    """open_ with a number `part` in place of its key: two sets of a bucket that may link share one of theirs.
+
+    Sets of a bucket, none larger than M, differ in d(M) bits of their sketches at most, so of d(M) + 1 groups of bits one agrees.
+    """
+    sizes = open_.groupBy(F.col("key").alias("k"), F.pmod("s1", F.lit(64)).alias("salt")).agg(F.max("n").alias("n"), F.count("*").alias("m"))
+    sizes = sizes.groupBy("k").agg(F.max("n").alias("big"), F.sum("m").alias("m"))
+    groups = F.floor(2 * F.col("big") * (den - num) / (den + num)).cast("int") + 1
+    sizes = keep(sizes.select("k", F.when((F.col("m") > MANY) & (groups <= GROUPS), groups).otherwise(1).alias("groups")))
+    rows = open_.join(small(sizes), F.col("key") == F.col("k"))
+    halves = F.flatten(F.array(*[F.array(F.col(p).bitwiseAND(F.lit((1 << 32) - 1)), F.shiftrightunsigned(p, 32)) for p in PARTS]))
+    of = lambda g: F.xxhash64("key", g, F.filter(F.col("halves"), lambda x, i: i % F.col("groups") == g))
+    parts = F.when(F.col("groups") > 1, F.transform(F.sequence(F.lit(0), F.col("groups") - 1), of)).otherwise(F.array(F.xxhash64("key")))
+    return rows.withColumn("halves", halves).withColumn("part", F.explode(parts)).drop("key", "k", "groups", "halves", "s1")
+
+
 def _ordered(pairs: DataFrame) -> DataFrame:
     return pairs.select(F.least("a_rep", "b_rep").alias("a"), F.greatest("a_rep", "b_rep").alias("b")).where("a < b").distinct()
 
@@ -251,7 +291,7 @@ def _open(met: DataFrame, lean: DataFrame, joined: DataFrame) -> DataFrame:
     label = names.select("s1", "c")
     held = met.select("key", "s1").join(label, "s1")
     apart = held.groupBy("key").agg(F.min("c").alias("lo"), F.max("c").alias("hi")).where("lo < hi").select("key")
-    return keep(held.join(apart, "key", "left_semi").select("key", "s1").join(names, "s1").drop("s1"))
+    return keep(held.join(apart, "key", "left_semi").select("key", "s1").join(names, "s1"))
 
 
 def verify(rows: DataFrame, pairs: DataFrame, k: int, num: int, den: int) -> DataFrame:
