@@ -165,9 +165,14 @@ def digest(spans: Column) -> Column:
     return F.array_join(F.transform(spans, lambda s: F.concat_ws(":", F.get(names, s["kind"]), s["start"], s["end"])), ",")
 
 
+def count(spans: Column, kind: str) -> Column:
+    # of one argument only: a second one would be the place in the array
+    return F.size(F.filter(spans, lambda s: s["kind"] == KINDS.index(kind))).cast("long")
+
+
 def query(spark, sf_dir: str) -> DataFrame:
     from rangekeep.llm._shared import table
 
     out = scan(table(spark, sf_dir, "documents"))
-    count = [F.size(F.filter("found", lambda s, k=k: s["kind"] == k)).cast("long").alias(f"n_{KINDS[k]}") for k in range(3)]
-    return out.select("doc_id", *count, F.sha2(digest(F.filter("found", lambda s: s["kind"] < 3)), 256).alias("base_sha256"), digest(F.col("found")).alias("spans"))
+    numbers = [count(F.col("found"), k).alias(f"n_{k}") for k in KINDS[:3]]
+    return out.select("doc_id", *numbers, F.sha2(digest(F.filter("found", lambda s: s["kind"] < 3)), 256).alias("base_sha256"), digest(F.col("found")).alias("spans"))
