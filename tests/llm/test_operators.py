@@ -275,22 +275,6 @@ def test_url_rules(spark):
     assert url_filter.judge(spark.createDataFrame([], "page_id int, url string")).count() == 0
 
 
-def test_mined_rules_against_counting(spark):
-    rng = np.random.default_rng(2)
-    rows = []
-    for _ in range(400):
-        ts = {f"t{j}" for j in range(5) if rng.random() < 0.5} or {"t9"}
-        bad = "t1" in ts and "t2" in ts and rng.random() < 0.9
-        rows.append((sorted(ts), "block" if bad else "allow"))
-    mined = url_filter.mine(spark.createDataFrame(rows, "tokens array<string>, verdict string"), 0.05, 0.7)
-    for need, verdict, confidence in mined:
-        hit = [v for ts, v in rows if set(need) <= set(ts)]
-        assert confidence == pytest.approx(hit.count(verdict) / len(hit)) and len(hit) and hit.count(verdict) >= 0.05 * len(rows)
-    assert (["t1", "t2"], "block") in [(t, v) for t, v, _ in mined]
-    for got, (ts, _) in zip(spark.createDataFrame(rows, "tokens array<string>, verdict string").select("tokens", url_filter.fires(F.col("tokens"), mined).alias("v")).collect(), rows, strict=True):
-        assert got.v == next((v for need, v, _ in mined if set(need) <= set(got.tokens)), None), ts
-
-
 # 9
 def test_lattice(spark):
     rng = np.random.default_rng(7)
