@@ -216,7 +216,7 @@ def link(docs: DataFrame, text: str = "text", key: str = "doc_id", k: int = 5, n
     # sets that one bucket holds and nothing connects: first each against one of its bucket, another in every bucket
     for turn in range(ROUNDS):
         open_ = _open(met, lean, joined)
-        draw = F.struct(F.xxhash64(F.lit(turn), "key", "rep").alias("h"), *[c for c in open_.columns if c not in ("key", "s1")])
+        draw = F.struct(F.xxhash64(F.lit(turn), "key", "rep").alias("h"), *[c for c in open_.columns if c != "key"])
         centres = _as(open_.groupBy("key").agg(F.min(draw).alias("m")).select("key", "m.*").drop("h"), "a_")
         pairs = centres.join(_as(open_, "b_"), (F.col("a_key") == F.col("b_key")) & (F.col("a_c") != F.col("b_c")) & _near("a_", "b_", num, den))
         fresh = keep(_ordered(pairs).join(tested, ["a", "b"], "left_anti"))
@@ -231,14 +231,23 @@ def link(docs: DataFrame, text: str = "text", key: str = "doc_id", k: int = 5, n
 
     # then all that are left: what is linked in another way shares a component by now
     open_ = _open(met, lean, joined)
-    parted = keep(_parted(open_, num, den))
-    cross = _as(parted, "a_").join(_as(parted, "b_"), (F.col("a_part") == F.col("b_part")) & (F.col("a_c") < F.col("b_c")) & _near("a_", "b_", num, den))
-    fresh = keep(_ordered(cross).join(tested, ["a", "b"], "left_anti"))
+    crowded = keep(_crowded(open_, num, den))
+    few = open_
+    if crowded.limit(1).count():
+        few = open_.join(small(crowded.select("key")), "key", "left_anti")
+    cross = _as(few, "a_").join(_as(few, "b_"), (F.col("a_key") == F.col("b_key")) & (F.col("a_c") < F.col("b_c")) & _near("a_", "b_", num, den))
+    fresh = _ordered(cross)
+    if few is not open_:
+        parted = _parted(open_, crowded)
+        pairs = _ordered(_as(parted, "a_").join(_as(parted, "b_"), (F.col("a_part") == F.col("b_part")) & (F.col("a_c") < F.col("b_c"))))
+        both = pairs.join(_as(lean, "a_"), F.col("a") == F.col("a_rep")).join(_as(lean, "b_"), F.col("b") == F.col("b_rep")).where(_near("a_", "b_", num, den))
+        fresh = fresh.unionByName(_ordered(both)).distinct()
+    fresh = keep(fresh.join(tested, ["a", "b"], "left_anti"))
     late = keep(verify(rows, fresh, k, num, den))
     if late.limit(1).count():
         forget(joined)
         joined = components(links.unionByName(late))
-    forget(met, open_, parted)
+    forget(met, open_)
 
     at = sets.join(joined, F.col("rep") == F.col("node"), "left").select("s1", "s2", F.coalesce("component", "rep").alias("component_id"))
     out = marks.join(at, ["s1", "s2"], "left")
@@ -265,20 +274,21 @@ def _buckets(sent: DataFrame) -> DataFrame:
     return met.unionByName(warm.join(small(ends), "key").select("key", "s1", "lo", "hi"))
 
 
-def _parted(open_: DataFrame, num: int, den: int) -> DataFrame:
-    """open_ with a number `part` in place of its key: two sets of a bucket that may link share one of theirs.
-
-    Sets of a bucket, none larger than M, differ in d(M) bits of their sketches at most, so of d(M) + 1 groups of bits one agrees.
-    """
-    sizes = open_.groupBy(F.col("key").alias("k"), F.pmod("s1", F.lit(64)).alias("salt")).agg(F.max("n").alias("n"), F.count("*").alias("m"))
-    sizes = sizes.groupBy("k").agg(F.max("n").alias("big"), F.sum("m").alias("m"))
+def _crowded(open_: DataFrame, num: int, den: int) -> DataFrame:
+    """(key, groups) of buckets of many open sets, with the groups into which their sketches are cut: sets of a bucket, none
+    larger than M, differ in d(M) bits at most, so of d(M) + 1 groups one agrees."""
+    sizes = open_.groupBy("key").agg(F.max("n").alias("big"), F.count("*").alias("m")).where(F.col("m") > MANY)
     groups = F.floor(2 * F.col("big") * (den - num) / (den + num)).cast("int") + 1
-    sizes = keep(sizes.select("k", F.when((F.col("m") > MANY) & (groups <= GROUPS), groups).otherwise(1).alias("groups")))
-    rows = open_.join(small(sizes), F.col("key") == F.col("k"))
+    return sizes.select("key", groups.alias("groups")).where((F.col("groups") > 1) & (F.col("groups") <= GROUPS))
+
+
+def _parted(open_: DataFrame, crowded: DataFrame) -> DataFrame:
+    """(part, rep, c): two sets of a crowded bucket that may link share a part."""
+    rows = open_.join(small(crowded), "key")
     halves = F.flatten(F.array(*[F.array(F.col(p).bitwiseAND(F.lit((1 << 32) - 1)), F.shiftrightunsigned(p, 32)) for p in PARTS]))
     of = lambda g: F.xxhash64("key", g, F.filter(F.col("halves"), lambda x, i: i % F.col("groups") == g))
-    parts = F.when(F.col("groups") > 1, F.transform(F.sequence(F.lit(0), F.col("groups") - 1), of)).otherwise(F.array(F.xxhash64("key")))
-    return rows.withColumn("halves", halves).withColumn("part", F.explode(parts)).drop("key", "k", "groups", "halves", "s1")
+    rows = rows.withColumn("halves", halves)
+    return rows.select(F.explode(F.transform(F.sequence(F.lit(0), F.col("groups") - 1), of)).alias("part"), "rep", "c")
 
 
 def _ordered(pairs: DataFrame) -> DataFrame:
@@ -291,7 +301,7 @@ def _open(met: DataFrame, lean: DataFrame, joined: DataFrame) -> DataFrame:
     label = names.select("s1", "c")
     held = met.select("key", "s1").join(label, "s1")
     apart = held.groupBy("key").agg(F.min("c").alias("lo"), F.max("c").alias("hi")).where("lo < hi").select("key")
-    return keep(held.join(apart, "key", "left_semi").select("key", "s1").join(names, "s1"))
+    return keep(held.join(apart, "key", "left_semi").select("key", "s1").join(names, "s1").drop("s1"))
 
 
 def verify(rows: DataFrame, pairs: DataFrame, k: int, num: int, den: int) -> DataFrame:
