@@ -45,8 +45,8 @@ PARTS = [f"k{i}" for i in range(SKETCH // 64)]
 ROUNDS = 2
 #: Rows of a key among one in HOT_SHARE from which it is folded first: about half a million in all.
 HOT_SHARE, HOT = 128, 4096
-#: Sets of a bucket, not connected, from which their sketches divide them; and the most groups that a sketch is cut into.
-MANY, GROUPS = 64, 32
+#: Sets of a bucket, not connected, beyond which their sketches divide them (a million pairs are compared in no time); and the most groups that a sketch is cut into.
+MANY, GROUPS = 1000, 32
 _C1, _C2 = np.uint64(0xBF58476D1CE4E5B9), np.uint64(0x94D049BB133111EB)
 
 
@@ -239,9 +239,8 @@ def link(docs: DataFrame, text: str = "text", key: str = "doc_id", k: int = 5, n
     fresh = _ordered(cross)
     if few is not open_:
         parted = _parted(open_, crowded)
-        pairs = _ordered(_as(parted, "a_").join(_as(parted, "b_"), (F.col("a_part") == F.col("b_part")) & (F.col("a_c") < F.col("b_c"))))
-        both = pairs.join(_as(lean, "a_"), F.col("a") == F.col("a_rep")).join(_as(lean, "b_"), F.col("b") == F.col("b_rep")).where(_near("a_", "b_", num, den))
-        fresh = fresh.unionByName(_ordered(both)).distinct()
+        cross = _as(parted, "a_").join(_as(parted, "b_"), (F.col("a_part") == F.col("b_part")) & (F.col("a_c") < F.col("b_c")) & _near("a_", "b_", num, den))
+        fresh = fresh.unionByName(_ordered(cross)).distinct()
     fresh = keep(fresh.join(tested, ["a", "b"], "left_anti"))
     late = keep(verify(rows, fresh, k, num, den))
     if late.limit(1).count():
@@ -283,12 +282,12 @@ def _crowded(open_: DataFrame, num: int, den: int) -> DataFrame:
 
 
 def _parted(open_: DataFrame, crowded: DataFrame) -> DataFrame:
-    """(part, rep, c): two sets of a crowded bucket that may link share a part."""
+    """open_ of crowded buckets with a number `part` instead of the key: two sets of a bucket that may link share a part."""
     rows = open_.join(small(crowded), "key")
     halves = F.flatten(F.array(*[F.array(F.col(p).bitwiseAND(F.lit((1 << 32) - 1)), F.shiftrightunsigned(p, 32)) for p in PARTS]))
     of = lambda g: F.xxhash64("key", g, F.filter(F.col("halves"), lambda x, i: i % F.col("groups") == g))
     rows = rows.withColumn("halves", halves)
-    return rows.select(F.explode(F.transform(F.sequence(F.lit(0), F.col("groups") - 1), of)).alias("part"), "rep", "c")
+    return rows.withColumn("part", F.explode(F.transform(F.sequence(F.lit(0), F.col("groups") - 1), of))).drop("key", "groups", "halves")
 
 
 def _ordered(pairs: DataFrame) -> DataFrame:
