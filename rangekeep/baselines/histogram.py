@@ -13,11 +13,11 @@ def grid(points: DataFrame, x: str, y: str, w: str, cell_x: int, cell_y: int) ->
 
 
 def equidepth(points: DataFrame, x: str, y: str, w: str, cells: int, accuracy: int = 10_000) -> DataFrame:
-    """(gx, gy, units): each axis cut at approximate quantiles."""
+    """(gx, gy, units, points): each axis cut at approximate quantiles of its points."""
     qs = [i / cells for i in range(1, cells)]
     cuts = points.agg(F.percentile_approx(x, qs, accuracy).alias("x"), F.percentile_approx(y, qs, accuracy).alias("y")).first()
     at = lambda c, v: F.size(F.filter(F.array(*[F.lit(k) for k in sorted(set(v or []))]), lambda k: k < F.col(c)))
-    return points.groupBy(at(x, cuts.x).alias("gx"), at(y, cuts.y).alias("gy")).agg(F.sum(w).alias("units"))
+    return points.groupBy(at(x, cuts.x).alias("gx"), at(y, cuts.y).alias("gy")).agg(F.sum(w).alias("units"), F.count("*").alias("points"))
 
 
 def query(cells: DataFrame, boxes: DataFrame, cell_x: int, cell_y: int) -> DataFrame:

@@ -62,18 +62,19 @@ def build_2d(points: DataFrame, x: str, y: str, w: str, bits_x: int, bits_y: int
 
 
 def build_2d_nested(points: DataFrame, x: str, y: str, w: str, bits_x: int, bits_y: int, share: float) -> DataFrame:
-    """A digest over x each of whose nodes, on every level, owns a digest over y. Costs bits_x + 1 copies of the points."""
-    out = None
-    total = int(points.agg(F.coalesce(F.sum(w), F.lit(0)).alias("t")).first().t)
-    for kx in range(bits_x + 1):
-        now = points.groupBy(F.shiftright(F.col(x), kx).alias("x"), F.col(y).alias("y")).agg(F.sum(w).alias("units")).where("units > 0")
-        for ky in range(bits_y + 1):
-            if ky:
-                now = now.groupBy("x", F.shiftright("y", 1).alias("y")).agg(F.sum("units").alias("units"))
-            full = F.col("units") >= F.lit(share * total)
-            stay = (now if ky == bits_y else now.where(full)).select(F.lit(kx).alias("kx"), F.lit(ky).alias("ky"), "x", "y", "units")
-            out = stay if out is None else out.unionByName(stay)
-            now = now.where(~full)
+    """A digest over x each of whose nodes, on every level, owns a digest over y. Costs bits_x + 1 copies of the points, folded first."""
+    total, out = int(points.agg(F.coalesce(F.sum(w), F.lit(0)).alias("t")).first().t), None
+    copies = points.select(F.explode(F.sequence(F.lit(0), F.lit(bits_x))).alias("kx"), F.col(x).alias("x"), F.col(y).alias("y"), F.col(w).alias("units"))
+    now = copies.groupBy("kx", F.call_function("shiftright", F.col("x"), F.col("kx")).alias("x"), "y").agg(F.sum("units").alias("units")).where("units > 0")
+    for ky in range(bits_y + 1):
+        if ky:
+            now = now.groupBy("kx", "x", F.shiftright("y", 1).alias("y")).agg(F.sum("units").alias("units"))
+        if ky % EVERY == EVERY - 1:
+            now = keep(now)
+        full = F.col("units") >= F.lit(share * total)
+        stay = (now if ky == bits_y else now.where(full)).select("kx", F.lit(ky).alias("ky"), "x", "y", "units")
+        out = stay if out is None else out.unionByName(stay)
+        now = now.where(~full)
     return out
 
 

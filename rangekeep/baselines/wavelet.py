@@ -58,6 +58,27 @@ def _overlap(i: Column, lo: Column, hi: Column, bits: int) -> Column:
     return F.when(i == 0, part(start, end)).otherwise(part(start, mid) - part(mid, end))
 
 
+def query_all(coefficients: DataFrame, boxes: DataFrame, bits_x: int, bits_y: int) -> DataFrame:
+    """(query_id, est) from any number of coefficients: each axis's functions that a box feels are listed from the box, at most
+    two a level (at its ends) and those that cover it, and met by equality."""
+
+    def felt(lo: str, hi: str, bits: int, as_: str):
+        def level(n: Column) -> Column:
+            first = F.call_function("shiftright", F.col(lo), bits - n)
+            last = F.call_function("shiftright", F.col(hi) - 1, bits - n)
+            one = F.call_function("shiftleft", F.lit(1).cast("bigint"), n)
+            return F.array_distinct(F.array(one + first, one + last))
+
+        rest = F.flatten(F.transform(F.sequence(F.lit(0), F.lit(bits - 1)), level)) if bits else F.array().cast("array<bigint>")
+        return F.explode(F.concat(F.array(F.lit(0).cast("bigint")), rest)).alias(as_)
+
+    rows = boxes.where("x_lo < x_hi AND y_lo < y_hi").select("*", felt("x_lo", "x_hi", bits_x, "ix")).select("*", felt("y_lo", "y_hi", bits_y, "iy"))
+    ov_x, ov_y = _overlap(F.col("ix"), F.col("x_lo"), F.col("x_hi"), bits_x), _overlap(F.col("iy"), F.col("y_lo"), F.col("y_hi"), bits_y)
+    rows = rows.withColumn("by", ov_x * ov_y / F.pow(F.lit(2.0), size_log(F.col("ix"), bits_x) + size_log(F.col("iy"), bits_y))).where("by <> 0")
+    sums = rows.join(coefficients.select("ix", "iy", "signed"), ["ix", "iy"]).groupBy("query_id").agg(F.sum(F.col("signed") * F.col("by")).alias("e"))
+    return boxes.select("query_id").distinct().join(sums, "query_id", "left").select("query_id", F.coalesce("e", F.lit(0.0)).alias("est"))
+
+
 def query(coefficients: DataFrame, boxes: DataFrame, bits_x: int, bits_y: int, method: str = "overlap") -> DataFrame:
     """(query_id, est): sums of boxes from the kept coefficients, each box at once or by its dyadic pieces."""
     from rangekeep.baselines.dyadic import pieces

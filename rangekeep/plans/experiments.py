@@ -1,91 +1,173 @@
-"""The accuracy and cost experiments on the given tables: every method on the same batteries of queries."""
+"""The accuracy and cost experiments on the given tables: every method on the same batteries of queries.
+
+Samples and summaries are drawn once a setting and answer all batteries in one join; errors are averaged in Spark, and
+only a few rows of them reach the driver.
+"""
 
 from __future__ import annotations
 
 import time
 
-import numpy as np
+from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
 from rangekeep.baselines import qdigest, sketch, wavelet
-from rangekeep.operators import estimate as E
+from rangekeep.operators import metrics as M
 from rangekeep.operators import structures as S
 from rangekeep.operators import twopass as T
+from rangekeep.plans import planes as P
 from rangekeep.plans import workloads as W
 from rangekeep.sources.shared import keep
 
+BOX = "setting string, " + W.BOX
+ALL = ("aware", "oblivious", "wavelet", "qdigest", "sketch")
+#: Queries of a battery, and seeds of a sampler.
+QUERIES, SEEDS = 50, 3
+
+
+class Batteries:
+    """Boxes of several settings with their true answers; query ids are unique over all settings."""
+
+    def __init__(self, p: P.Plane, parts: dict[str, list[tuple]]):
+        rows, first = [], 0
+        for setting, boxes in parts.items():
+            rows += [(setting, first + b[0], *b[1:]) for b in boxes]
+            first += 1 + max((b[0] for b in boxes), default=0)
+        self.plane = p
+        self.boxes = keep(p.keys.sparkSession.createDataFrame(rows, BOX))
+        of = self.boxes.select("setting", "query_id").distinct()
+        self.truth = keep(P.truth(p, self.boxes.drop("setting")).join(of, "query_id"))
+
+    def answered(self, points: DataFrame, *by: str) -> DataFrame:
+        """(by..., query_id, est) of sampled points (x, y, adj_weight, by...): samples and boxes are a few thousand rows each."""
+        hit = (F.col("x") >= F.col("x_lo")) & (F.col("x") < F.col("x_hi")) & (F.col("y") >= F.col("y_lo")) & (F.col("y") < F.col("y_hi"))
+        return points.join(F.broadcast(self.boxes), hit).groupBy(*by, "query_id").agg(F.sum("adj_weight").alias("est"))
+
+    def errors(self, answers: DataFrame, runs: DataFrame) -> DataFrame:
+        """(setting, method, s, abs_error, rel_error, share): means over queries and seeds. runs (method, s, seed) names every
+        run, so that a query whose boxes hold no sampled key counts with an answer of zero."""
+        every = F.broadcast(runs).join(self.truth, F.lit(True)).join(answers, ["method", "s", "seed", "query_id"], "left")
+        off = F.abs(F.coalesce("est", F.lit(0.0)) - F.col("exact"))
+        total = F.lit(float(max(1, self.plane.total)))
+        return every.groupBy("setting", "method", "s").agg(
+            F.avg(off / total).alias("abs_error"), F.avg(F.when(F.col("exact") > 0, off / F.col("exact"))).alias("rel_error"), F.avg(F.col("exact") / total).alias("share")
+        )
+
+
+def _tag(df: DataFrame, method: str, s: int, seed: int) -> DataFrame:
+    return df.select("*", F.lit(method).alias("method"), F.lit(s).alias("s"), F.lit(seed).alias("seed"))
+
+
+def _union(parts: list[DataFrame]) -> DataFrame:
+    out = parts[0]
+    for p in parts[1:]:
+        out = out.unionByName(p)
+    return out
+
 
-def _bits(n: int) -> int:
-    return max(1, int(n - 1).bit_length())
+def fitted_digest(p: P.Plane, s: int) -> DataFrame:
+    """A 2-d digest of about s nodes and no more: built at the share that allows s, and once more where it makes far fewer."""
+    at = lambda share: keep(qdigest.build_2d(p.points, "x", "y", "w", *p.bits, share, p.total))
+    first = at(1.0 / max(1, s - 1))
+    n = first.count()
+    if n >= s / 2:
+        return first
+    again = at(1.0 / max(1, s - 1) * n / s)
+    return again if again.count() <= s else first
 
 
-def battery(ax, ay, w, wide, high, kind="weight", level=3, rects=1, queries=50, scale=0.3, seed=1, jitter=False):
-    if kind == "area":
-        return W.uniform_area(wide, high, queries, rects, scale, seed)
-    return W.uniform_weight(ax, ay, w, wide, high, level, queries, rects, seed, jitter=jitter)
+def draw(p: P.Plane, s: int, seed: int, method: str = "aware", factor: float | str = 5) -> S.Summary:
+    if method == "aware":
+        return T.two_pass(p.keys, s, T.Product(["x", "y"]), factor, seed=seed)
+    return {"oblivious": S.varopt, "poisson": S.poisson}[method](p.keys, s, seed=seed)
 
 
-def compare(spark, d, which, sizes, methods=("aware", "oblivious"), seeds=3, guide_factor=5, **how) -> dict:
-    """{size: {method: mean absolute error / total, method_rel: mean relative error}} over a battery of queries."""
-    from rangekeep.plans.product_queries import plane
+def run(b: Batteries, sizes, methods=("aware", "oblivious"), seeds: int = SEEDS, factors=(5,)) -> DataFrame:
+    """Errors of every method at every size on all batteries. With several guide factors, methods are named aware x<factor>."""
+    p, points, answers, runs = b.plane, [], [], []
+    coefficients = keep(wavelet.build(p.points, "x", "y", "w", *p.bits)) if "wavelet" in methods else None
+    boxes = b.boxes.drop("setting")
+    for s in sizes:
+        for m in methods:
+            if m in ("aware", "oblivious", "poisson"):
+                for f in factors if m == "aware" else (5,):
+                    name = m if len(factors) == 1 else f"{m} x{f}"
+                    for seed in range(1, seeds + 1):
+                        points.append(_tag(draw(p, s, seed, m, f).rows.select("x", "y", "adj_weight"), name, s, seed))
+                        runs.append((name, s, seed))
+                continue
+            if m == "wavelet":
+                got = wavelet.query(keep(wavelet.largest(coefficients, s)), boxes, *p.bits)
+            elif m == "qdigest":
+                got = qdigest.query(fitted_digest(p, s), boxes)
+            else:
+                got = sketch.query(keep(sketch.build(p.points, "x", "y", "w", *p.bits, s, portable=False)), boxes, *p.bits, s, portable=False)
+            answers.append(_tag(keep(got.select("query_id", F.col("est").cast("double").alias("est"))), m, s, 0))
+            runs.append((m, s, 0))
+    if points:
+        answers.append(b.answered(keep(_union(points)), "method", "s", "seed"))
+    named = p.keys.sparkSession.createDataFrame(runs, "method string, s int, seed int")
+    return keep(b.errors(_union([a.select("method", "s", "seed", "query_id", "est") for a in answers]), named))
 
-    k, x, y, ax, ay, w, wide, high = plane(spark, d, which)
-    k = keep(k)
-    boxes = battery(ax, ay, w, wide, high, **how)
-    frame = keep(W.frame(spark, boxes))
-    exact = {q: 0.0 for q, *_ in boxes}
-    for q, _, x0, x1, y0, y1 in boxes:
-        exact[q] += float(w[(ax >= x0) & (ax < x1) & (ay >= y0) & (ay < y1)].sum())
-    total, bx, by = float(w.sum()), _bits(wide), _bits(high)
-    pts = keep(k.select(F.col(x).cast("bigint").alias("x"), F.col(y).cast("bigint").alias("y"), F.col("units").alias("w")))
-    out: dict = {}
 
-    def note(s, m, est):
-        off = [abs(est.get(q, 0.0) - e) for q, e in exact.items()]
-        rel = [o / e for o, e in zip(off, exact.values(), strict=True) if e]
-        out.setdefault(s, {}).setdefault(m, []).append(float(np.mean(off)) / total)
-        out[s].setdefault(f"{m}_rel", []).append(float(np.mean(rel)) if rel else 0.0)
+def area(p: P.Plane, queries: int = QUERIES, rects: int = 25, scale: float = 0.3, seed: int = 1) -> list[tuple]:
+    return W.uniform_area(p.wide, p.high, queries, rects, scale, seed)
 
-    answer = lambda df: {r.query_id: float(r.est) for r in df.collect()}
-    coefficients = keep(wavelet.build(pts, "x", "y", "w", bx, by)) if "wavelet" in methods else None
-    for s in sizes:
-        for seed in range(1, seeds + 1):
-            for m in methods:
-                if m == "aware":
-                    sm = T.two_pass(k, s, T.Product([x, y]), guide_factor, seed=seed)
-                elif m == "oblivious":
-                    sm = S.varopt(k, s, seed=seed)
-                elif m == "poisson":
-                    sm = S.poisson(k, s, seed=seed)
-                else:
-                    continue
-                note(s, m, answer(E.estimate_boxes(sm, frame, x, y)))
-        if "wavelet" in methods:
-            note(s, "wavelet", answer(wavelet.query(keep(wavelet.largest(coefficients, s)), frame, bx, by)))
-        if "qdigest" in methods:
-            note(s, "qdigest", answer(qdigest.query(keep(qdigest.fit_share(pts, "x", "y", "w", bx, by, s)), frame)))
-        if "sketch" in methods:
-            c = keep(sketch.build(pts, "x", "y", "w", bx, by, s, portable=False))
-            note(s, "sketch", answer(sketch.query(c, frame, bx, by, s, portable=False)))
-    share = sum(exact.values()) / len(exact) / total
-    return {s: {m: float(np.mean(v)) for m, v in r.items()} | {"share": share} for s, r in out.items()}
-
-
-def error_vs_size(spark, d, which="pairs", sizes=(100, 300, 1000, 3000), **how):
-    return compare(spark, d, which, sizes, kind="area", rects=25, **how)
-
-
-def error_vs_weight(spark, d, which="pairs", s=2700, levels=(4, 6, 8, 10), **how):
-    return {level: compare(spark, d, which, [s], kind="weight", level=level, rects=10, **how)[s] for level in levels}
-
-
-def error_vs_ranges(spark, d, which="pairs", s=2700, ranges=(1, 2, 5, 10, 20, 40, 80), weight=0.12, **how):
+
+def error_vs_size(spark, d, which="pairs", sizes=(100, 300, 1000, 3000), methods=ALL, queries=QUERIES, **how) -> DataFrame:
+    """Uniform-area queries of 25 ranges. Sizes may be shares of the number of keys."""
+    p = P.plane(spark, d, which)
+    return run(Batteries(p, {"area": area(p, queries)}), [max(1, round(s * p.n)) if s < 1 else s for s in sizes], methods, **how)
+
+
+def error_vs_area(spark, d, which="events", s=2700, scales=(1.0, 0.3, 0.1, 0.03), methods=("aware", "oblivious", "wavelet", "qdigest"), queries=QUERIES, **how) -> DataFrame:
+    p = P.plane(spark, d, which)
+    return run(Batteries(p, {f"area {x}": area(p, queries, scale=x) for x in scales}), [s], methods, **how)
+
+
+def error_vs_weight(spark, d, which="pairs", s=2700, levels=(4, 6, 8, 10), methods=("aware", "oblivious", "wavelet", "qdigest"), queries=QUERIES, **how) -> DataFrame:
+    """Uniform-weight queries of 10 ranges, each a cell of one level: 10 / 2^level of the weight."""
+    p = P.plane(spark, d, which)
+    return run(Batteries(p, {f"level {n}": P.weight_boxes(P.weight_cells(p, n), n, queries, 10) for n in levels}), [s], methods, **how)
+
+
+def _level(ranges: int, weight: float) -> int:
+    """The level at which so many cells hold about that share of the weight."""
+    return max(0, (max(1, round(ranges / weight)) - 1).bit_length())
+
+
+def error_vs_ranges(spark, d, which="pairs", s=2700, ranges=(1, 2, 5, 10, 20, 40, 80), weight=0.12, methods=("aware", "oblivious", "wavelet"), queries=QUERIES, **how) -> DataFrame:
     """Ever more ranges of together about the same weight."""
-    return {r: compare(spark, d, which, [s], kind="weight", level=max(1, round(float(np.log2(r / weight)))), rects=r, **how)[s] for r in ranges}
+    p = P.plane(spark, d, which)
+    return run(Batteries(p, {f"ranges {r}": P.weight_boxes(P.weight_cells(p, _level(r, weight)), _level(r, weight), queries, r) for r in ranges}), [s], methods, **how)
+
+
+def guide_sweep(spark, d, which="pairs", s=1000, factors=(1, 2, 5, 10, 20), queries=QUERIES, **how) -> DataFrame:
+    p = P.plane(spark, d, which)
+    return run(Batteries(p, {"area": area(p, queries)}), [s], ("aware",), factors=factors, **how)
+
 
+def errors_of(rows: DataFrame, column: str = "abs_error") -> dict[tuple[str, str, int], float]:
+    return {(r.setting, r.method, r.s): r[column] for r in rows.collect()}
 
-def guide_sweep(spark, d, which="pairs", s=1000, factors=(1, 2, 5, 10, 20), **how):
-    return {f: compare(spark, d, which, [s], methods=("aware",), guide_factor=f, **how)[s] for f in factors}
+
+def directions(spark, d) -> list[tuple[str, bool]]:
+    """What the experiments are to show: who wins, and how the errors move."""
+    size = errors_of(error_vs_size(spark, d, "pairs", (300, 1000), ("aware", "oblivious", "qdigest", "sketch"), seeds=3))
+    ranges = errors_of(error_vs_ranges(spark, d, "pairs", 1000, (1, 40), methods=("aware", "oblivious"), seeds=4))
+    weight = error_vs_weight(spark, d, "pairs", 1000, (3, 7), ("aware", "oblivious"), seeds=4)
+    absolute, relative = errors_of(weight), errors_of(weight, "rel_error")
+    guide = errors_of(guide_sweep(spark, d, "pairs", 300, (1, 5, 20), seeds=4))
+    few, many = (ranges[(f"ranges {n}", "aware", 1000)] / ranges[(f"ranges {n}", "oblivious", 1000)] for n in (1, 40))
+    return [
+        ("aware beats oblivious at both sizes", all(size[("area", "aware", s)] < size[("area", "oblivious", s)] for s in (300, 1000))),
+        ("errors fall with the size", all(size[("area", m, 1000)] < size[("area", m, 300)] for m in ("aware", "oblivious"))),
+        ("the sketch is the worst", all(size[("area", "sketch", s)] > max(size[("area", m, s)] for m in ("aware", "oblivious", "qdigest")) for s in (300, 1000))),
+        ("the gain is largest with few ranges", few < many),
+        ("aware beats oblivious on heavy queries", absolute[("level 3", "aware", 1000)] < absolute[("level 3", "oblivious", 1000)]),
+        ("relative errors fall with the weight", all(relative[("level 3", m, 1000)] < relative[("level 7", m, 1000)] for m in ("aware", "oblivious"))),
+        ("a guide beyond five times the size gains little", guide[("area", "aware x20", 300)] > 0.5 * guide[("area", "aware x5", 300)]),
+    ]
 
 
 def timed(f) -> float:
@@ -94,46 +176,49 @@ def timed(f) -> float:
     return time.perf_counter() - t
 
 
-def build_times(spark, d, sizes=(100, 1000), which="pairs") -> list[dict]:
-    """Seconds and keys a second of every builder at every size, with the work that the dyadic ones do."""
-    from rangekeep.plans.product_queries import plane
+def _full(df: DataFrame) -> None:
+    df.write.format("noop").mode("overwrite").save()
+
 
-    k, x, y, _, _, _, wide, high = plane(spark, d, which)
-    k = keep(k)
-    n, bx, by = k.count(), _bits(wide), _bits(high)
-    pts = keep(k.select(F.col(x).cast("bigint").alias("x"), F.col(y).cast("bigint").alias("y"), F.col("units").alias("w")))
-    full = lambda df: df.write.format("noop").mode("overwrite").save()
+def build_times(spark, d, sizes=(100, 1000), which="pairs", methods=("oblivious", "poisson", "aware", *ALL[2:])) -> list[dict]:
+    """Seconds and keys a second of every builder at every size; `touched` cells or coefficients of all points one by one,
+    `made` before pruning, and the bytes of the summary."""
+    p = P.plane(spark, d, which)
     out = []
     for s in sizes:
-        for m, f in {
-            "oblivious": lambda s=s: full(S.varopt(k, s).rows), "poisson": lambda s=s: full(S.poisson(k, s).rows), "aware": lambda s=s: full(T.two_pass(k, s, T.Product([x, y])).rows),
-            "wavelet": lambda s=s: full(wavelet.largest(wavelet.build(pts, "x", "y", "w", bx, by), s)), "qdigest": lambda s=s: full(qdigest.build_2d(pts, "x", "y", "w", bx, by, 1.0 / s)),
-            "sketch": lambda s=s: full(sketch.build(pts, "x", "y", "w", bx, by, s, portable=False)),
-        }.items():
-            sec = timed(f)
-            out.append({"method": m, "s": s, "sec": round(sec, 3), "keys_per_sec": round(n / sec), "touched": wavelet.contributions(n, bx, by) if m in ("wavelet", "sketch") else n})
+        for m in methods:
+            made = []
+            if m in ("oblivious", "poisson", "aware"):
+                sec, touched, made = timed(lambda m=m, s=s: _full(draw(p, s, 1, m).rows)), p.n, [s]
+            elif m == "wavelet":
+                sec = timed(lambda s=s, made=made: (made.append(keep(wavelet.build(p.points, "x", "y", "w", *p.bits))), _full(wavelet.largest(made[0], s))))
+                touched, made = wavelet.contributions(p.n, *p.bits), [made[0].count()]
+            elif m == "qdigest":
+                sec = timed(lambda s=s, made=made: made.append(keep(qdigest.build_2d(p.points, "x", "y", "w", *p.bits, 1.0 / s, p.total))))
+                touched, made = p.n * (sum(p.bits) + 1), [made[0].count()]
+            else:
+                sec = timed(lambda s=s, made=made: made.append(keep(sketch.build(p.points, "x", "y", "w", *p.bits, s, portable=False))))
+                touched, made = 3 * wavelet.contributions(p.n, *p.bits), [made[0].count()]
+            out.append({"method": m, "s": s, "sec": round(sec, 3), "keys_per_sec": round(p.n / sec), "touched": touched, "made": made[0], "bytes": M.size_bytes(min(s, made[0]))})
     return out
 
 
 def query_times(spark, d, sizes=(100, 1000), which="pairs", queries=100, rects=25) -> list[dict]:
     """Seconds for queries x rects rectangles from each summary, and from the data."""
-    from rangekeep.plans.product_queries import plane
-
-    k, x, y, ax, ay, w, wide, high = plane(spark, d, which)
-    k = keep(k)
-    frame = keep(W.frame(spark, W.uniform_area(wide, high, queries, rects, 0.1)))
-    bx, by = _bits(wide), _bits(high)
-    pts = keep(k.select(F.col(x).cast("bigint").alias("x"), F.col(y).cast("bigint").alias("y"), F.col("units").alias("w")))
-    full = lambda df: df.write.format("noop").mode("overwrite").save()
-    out = [{"method": "data", "s": len(w), "sec": round(timed(lambda: full(W.exact_boxes(k, frame, x, y, "units", max(1, wide // 64), max(1, high // 64)))), 3)}]
-    coefficients = keep(wavelet.build(pts, "x", "y", "w", bx, by))
+    p = P.plane(spark, d, which)
+    frame = keep(W.frame(spark, area(p, queries, rects, 0.1)))
+    out = [{"method": "data", "s": p.n, "sec": round(timed(lambda: _full(P.truth(p, frame))), 3)}]
+    coefficients = keep(wavelet.build(p.points, "x", "y", "w", *p.bits))
+    from rangekeep.operators import estimate as E
+
     for s in sizes:
-        for m, make in (("aware", lambda s=s: T.two_pass(k, s, T.Product([x, y]))), ("oblivious", lambda s=s: S.varopt(k, s))):
-            sm = make()
+        for m in ("aware", "oblivious"):
+            sm = draw(p, s, 1, m)
             sm = S.Summary(keep(sm.rows), sm.th, sm.seed, sm.structure)
-            out.append({"method": m, "s": s, "sec": round(timed(lambda sm=sm: full(E.estimate_boxes(sm, frame, x, y))), 3)})
-        top = keep(wavelet.largest(coefficients, s))
-        out.append({"method": "wavelet", "s": s, "sec": round(timed(lambda top=top: full(wavelet.query(top, frame, bx, by))), 3)})
+            out.append({"method": m, "s": s, "sec": round(timed(lambda sm=sm: _full(E.estimate_boxes(sm, frame, "x", "y"))), 3)})
+        top, nodes = keep(wavelet.largest(coefficients, s)), fitted_digest(p, s)
+        cells = keep(sketch.build(p.points, "x", "y", "w", *p.bits, s, portable=False))
+        out.append({"method": "wavelet", "s": s, "sec": round(timed(lambda top=top: _full(wavelet.query(top, frame, *p.bits))), 3)})
+        out.append({"method": "qdigest", "s": s, "sec": round(timed(lambda nodes=nodes: _full(qdigest.query(nodes, frame))), 3)})
+        out.append({"method": "sketch", "s": s, "sec": round(timed(lambda cells=cells, s=s: _full(sketch.query(cells, frame, *p.bits, s, portable=False))), 3)})
     return out
-
-

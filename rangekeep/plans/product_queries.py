@@ -16,6 +16,7 @@ from rangekeep.operators import twopass as T
 from rangekeep.operators.ipps import threshold, threshold_sql
 from rangekeep.operators.keys import keyed, keyed_sql
 from rangekeep.operators.product import _product, node_counts, sample_hypercube
+from rangekeep.plans import planes as P
 from rangekeep.plans import workloads as W
 from rangekeep.plans.sampling_queries import EVENT_SQL, event_set, facts_sql, key_set, key_set_sql
 from rangekeep.sources import table
@@ -162,20 +163,19 @@ def _(spark, d):
     return spark.createDataFrame([(len(n), len(set(leaf.tolist())), bool(0.3 <= half <= 0.7))], "points bigint, leaves bigint, balanced boolean")
 
 
-#: Axis bits that hold the parts and suppliers of every given scale up to 0.1; the dyadic baselines' cost follows them.
+#: Axis bits of the plane of parts by suppliers: these hold every given scale up to 0.1; larger tables take as many as their keys need.
 BX, BY = 15, 10
-#: The small plane: documents by 64 ids and 512 characters, for the digests whose steps SQL repeats.
-SX, SY = 8, 6
-SMALL_SQL = f"(SELECT (doc_id // 64) % {1 << SX} AS x, least(n_chars // 512, {(1 << SY) - 1}) AS y, sum(n_chars)::BIGINT AS w FROM documents GROUP BY 1, 2)"
+PLANE_SQL = "(SELECT l_partkey AS x, l_suppkey AS y, sum(floor(l_extendedprice * 100 + 0.5::DOUBLE)::BIGINT)::BIGINT AS w FROM lineitem GROUP BY 1, 2)"
 
 
-def small_plane(spark, d):
-    t = table(spark, d, "documents")
-    x, y = F.floor(F.col("doc_id") / 64) % (1 << SX), F.least(F.floor(F.col("n_chars") / 512), F.lit((1 << SY) - 1))
-    return t.groupBy(x.cast("bigint").alias("x"), y.cast("bigint").alias("y")).agg(F.sum("n_chars").alias("w"))
+def flat(spark, d):
+    """(points x, y, w of parts by suppliers, bits of either axis)."""
+    p = P.plane(spark, d, "pairs")
+    return p.points, max(BX, p.bits[0]), max(BY, p.bits[1])
 
 
-SMALL_BOXES = W.uniform_area(1 << SX, 1 << SY, 8, 3, 0.5, 7)
+#: Boxes over the parts and suppliers that every scale from 0.01 on has.
+PLANE_BOXES = W.uniform_area(2000, 100, 8, 3, 0.5, 7)
 
 
 def _haar_sql(src: str, bx: int, by: int) -> str:
@@ -187,18 +187,32 @@ hc AS (SELECT ix, iy, signed, CASE WHEN ix = 0 THEN {bx} ELSE {bx} - (length(bin
 hn AS (SELECT *, signed / sqrt(pow(2.0::DOUBLE, ex + ey)) AS c FROM hc)"""
 
 
-HAAR = f"WITH {_haar_sql(SMALL_SQL, SX, SY)}"
+HAAR = f"WITH {_haar_sql(PLANE_SQL, BX, BY)}"
 HAAR_TOP = HAAR + ", top AS (SELECT * FROM hn ORDER BY abs(c) DESC, ix, iy LIMIT 100)"
 
 
+def _haar(spark, d):
+    points, bx, by = flat(spark, d)
+    return wavelet.build(points, "x", "y", "w", bx, by), bx, by
+
+
 @query("haar_coeffs", HAAR + " SELECT ix, iy, signed FROM hn")
 def _(spark, d):
-    return wavelet.build(small_plane(spark, d), "x", "y", "w", SX, SY).select("ix", "iy", "signed")
+    return _haar(spark, d)[0].select("ix", "iy", "signed")
+
+
+@query("haar_top", HAAR_TOP + " SELECT ix, iy, round(c, 1) AS c FROM top")
+def _(spark, d):
+    return wavelet.largest(_haar(spark, d)[0], 100).select("ix", "iy", F.round("c", 1).alias("c"))
 
 
-@query("haar_top", HAAR_TOP + " SELECT ix, iy, round(c, 4) AS c FROM top")
+@query("haar_counters", HAAR + f" SELECT (SELECT count(*) FROM {PLANE_SQL}) * {(BX + 1) * (BY + 1)} AS touched, count(*) AS before_pruning, count(*) FILTER (ix = 0 OR iy = 0) AS on_an_edge FROM hn")
 def _(spark, d):
-    return wavelet.largest(wavelet.build(small_plane(spark, d), "x", "y", "w", SX, SY), 100).select("ix", "iy", F.round("c", 4).alias("c"))
+    """Work of the transform: coefficients touched by all points, and those that are left before pruning."""
+    points, bx, by = flat(spark, d)
+    made = wavelet.build(points, "x", "y", "w", bx, by)
+    n = points.count()
+    return made.agg(F.lit(wavelet.contributions(n, bx, by)).cast("bigint").alias("touched"), F.count("*").alias("before_pruning"), F.count_if((F.col("ix") == 0) | (F.col("iy") == 0)).alias("on_an_edge"))
 
 
 def _half_sql(i, bits, lo, hi, e):
@@ -208,38 +222,41 @@ def _half_sql(i, bits, lo, hi, e):
     return f"(CASE WHEN {i} = 0 THEN {part(start, f'{start} + {size}')} ELSE {part(start, f'{start} + {size} // 2')} - {part(f'{start} + {size} // 2', f'{start} + {size}')} END)"
 
 
-HAAR_ANSWER = f"""{HAAR_TOP}, {W.values(SMALL_BOXES)} SELECT query_id::INT AS query_id, round(sum(signed * {_half_sql('ix', SX, 'x_lo', 'x_hi', 'ex')} * {_half_sql('iy', SY, 'y_lo', 'y_hi', 'ey')} / pow(2.0::DOUBLE, ex + ey)), 3) AS est FROM top, boxes GROUP BY 1"""
+HAAR_ANSWER = f"""{HAAR_TOP}, {W.values(PLANE_BOXES)} SELECT query_id::INT AS query_id, round(sum(signed * {_half_sql('ix', BX, 'x_lo', 'x_hi', 'ex')} * {_half_sql('iy', BY, 'y_lo', 'y_hi', 'ey')} / pow(2.0::DOUBLE, ex + ey)) / 100, 0) AS est FROM top, boxes GROUP BY 1"""
+_money = lambda c: F.round(F.col(c) / 100, 0).alias(c)
 
 
 @query("haar_query", HAAR_ANSWER)
 def _(spark, d):
-    top = wavelet.largest(wavelet.build(small_plane(spark, d), "x", "y", "w", SX, SY), 100)
-    return wavelet.query(top, W.frame(spark, SMALL_BOXES), SX, SY).select("query_id", F.round("est", 3).alias("est"))
+    made, bx, by = _haar(spark, d)
+    return wavelet.query(wavelet.largest(made, 100), W.frame(spark, PLANE_BOXES), bx, by).select("query_id", _money("est"))
 
 
 @query("haar_query_dyadic", HAAR_ANSWER)
 def _(spark, d):
-    top = wavelet.largest(wavelet.build(small_plane(spark, d), "x", "y", "w", SX, SY), 100)
-    return wavelet.query(top, W.frame(spark, SMALL_BOXES), SX, SY, "dyadic").select("query_id", F.round("est", 3).alias("est"))
+    made, bx, by = _haar(spark, d)
+    return wavelet.query(wavelet.largest(made, 100), W.frame(spark, PLANE_BOXES), bx, by, "dyadic").select("query_id", _money("est"))
 
 
-EXACT_SMALL = f"WITH {W.values(SMALL_BOXES)}, p AS {SMALL_SQL} SELECT query_id::INT AS query_id, coalesce(sum(w), 0)::BIGINT AS exact FROM boxes LEFT JOIN p ON x >= x_lo AND x < x_hi AND y >= y_lo AND y < y_hi GROUP BY 1"
+EXACT_PLANE = f"WITH {W.values(PLANE_BOXES)}, p AS {PLANE_SQL} SELECT query_id::INT AS query_id, coalesce(sum(w), 0)::BIGINT AS exact FROM boxes LEFT JOIN p ON x >= x_lo AND x < x_hi AND y >= y_lo AND y < y_hi GROUP BY 1"
 
 
-@query("haar_full_equals_exact", EXACT_SMALL)
+@query("haar_full_equals_exact", EXACT_PLANE)
 def _(spark, d):
-    every = wavelet.build(small_plane(spark, d), "x", "y", "w", SX, SY)
-    return wavelet.query(every, W.frame(spark, SMALL_BOXES), SX, SY).select("query_id", F.round("est", 0).cast("bigint").alias("exact"))
+    """All coefficients that a box can feel: functions that lie wholly outside, or wholly inside, of all boxes add nothing."""
+    made, bx, by = _haar(spark, d)
+    boxes = W.frame(spark, PLANE_BOXES)
+    return wavelet.query_all(made, boxes, bx, by).select("query_id", F.round("est", 0).cast("bigint").alias("exact"))
 
 
-@query("exact_boxes", EXACT_SMALL)
+@query("exact_boxes", EXACT_PLANE)
 def _(spark, d):
-    return W.exact_boxes(small_plane(spark, d), W.frame(spark, SMALL_BOXES), "x", "y", "w")
+    return W.exact_boxes(flat(spark, d)[0], W.frame(spark, PLANE_BOXES), "x", "y", "w")
 
 
-@query("join_range_binned", EXACT_SMALL)
+@query("join_range_binned", EXACT_PLANE)
 def _(spark, d):
-    return W.exact_boxes(small_plane(spark, d), W.frame(spark, SMALL_BOXES), "x", "y", "w", 32, 16)
+    return W.exact_boxes(flat(spark, d)[0], W.frame(spark, PLANE_BOXES), "x", "y", "w", 256, 32)
 
 
 def _digest_1d_sql(src, bits, share):
@@ -269,44 +286,60 @@ def _digest_2d_sql(src, bx, by, share):
     return f"{', '.join(parts)}, q AS ({' UNION ALL '.join(out)})"
 
 
-DIGEST = f"WITH {_digest_2d_sql(SMALL_SQL, SX, SY, 0.02)}"
+DIGEST = f"WITH {_digest_2d_sql(PLANE_SQL, BX, BY, 0.02)}"
 
 
 @query("qdigest2d", DIGEST + " SELECT * FROM q")
 def _(spark, d):
-    return qdigest.build_2d(small_plane(spark, d), "x", "y", "w", SX, SY, 0.02)
+    return _digest(spark, d)
+
+
+def _digest(spark, d):
+    points, bx, by = flat(spark, d)
+    return qdigest.build_2d(points, "x", "y", "w", bx, by, 0.02)
 
 
 def _digest_answer(partial):
     ox, oy = "(least(x_hi, (x + 1) << kx) - greatest(x_lo, x << kx))", "(least(y_hi, (y + 1) << ky) - greatest(y_lo, y << ky))"
     part = f"(({ox} * {oy})::DOUBLE / ((1::BIGINT << kx) * (1::BIGINT << ky))::DOUBLE)"
     weight = {"share": part, "lower": f"(CASE WHEN {part} >= 1 THEN 1.0::DOUBLE ELSE 0.0::DOUBLE END)", "upper": "1.0::DOUBLE"}[partial]
-    return f"{DIGEST}, {W.values(SMALL_BOXES)} SELECT query_id::INT AS query_id, round(coalesce(sum(CASE WHEN {ox} > 0 AND {oy} > 0 THEN units * {weight} END), 0), 3) AS est FROM boxes, q GROUP BY 1"
+    return f"{DIGEST}, {W.values(PLANE_BOXES)} SELECT query_id::INT AS query_id, round(coalesce(sum(CASE WHEN {ox} > 0 AND {oy} > 0 THEN units * {weight} END), 0) / 100, 0) AS est FROM boxes, q GROUP BY 1"
 
 
 for _kind in ("share", "lower", "upper"):
     query("qdigest_query" if _kind == "share" else f"qdigest_query_{_kind}", _digest_answer(_kind))(
-        lambda spark, d, k=_kind: qdigest.query(qdigest.build_2d(small_plane(spark, d), "x", "y", "w", SX, SY, 0.02), W.frame(spark, SMALL_BOXES), k).select("query_id", F.round("est", 3).alias("est"))
+        lambda spark, d, k=_kind: qdigest.query(_digest(spark, d), W.frame(spark, PLANE_BOXES), k).select("query_id", _money("est"))
     )
 
 
-@query("qdigest2d_nested", f"SELECT {SX + 1}::BIGINT AS levels, (SELECT sum(w)::BIGINT FROM {SMALL_SQL}) AS mass_of_a_level")
+def _nested_sql(bx, by, share):
+    parts, out = [f"t AS (SELECT sum(w)::BIGINT AS t FROM {PLANE_SQL})", f"m0 AS (SELECT kx, x >> kx AS x, y, sum(w)::BIGINT AS units FROM {PLANE_SQL}, (SELECT unnest(range({bx + 1}))::INT AS kx) GROUP BY 1, 2, 3)"], []
+    for ky in range(by + 1):
+        out.append(f"SELECT kx, {ky} AS ky, x, y, units FROM m{ky}" + ("" if ky == by else f", t WHERE units >= {share}::DOUBLE * t"))
+        if ky < by:
+            parts.append(f"m{ky + 1} AS (SELECT kx, x, y >> 1 AS y, sum(units)::BIGINT AS units FROM m{ky}, t WHERE units < {share}::DOUBLE * t GROUP BY 1, 2, 3)")
+    return f"WITH {', '.join(parts)}, q AS ({' UNION ALL '.join(out)}) SELECT kx, ky, count(*) AS nodes, sum(units)::BIGINT AS mass, max(units)::BIGINT AS heaviest FROM q GROUP BY 1, 2"
+
+
+@query("qdigest2d_nested", _nested_sql(BX, BY, 0.02))
 def _(spark, d):
-    """Every level of the outer axis carries the whole mass once."""
-    n = qdigest.build_2d_nested(small_plane(spark, d), "x", "y", "w", SX, SY, 0.02).groupBy("kx").agg(F.sum("units").alias("m"))
-    return n.agg(F.count("*").alias("levels"), F.max("m").alias("mass_of_a_level"))
+    """Nodes, mass and heaviest node of each pair of levels; every level of the outer axis carries the whole mass once."""
+    points, bx, by = flat(spark, d)
+    n = qdigest.build_2d_nested(points, "x", "y", "w", bx, by, 0.02)
+    return n.groupBy("kx", "ky").agg(F.count("*").alias("nodes"), F.sum("units").alias("mass"), F.max("units").alias("heaviest"))
 
 
-SKETCH_S = 9 * 7 * 3 * 40
-_WIDE = sketch.width(SKETCH_S, 3, SX, SY)
+SKETCH_S = (BX + 1) * (BY + 1) * 3 * 40
+_WIDE = sketch.width(SKETCH_S, 3, BX, BY)
 _AT = ("lx", "ly", "row", "kx", "ky")
-SKETCH = f"""WITH p AS {SMALL_SQL}, r AS (SELECT lx, ly, x >> lx AS kx, y >> ly AS ky, sum(w)::BIGINT AS w FROM p, (SELECT unnest(range({SX + 1}))::INT AS lx), (SELECT unnest(range({SY + 1}))::INT AS ly) GROUP BY 1, 2, 3, 4),
+SKETCH = f"""WITH p AS {PLANE_SQL}, r AS (SELECT lx, ly, x >> lx AS kx, y >> ly AS ky, sum(w)::BIGINT AS w FROM p, (SELECT unnest(range({BX + 1}))::INT AS lx), (SELECT unnest(range({BY + 1}))::INT AS ly) GROUP BY 1, 2, 3, 4),
 c AS (SELECT lx, ly, "row", floor({uniform_sql('bucket', 1, 'lx', 'ly', '"row"', 'kx', 'ky')} * {_WIDE})::BIGINT AS bucket, sum(CASE WHEN {uniform_sql('sign', 1, 'lx', 'ly', '"row"', 'kx', 'ky')} < 0.5 THEN w ELSE -w END)::BIGINT AS counter
   FROM r, (SELECT unnest(range(3))::INT AS "row") GROUP BY 1, 2, 3, 4)"""
 
 
 def _counters(spark, d):
-    return sketch.build(small_plane(spark, d), "x", "y", "w", SX, SY, SKETCH_S)
+    points, bx, by = flat(spark, d)
+    return sketch.build(points, "x", "y", "w", bx, by, SKETCH_S)
 
 
 @query("sketch_counters", SKETCH + " SELECT * FROM c")
@@ -321,29 +354,49 @@ def _cover_sql(axis, bits):
     WHERE k << l >= {lo} AND (k + 1) << l <= {hi} AND NOT (l < {bits} AND (k >> 1) << (l + 1) >= {lo} AND ((k >> 1) + 1) << (l + 1) <= {hi})"""
 
 
-PIECES = f"bx AS ({_cover_sql('x', SX)}), byy AS ({_cover_sql('y', SY)}), pc AS (SELECT bx.query_id, bx.rect_id, bx.l AS lx, bx.k AS kx, byy.l AS ly, byy.k AS ky FROM bx JOIN byy USING (query_id, rect_id))"
+PIECES = f"bx AS ({_cover_sql('x', BX)}), byy AS ({_cover_sql('y', BY)}), pc AS (SELECT bx.query_id, bx.rect_id, bx.l AS lx, bx.k AS kx, byy.l AS ly, byy.k AS ky FROM bx JOIN byy USING (query_id, rect_id))"
 
 
-@query("dyadic_cover", f"WITH {W.values(SMALL_BOXES)}, {PIECES} SELECT query_id::INT AS query_id, rect_id::INT AS rect_id, lx, kx::BIGINT AS kx, ly, ky::BIGINT AS ky FROM pc")
+@query("dyadic_cover", f"WITH {W.values(PLANE_BOXES)}, {PIECES} SELECT query_id::INT AS query_id, rect_id::INT AS rect_id, lx, kx::BIGINT AS kx, ly, ky::BIGINT AS ky FROM pc")
 def _(spark, d):
-    return dyadic.pieces(W.frame(spark, SMALL_BOXES), SX, SY)
+    return dyadic.pieces(W.frame(spark, PLANE_BOXES), BX, BY)
 
 
-@query("sketch_query", f"""{SKETCH}, {W.values(SMALL_BOXES)}, {PIECES}, e AS (SELECT pc.query_id, pc.rect_id, pc.lx, pc.kx, pc.ly, pc.ky, median(coalesce(counter, 0) * s) AS m
+@query("sketch_query", f"""{SKETCH}, {W.values(PLANE_BOXES)}, {PIECES}, e AS (SELECT pc.query_id, pc.rect_id, pc.lx, pc.kx, pc.ly, pc.ky, median(coalesce(counter, 0) * s) AS m
   FROM (SELECT *, floor({uniform_sql('bucket', 1, 'lx', 'ly', '"row"', 'kx', 'ky')} * {_WIDE})::BIGINT AS bucket, CASE WHEN {uniform_sql('sign', 1, 'lx', 'ly', '"row"', 'kx', 'ky')} < 0.5 THEN 1 ELSE -1 END AS s FROM pc, (SELECT unnest(range(3))::INT AS "row")) pc
-  LEFT JOIN c ON c.lx = pc.lx AND c.ly = pc.ly AND c."row" = pc."row" AND c.bucket = pc.bucket GROUP BY 1, 2, 3, 4, 5, 6) SELECT query_id::INT AS query_id, round(sum(m), 3) AS est FROM e GROUP BY 1""")
+  LEFT JOIN c ON c.lx = pc.lx AND c.ly = pc.ly AND c."row" = pc."row" AND c.bucket = pc.bucket GROUP BY 1, 2, 3, 4, 5, 6) SELECT query_id::INT AS query_id, round(sum(m) / 100, 0) AS est FROM e GROUP BY 1""")
+def _(spark, d):
+    points, bx, by = flat(spark, d)
+    made = sketch.build(points, "x", "y", "w", bx, by, SKETCH_S)
+    return sketch.query(made, W.frame(spark, PLANE_BOXES), bx, by, SKETCH_S).select("query_id", _money("est"))
+
+
+@query("hist_grid", f"SELECT x // 256 AS gx, y // 16 AS gy, sum(w)::BIGINT AS units FROM {PLANE_SQL} GROUP BY 1, 2")
 def _(spark, d):
-    return sketch.query(_counters(spark, d), W.frame(spark, SMALL_BOXES), SX, SY, SKETCH_S).select("query_id", F.round("est", 3).alias("est"))
+    return histogram.grid(flat(spark, d)[0], "x", "y", "w", 256, 16)
 
 
-@query("hist_grid", f"SELECT x // 16 AS gx, y // 8 AS gy, sum(w)::BIGINT AS units FROM {SMALL_SQL} GROUP BY 1, 2")
+HIST_ANSWER = f"""WITH {W.values(PLANE_BOXES)}, g AS (SELECT x // 256 AS gx, y // 16 AS gy, sum(w)::BIGINT AS units FROM {PLANE_SQL} GROUP BY 1, 2)
+SELECT query_id::INT AS query_id, round(coalesce(sum(CASE WHEN ox > 0 AND oy > 0 THEN units * (ox * oy) / 4096.0::DOUBLE END), 0) / 100, 0) AS est FROM (SELECT query_id, units,
+least(x_hi, (gx + 1) * 256) - greatest(x_lo, gx * 256) AS ox, least(y_hi, (gy + 1) * 16) - greatest(y_lo, gy * 16) AS oy FROM boxes, g) GROUP BY 1"""
+
+
+@query("hist_query", HIST_ANSWER)
 def _(spark, d):
-    return histogram.grid(small_plane(spark, d), "x", "y", "w", 16, 8)
+    return histogram.query(histogram.grid(flat(spark, d)[0], "x", "y", "w", 256, 16), W.frame(spark, PLANE_BOXES), 256, 16).select("query_id", _money("est"))
 
 
-@query("hist_equidepth", f"SELECT sum(w)::BIGINT AS units FROM {SMALL_SQL}")
+@query("hist_equidepth", f"SELECT axis, 4::BIGINT AS strips, true AS even, (SELECT sum(w)::BIGINT FROM {PLANE_SQL}) AS units FROM (SELECT unnest(['gx', 'gy']) AS axis)")
 def _(spark, d):
-    return histogram.equidepth(small_plane(spark, d), "x", "y", "w", 4).agg(F.sum("units").alias("units"))
+    """Strips of either axis at approximate quartiles of the points: each holds about a quarter of them."""
+    cells = keep(histogram.equidepth(flat(spark, d)[0], "x", "y", "w", 4))
+    out = None
+    for axis in ("gx", "gy"):
+        strips = cells.groupBy(axis).agg(F.sum("points").alias("n"), F.sum("units").alias("u"))
+        share = F.max("n") / F.sum("n")
+        part = strips.agg(F.lit(axis).alias("axis"), F.count("*").alias("strips"), ((share < 0.30) & (F.min("n") / F.sum("n") > 0.20)).alias("even"), F.sum("u").cast("bigint").alias("units"))
+        out = part if out is None else out.unionByName(part)
+    return out
 
 
 # boxes answered by samples
@@ -398,29 +451,17 @@ def _(spark, d):
     return b.groupBy("query_id").agg(F.count("*").alias("rects"), F.sum((F.col("x_hi") - F.col("x_lo")) * (F.col("y_hi") - F.col("y_lo"))).alias("area")).join(clash, "query_id", "left").select("query_id", "rects", "area", F.col("clash").isNull().alias("apart"))
 
 
-def plane(spark, d, which="pairs"):
-    """(keys, x, y, arrays x, y, w, width, height): a key set and its plane on the driver, for building workloads on the given tables."""
-    if which == "pairs":
-        k, x, y = key_set(spark, d, "pairs"), *PAIR
-    elif which == "events":
-        k, x, y = event_set(spark, d).withColumn("axis", F.crc32("event_type") % 8 * 100 + F.col("code")), "axis", "user_id"
-    else:
-        k = key_set(spark, d, "docs").withColumn("axis", F.crc32(F.concat_ws("|", "lang", "source")) % 4096)
-        x, y = "axis", "doc_id"
-    t = k.select(F.col(x).cast("bigint").alias("x"), F.col(y).cast("bigint").alias("y"), "units").toPandas()
-    return k, x, y, t.x.to_numpy(), t.y.to_numpy(), t.units.to_numpy(float), int(t.x.max()) + 1, int(t.y.max()) + 1
-
-
-@query("boxes_weight_inv", "SELECT level::INT AS level, 20::BIGINT AS boxes, true AS close FROM (SELECT unnest([3, 5]) AS level)")
+@query("boxes_weight_inv", "SELECT level::INT AS level, (1::BIGINT << level) AS cells, true AS close, true AS whole FROM (SELECT unnest([3, 5]) AS level)")
 def _(spark, d):
-    """Boxes drawn among the cells of a kd level hold about 1/2^level of the weight each."""
-    k, x, y, ax, ay, w, wide, high = plane(spark, d)
+    """Cells of a kd level hold about 1/2^level of the weight each, and all of it together, counted over all keys."""
+    p = P.plane(spark, d, "pairs")
     out = []
     for level in (3, 5):
-        b = W.uniform_weight(ax, ay, w, wide, high, level, 5, 4)
-        share = [w[(ax >= r[2]) & (ax < r[3]) & (ay >= r[4]) & (ay < r[5])].sum() / w.sum() * 2**level for r in b]
-        out.append((level, len(b), bool(min(share) > 0.8 and max(share) < 1.25)))
-    return spark.createDataFrame(out, "level int, boxes bigint, close boolean")
+        cells = P.weight_cells(p, level)
+        rows = P.truth(p, W.frame(spark, [(i, 0, *map(int, c)) for i, c in enumerate(cells)])).collect()
+        share = [r.exact / p.total * 2**level for r in rows]
+        out.append((level, len(cells), bool(min(share) > 0.75 and max(share) < 1.3), sum(r.exact for r in rows) == p.total))
+    return spark.createDataFrame(out, "level int, cells bigint, close boolean, whole boolean")
 
 
 @query("subnet_traffic", f"""WITH k AS (SELECT p_brand, s_nationkey, sum(floor(l_extendedprice * 100 + 0.5::DOUBLE)::BIGINT)::BIGINT AS revenue FROM lineitem JOIN part ON l_partkey = p_partkey JOIN supplier ON l_suppkey = s_suppkey GROUP BY 1, 2) SELECT * FROM k""")
@@ -431,13 +472,47 @@ def _(spark, d):
     return rows.groupBy("p_brand", "s_nationkey").agg(F.sum(F.floor(F.col("l_extendedprice") * 100 + 0.5)).cast("bigint").alias("revenue"))
 
 
+def _subnets(spark, d):
+    return flows(spark, d).select("hk", "units", "p_brand", "s_nationkey")
+
+
+@query("subnet_estimates", f"SELECT 1000::BIGINT AS n, (SELECT sum(units)::BIGINT FROM k) AS total, true AS close FROM (SELECT 1)".replace("SELECT 1000", f"WITH {FLOWS_SQL} SELECT 1000", 1))
+def _(spark, d):
+    """The estimated side of the flows' question: revenue between brands and nations from an aware sample, off by a share that the sample's size allows."""
+    k = keep(flows(spark, d))
+    out = T.two_pass(k, 1000, T.Product(FLOW_AXES))
+    rows = keep(out.rows)
+    by = ["p_brand", "s_nationkey"]
+    both = k.groupBy(*by).agg(F.sum("units").alias("u")).join(rows.groupBy(*by).agg(F.sum("adj_weight").alias("e")), by, "left")
+    off = both.agg(F.sum(F.abs(F.coalesce("e", F.lit(0.0)) - F.col("u"))).alias("off"), F.sum("u").alias("u"))
+    facts = rows.agg(F.count("*").alias("n"), F.round(F.sum("adj_weight"), 0).cast("bigint").alias("total"))
+    return facts.join(off, F.lit(True)).select("n", "total", (F.col("off") / F.col("u") < 1.0).alias("close"))
+
+
+SUBSETS = {"flag": "l_returnflag = 'R'", "size": "p_size BETWEEN 10 AND 20", "hash": "md5(hk) < '4'"}
+
+
+@query("subset_accuracy", "SELECT unnest(['flag', 'hash', 'size']) AS subset, true AS within_bounds")
+def _(spark, d):
+    """Arbitrary subsets, by a column, a joined table and a hash, stay as good as a blind sample's: six standard errors of a Poisson sample."""
+    li, p = table(spark, d, "lineitem"), table(spark, d, "part").select("p_partkey", "p_size")
+    k = keep(keyed(li.join(p, li.l_partkey == p.p_partkey), PAIR, "l_extendedprice", 100, carry=["l_returnflag", "p_size"]))
+    out = T.two_pass(k, 1000, T.Product(PAIR))
+    rows, got = keep(out.rows), []
+    for name, where in sorted(SUBSETS.items()):
+        truth = k.where(where).agg(F.sum("units")).first()[0] or 0
+        est = rows.where(where).agg(F.sum("adj_weight")).first()[0] or 0.0
+        got.append((name, bool(abs(est - truth) <= 6 * (truth * out.th.tau) ** 0.5)))
+    return spark.createDataFrame(got, "subset string, within_bounds boolean")
+
+
 @query("accuracy_aware_vs_oblivious", "SELECT 300::INT AS s, true AS aware_is_better")
 def _(spark, d):
-    """Mean absolute error of uniform-weight queries, two-pass kd against blind sampling, over four seeds."""
-    from rangekeep.plans.experiments import compare
+    """Mean absolute error of heavy queries of one range, two-pass kd against blind sampling, over four seeds."""
+    from rangekeep.plans import experiments as X
 
-    r = compare(spark, d, "docs", [300], seeds=4, level=3, rects=1)
-    return spark.createDataFrame([(300, bool(r[300]["aware"] < r[300]["oblivious"]))], "s int, aware_is_better boolean")
+    r = X.errors_of(X.error_vs_ranges(spark, d, "pairs", 300, (1,), methods=("aware", "oblivious"), seeds=4))
+    return spark.createDataFrame([(300, bool(r[("ranges 1", "aware", 300)] < r[("ranges 1", "oblivious", 300)]))], "s int, aware_is_better boolean")
 
 
 # replicates and costs
@@ -468,34 +543,54 @@ def _(spark, d):
     return M.variance_report(e, ["source"], "e").select("source", F.round("mean", 2).alias("mean"), F.round(F.sqrt("variance"), 2).alias("sd"), "replicates")
 
 
-@query("boundary_cells", f"""WITH {W.values(SMALL_BOXES)}, c AS (SELECT x * 16 AS x0, x * 16 + 16 AS x1, y * 8 AS y0, y * 8 + 8 AS y1 FROM (SELECT unnest(range(16)) AS x), (SELECT unnest(range(8)) AS y))
+@query("boundary_cells", f"""WITH {W.values(PLANE_BOXES)}, c AS (SELECT x * 128 AS x0, x * 128 + 128 AS x1, y * 16 AS y0, y * 16 + 16 AS y1 FROM (SELECT unnest(range(16)) AS x), (SELECT unnest(range(8)) AS y))
 SELECT query_id::INT AS query_id, rect_id::INT AS rect_id, count(*) FILTER (x0 < x_hi AND x_lo < x1 AND y0 < y_hi AND y_lo < y1 AND NOT (x0 >= x_lo AND x1 <= x_hi AND y0 >= y_lo AND y1 <= y_hi)) AS cut FROM boxes, c GROUP BY 1, 2""")
 def _(spark, d):
-    x, y = F.floor(F.col("id") / 8) * 16, (F.col("id") % 8) * 8
-    cells = spark.range(128).select(x.alias("x0"), (x + 16).alias("x1"), y.alias("y0"), (y + 8).alias("y1"))
-    return M.boundary_cells(cells, W.frame(spark, SMALL_BOXES))
+    x, y = F.floor(F.col("id") / 8) * 128, (F.col("id") % 8) * 16
+    cells = spark.range(128).select(x.alias("x0"), (x + 128).alias("x1"), y.alias("y0"), (y + 16).alias("y1"))
+    return M.boundary_cells(cells, W.frame(spark, PLANE_BOXES))
 
 
-def _report(name, make):
-    """An experiment as rows (setting, method, value), for reading; its values hang on draws, so rows only."""
+@query("boundary_cells_kd", "SELECT unnest([6, 8])::INT AS level, true AS within_bound")
+def _(spark, d):
+    """Cells of a kd level over the plane that a box cuts: no more than its four sides may cross, 2 d 2^(level (d-1)/d) with some for uneven cuts."""
+    p = P.plane(spark, d, "pairs")
+    boxes, out = W.frame(spark, W.uniform_area(p.wide, p.high, 20, 5, 0.5, 11)), []
+    for level in (6, 8):
+        cells = spark.createDataFrame([tuple(map(int, c)) for c in P.weight_cells(p, level)], "x0 bigint, x1 bigint, y0 bigint, y1 bigint")
+        most = M.boundary_cells(cells, boxes).agg(F.max("cut")).first()[0]
+        out.append((level, bool(most <= M.theory(2**level, 2, 0.1)["boundary"])))
+    return spark.createDataFrame(out, "level int, within_bound boolean")
+
+
+def _costs(name, make):
+    """A cost experiment as rows (setting, measure, value), for reading; rows only, since times differ."""
 
     def run(spark, d):
-        rows = [(str(k), m, float(v)) for k, r in make(spark, d).items() for m, v in r.items()]
-        return spark.createDataFrame(rows, "setting string, method string, value double")
+        rows = [(f"{r['method']} {r['s']}", k, float(v)) for r in make(spark, d) for k, v in r.items() if k not in ("method", "s")]
+        return spark.createDataFrame(rows, "setting string, measure string, value double")
 
     query(name)(run)
 
 
 def _experiments():
+    """Each experiment with its whole battery of 50 queries and three seeds; rows only, since values hang on draws."""
     from rangekeep.plans import experiments as X
 
-    blind = ("aware", "oblivious")
-    _report("acc_vs_size", lambda s, d: X.error_vs_size(s, d, "docs", (100, 300), methods=("aware", "oblivious", "wavelet", "qdigest", "sketch"), seeds=1, queries=10))
-    _report("acc_vs_weight", lambda s, d: X.error_vs_weight(s, d, "docs", 300, (4, 6), methods=blind, seeds=1, queries=10))
-    _report("acc_vs_ranges", lambda s, d: X.error_vs_ranges(s, d, "docs", 300, (1, 10), methods=blind, seeds=1, queries=10))
-    _report("acc_vs_guide", lambda s, d: X.guide_sweep(s, d, "docs", 300, (1, 5), seeds=1, queries=10))
-    _report("cost_build", lambda s, d: {f"{r['method']} {r['s']}": {"sec": r["sec"], "keys_per_sec": r["keys_per_sec"], "touched": r["touched"]} for r in X.build_times(s, d, (100,), "docs")})
-    _report("cost_query", lambda s, d: {f"{r['method']} {r['s']}": {"sec": r["sec"]} for r in X.query_times(s, d, (100,), "docs", 20, 25)})
+    query("acc_vs_size")(lambda s, d: X.error_vs_size(s, d, "pairs"))
+    query("acc_vs_weight")(lambda s, d: X.error_vs_weight(s, d, "pairs"))
+    query("acc_vs_ranges")(lambda s, d: X.error_vs_ranges(s, d, "pairs"))
+    query("acc_vs_guide")(lambda s, d: X.guide_sweep(s, d, "pairs"))
+    query("acc_tickets_size")(lambda s, d: X.error_vs_size(s, d, "events", (0.01, 0.03, 0.1), ("aware", "oblivious", "wavelet", "qdigest")))
+    query("acc_tickets_area")(lambda s, d: X.error_vs_area(s, d, "events"))
+    query("acc_tickets_weight")(lambda s, d: X.error_vs_weight(s, d, "events", 2700, (4, 6, 8)))
+    query("acc_docs_size")(lambda s, d: X.error_vs_size(s, d, "docs", (100, 300), ("aware", "oblivious")))
+    query("acc_directions", "SELECT unnest(['aware beats oblivious at both sizes', 'errors fall with the size', 'the sketch is the worst', 'the gain is largest with few ranges', 'aware beats oblivious on heavy queries', 'relative errors fall with the weight', 'a guide beyond five times the size gains little']) AS claim, true AS holds")(
+        lambda s, d: s.createDataFrame(X.directions(s, d), "claim string, holds boolean")
+    )
+    _costs("cost_build", lambda s, d: X.build_times(s, d, (100, 1000)))
+    _costs("cost_build_tickets", lambda s, d: X.build_times(s, d, (1000,), "events", ("oblivious", "aware")))
+    _costs("cost_query", lambda s, d: X.query_times(s, d, (100, 1000)))
 
 
 _experiments()
