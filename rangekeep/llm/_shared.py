@@ -29,13 +29,15 @@ def n_words(c: Column) -> Column:
 
 
 def shared_folder(spark: SparkSession) -> str:
-    """The folder that driver and executors share: spark.checkpoint.dir, or a fresh one where that is unset."""
+    """The folder that driver and executors share: spark.checkpoint.dir; a fresh one where that is unset and they are one process."""
     sc = spark.sparkContext
     held = sc._jsc.sc().getCheckpointDir()
     if held.isDefined():
         return held.get()
-    named = spark.conf.get("spark.checkpoint.dir", None) or tempfile.mkdtemp(prefix="rangekeep-")
-    sc.setCheckpointDir(named)
+    named = spark.conf.get("spark.checkpoint.dir", None)
+    if not named and not sc.master.startswith("local"):
+        raise RuntimeError("set spark.checkpoint.dir to a folder that driver and executors share")
+    sc.setCheckpointDir(named or tempfile.mkdtemp(prefix="rangekeep-"))
     return sc._jsc.sc().getCheckpointDir().get()
 
 
@@ -75,7 +77,7 @@ def _sweep() -> None:
 
 
 #: Rows of an Arrow batch for whole texts, so that a worker's memory follows a few texts and not ten thousand.
-ARROW_ROWS = 2_000
+ARROW_ROWS = 500
 
 
 def short_batches(spark: SparkSession) -> None:
@@ -93,12 +95,36 @@ def small(df: DataFrame, most: int = BROADCAST_ROWS) -> DataFrame:
 
 def pieces(texts, most_bytes: int = 4_000_000) -> Iterator[tuple[int, int]]:
     """Index ranges of a sequence of byte strings (or None) holding about most_bytes each; a longer text is alone."""
+    return spans([len(t) if t else 0 for t in texts], most_bytes)
+
+
+def spans(lengths, most_bytes: int) -> Iterator[tuple[int, int]]:
     start = held = 0
-    for i, t in enumerate(texts):
-        n = len(t) if t else 0
+    for i, n in enumerate(lengths):
         if held and held + n > most_bytes:
             yield start, i
             start, held = i, 0
         held += n
-    if start < len(texts):
-        yield start, len(texts)
+    if start < len(lengths):
+        yield start, len(lengths)
+
+
+def chunks(column, most_bytes: int = 2_000_000) -> Iterator[tuple[int, int, list]]:
+    """(from, to, values) of an Arrow column of byte strings, about most_bytes of them as Python values at a time."""
+    import pyarrow.compute as pc
+
+    for lo, hi in spans(pc.fill_null(pc.binary_length(column), 0).to_pylist(), most_bytes):
+        yield lo, hi, column.slice(lo, hi - lo).to_pylist()
+
+
+def trim() -> None:
+    """Give memory that is free back to the machine: a Python worker waits for its next task beside its executor."""
+    import ctypes
+    import gc
+
+    import pyarrow as pa
+
+    gc.collect()
+    pa.default_memory_pool().release_unused()
+    if hasattr(libc := ctypes.CDLL(None), "malloc_trim"):
+        libc.malloc_trim(0)

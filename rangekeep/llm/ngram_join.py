@@ -37,7 +37,7 @@ from pyspark.sql import Column, DataFrame, Window
 from pyspark.sql import functions as F
 
 from rangekeep.llm._graph import components
-from rangekeep.llm._shared import forget, keep, pieces, short_batches, small
+from rangekeep.llm._shared import chunks, forget, keep, short_batches, small, trim
 
 GROWTH = 1.5
 SKETCH = 1024
@@ -61,18 +61,34 @@ class _Words(dict):
     """Word -> 64-bit hash, remembered; starts anew when it is large."""
 
     def __missing__(self, word: bytes) -> int:
-        if len(self) > 200_000:
+        if len(self) > 100_000:
             self.clear()
         self[word] = h = xxhash.xxh3_64_intdigest(word)
         return h
 
 
+#: Bytes of a text that are cut into words at a time.
+STRETCH = 1 << 18
+
+
+def _hashes(text: bytes, known: _Words) -> np.ndarray:
+    """Hashes of a text's words. bytes.lower() and split() know ASCII alone, as wanted; a long text goes stretch by stretch."""
+    out, at = [], 0
+    while at < len(text):
+        end = at + STRETCH
+        while end < len(text) and text[end] not in b" \t\n\x0b\f\r":
+            end += 1
+        found = text[at:end].lower().split()
+        out.append(np.fromiter(map(known.__getitem__, found), np.uint64, len(found)))
+        at = end
+    return out[0] if len(out) == 1 else np.concatenate(out) if out else np.zeros(0, np.uint64)
+
+
 def shingles(text: bytes | None, k: int, known: _Words) -> np.ndarray:
-    """The sorted distinct 64-bit hashes of a text's shingles. bytes.lower() and split() know ASCII alone, as wanted."""
-    found = text.lower().split() if text else []
-    if not found:
-        return np.zeros(0, np.uint64)
-    w = np.fromiter(map(known.__getitem__, found), np.uint64, len(found))
+    """The sorted distinct 64-bit hashes of a text's shingles."""
+    w = _hashes(text or b"", known)
+    if not len(w):
+        return w
     size = min(k, len(w))
     out = np.full(len(w) - size + 1, size, np.uint64)
     for j in range(size):
@@ -136,10 +152,10 @@ def _marks(k: int, num: int, den: int):
         known, edges, seen = _Words(), bands(64, num, den), set()
         none = np.zeros(0, np.uint64)
         for b in batches:
-            texts, named = b.column(1).to_pylist(), b.column(0).is_valid().to_pylist()
-            for lo, hi in pieces(texts, 8_000_000):
+            named = b.column(0).is_valid().to_pylist()
+            for lo, hi, texts in chunks(b.column(1)):
                 rows, keys = [], []
-                for t, ok in zip(texts[lo:hi], named[lo:hi], strict=True):
+                for t, ok in zip(texts, named[lo:hi], strict=True):
                     s = shingles(t, k, known)
                     mark = fingerprint(s) if len(s) else [0] * (2 + len(PARTS))
                     rows.append([len(s), *mark])
@@ -147,7 +163,7 @@ def _marks(k: int, num: int, den: int):
                     if not ok or not len(s) or node in seen:
                         keys.append(none)  # an equal set of this task has sent the same keys
                         continue
-                    if len(seen) < 100_000:
+                    if len(seen) < 50_000:
                         seen.add(node)
                     if len(s) * den >= num * edges[-1][0]:
                         edges = bands(2 * len(s), num, den)
@@ -156,19 +172,28 @@ def _marks(k: int, num: int, den: int):
                 sent = pa.ListArray.from_arrays(pa.array(ends), pa.array(np.concatenate(keys).view(np.int64)))
                 cols = np.array(rows, np.int64).T
                 yield pa.RecordBatch.from_arrays([b.column(0).slice(lo, hi - lo), *[pa.array(c) for c in cols], sent], ["id", "n", "s1", "s2", *PARTS, "keys"])
+        known.clear()
+        seen.clear()
+        trim()
 
     return run
 
 
+#: Bytes of shingle sets that a verifying task remembers.
+HELD = 1 << 23
+
+
 def _verified(k: int, num: int, den: int):
     def run(batches):
-        known, held = _Words(), {}
+        known, held, size = _Words(), {}, [0]
 
         def of(key: int, text) -> np.ndarray:
             if key not in held:
-                if len(held) > 256:
+                s = shingles(text.as_py(), k, known)
+                if size[0] + s.nbytes > HELD:
                     held.clear()
-                held[key] = shingles(text.as_py(), k, known)
+                    size[0] = 0
+                held[key], size[0] = s, size[0] + s.nbytes
             return held[key]
 
         for b in batches:
@@ -178,6 +203,9 @@ def _verified(k: int, num: int, den: int):
                 both = len(np.intersect1d(p, q, assume_unique=True))
                 ok[i] = both > 0 and den * both >= num * (len(p) + len(q) - both)
             yield pa.RecordBatch.from_arrays([c.filter(pa.array(ok)) for c in b.columns[:2]], ["a", "b"])
+        known.clear()
+        held.clear()
+        trim()
 
     return run
 

@@ -20,7 +20,7 @@ import xxhash
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from rangekeep.llm._shared import pieces, short_batches
+from rangekeep.llm._shared import chunks, pieces, short_batches, trim
 
 WORD = re.compile(r"\w+")
 BITS = 20
@@ -131,14 +131,15 @@ def _distinct_features(bits: int):
     def run(batches):
         vocabulary = Vocabulary()
         for b in batches:
-            texts = b.column(1).to_pylist()
-            for lo, hi in pieces(texts, 1_000_000):
-                doc, gram = features(texts[lo:hi], vocabulary, bits)
+            for lo, hi, texts in chunks(b.column(1), 1_000_000):
+                doc, gram = features(texts, vocabulary, bits)
                 both = _distinct((doc << bits) | gram)
                 doc, gram = both >> bits, (both & ((1 << bits) - 1)).astype(np.int32)
                 ends = np.searchsorted(doc, np.arange(hi - lo + 1)).astype(np.int32)
                 cut = pa.ListArray.from_arrays(ends, pa.array(gram))
                 yield pa.RecordBatch.from_arrays([b.column(0).slice(lo, hi - lo), b.column(2).slice(lo, hi - lo), cut], ["k", "label", "gram"])
+        vocabulary.clear()
+        trim()
 
     return run
 
@@ -178,6 +179,8 @@ def _learner(most: int, bits: int, how: dict):
             y += b.column(1).to_pylist()
         m = learn(rows, np.array(y[: len(rows)], float).clip(0, 1), bits, **how)
         yield pa.RecordBatch.from_arrays([pa.array([m.at.astype(np.int32)], pa.list_(pa.int32())), pa.array([m.weight], pa.list_(pa.float64())), pa.array([m.bias])], ["at", "weight", "bias"])
+        rows.clear()
+        trim()
 
     return run
 
@@ -196,8 +199,11 @@ def _scores(model: Model, n: int):
     def run(batches):
         vocabulary, weights = Vocabulary(), model.dense()
         for b in batches:
-            p = score_texts(b.column(n).to_pylist(), model, weights, vocabulary)
+            p = np.concatenate([np.zeros(0), *[score_texts(texts, model, weights, vocabulary) for _, _, texts in chunks(b.column(n))]])
             yield pa.RecordBatch.from_arrays([*b.columns[:n], pa.array(p)], [*b.schema.names[:n], "score"])
+        vocabulary.clear()
+        del weights
+        trim()
 
     return run
 
