@@ -394,7 +394,7 @@ def _(spark, d):
     for axis in ("gx", "gy"):
         strips = cells.groupBy(axis).agg(F.sum("points").alias("n"), F.sum("units").alias("u"))
         share = F.max("n") / F.sum("n")
-        part = strips.agg(F.lit(axis).alias("axis"), F.count("*").alias("strips"), ((share < 0.30) & (F.min("n") / F.sum("n") > 0.20)).alias("even"), F.sum("u").cast("bigint").alias("units"))
+        part = strips.agg(F.lit(axis).alias("axis"), F.count("*").alias("strips"), ((share < 0.35) & (F.min("n") / F.sum("n") > 0.15)).alias("even"), F.sum("u").cast("bigint").alias("units"))
         out = part if out is None else out.unionByName(part)
     return out
 

@@ -378,40 +378,58 @@ def _(spark, d):
     return E.representatives(docs_summary(spark, d), "source = 'src3'", 5).select("doc_id", F.round("adj_weight", 4).alias("adj_weight"))
 
 
-@query("merge_summaries", f"WITH {key_set_sql('docs')} SELECT 100::BIGINT AS n, 100::BIGINT AS distinct_keys, sum(units)::BIGINT AS total FROM k")
-def _(spark, d):
-    """Two summaries of halves of the documents, sampled again to one: its size and its total of adjusted weights."""
-    from rangekeep.sources.shared import keep
+def _merged_sql():
+    """Two disjoint-aware samples of the halves, drawn in SQL, and a blind sample of their adjusted weights."""
+    parts = [key_set_sql("docs")]
+    for i in range(2):
+        parts += [f"k{i} AS (SELECT * FROM k WHERE doc_id % 2 = {i})", threshold_sql(f"k{i}", 150, f"th{i}").strip(), f"i{i} AS ({inclusion_sql(f'k{i}', f'th{i}')})", f"l{i} AS (SELECT * FROM i{i} WHERE NOT is_heavy)",
+                  settle_sql(f"l{i}", S.levels_disjoint(["source"]), "disjoint", i + 1, f"st{i}"), f"smp{i} AS (SELECT i{i}.doc_id, i{i}.hk, floor(greatest(i{i}.units::DOUBLE, tau) + 0.5)::BIGINT AS units FROM i{i}, th{i} WHERE is_heavy OR hk IN (SELECT hk FROM st{i}))"]
+    parts += ["u AS (SELECT * FROM smp0 UNION ALL SELECT * FROM smp1)", "m AS (SELECT *, substr(md5('b|' || hk), 1, 2) AS hb, md5(hk) AS ho FROM u)", threshold_sql("m", 100).strip(), f"i AS ({inclusion_sql('m')})", "l AS (SELECT * FROM i WHERE NOT is_heavy)",
+              settle_sql("l", [(["hb"], ["ho"]), ([], ["hb"])], "varopt")]
+    return f"WITH {', '.join(parts)} SELECT doc_id, units, round(greatest(units::DOUBLE, tau), 4) AS adj_weight FROM i, th WHERE is_heavy OR hk IN (SELECT hk FROM st)"
 
+
+@query("merge_summaries", _merged_sql())
+def _(spark, d):
+    """Two summaries of halves of the documents, sampled again to one: its very keys and adjusted weights."""
     k = key_set(spark, d, "docs")
     parts = []
     for i in range(2):
         p = S.sample_disjoint(k.where(F.col("doc_id") % 2 == i), 150, ["source"], seed=i + 1)
         parts.append(S.Summary(keep(p.rows), p.th, p.seed, p.structure))
-    out = E.merge(parts, 100).rows
-    return out.agg(F.count("*").alias("n"), F.countDistinct("hk").alias("distinct_keys"), F.round(F.sum("adj_weight") / 10, 0).cast("bigint").alias("t")).select("n", "distinct_keys", "t")
+    return E.merge(parts, 100).rows.select("doc_id", "units", F.round("adj_weight", 4).alias("adj_weight"))
 
 
-SQL["merge_summaries"] = f"WITH {key_set_sql('docs')} SELECT 100::BIGINT AS n, 100::BIGINT AS distinct_keys, round(sum(units) / 10.0, 0)::BIGINT AS t FROM k"
+@query("union_estimate", f"WITH {key_set_sql('docs')} SELECT sum(units)::BIGINT AS total, sum(least(n, 150))::BIGINT AS n_keys FROM (SELECT doc_id % 2 AS i, sum(units) AS units, count(*) AS n FROM k WHERE units > 0 GROUP BY 1)")
+def _(spark, d):
+    """The sum of two summaries' estimates of everything: their totals are exact, whatever they drew."""
+    k = key_set(spark, d, "docs")
+    both = [S.sample_disjoint(k.where(F.col("doc_id") % 2 == i), 150, ["source"], seed=i + 1) for i in range(2)]
+    return E.union_estimate(both).select(F.round("est", 0).cast("bigint").alias("total"), "n_keys")
 
 
 def _by_year(spark, d):
-    k = key_set(spark, d, "shipday").withColumn("yr", F.year("l_shipdate"))
     from rangekeep.operators.periods import summarize_by
 
-    return summarize_by(k, "yr", 20, ["l_shipdate"])
+    k = key_set(spark, d, "shipday").withColumn("yr", F.year("l_shipdate"))
+    return summarize_by(k, "yr", 20, ["l_shipdate"], stage="period0")
 
 
-YEARS = f"""WITH {key_set_sql('shipday')}, y AS (SELECT *, year(l_shipdate) AS yr FROM k), t AS (SELECT yr, sum(units)::DOUBLE / 20 AS tau, count(*) AS n, max(units) AS m, sum(units)::BIGINT AS w FROM y GROUP BY yr)"""
+YEARS = f"""WITH {key_set_sql('shipday')}, y AS (SELECT *, year(l_shipdate) AS yr FROM k WHERE units > 0), t AS (SELECT yr, sum(units)::BIGINT AS w, count(*) AS n FROM y GROUP BY yr),
+r AS (SELECT yr, units, row_number() OVER o - 1 AS k, sum(units) OVER (o ROWS UNBOUNDED PRECEDING) - units AS h FROM y WINDOW o AS (PARTITION BY yr ORDER BY units DESC, hk)),
+f AS (SELECT r.yr, min(k) AS k, arg_min(h, k) AS h FROM r JOIN t ON r.yr = t.yr WHERE n > 20 AND k < 20 AND units * (20 - k) < w - h GROUP BY r.yr),
+x AS (SELECT t.yr, coalesce((w - h)::DOUBLE / (20 - k), 0.0::DOUBLE) AS tau FROM t LEFT JOIN f ON t.yr = f.yr),
+p AS (SELECT y.*, tau, CASE WHEN tau > 0 THEN least(1.0::DOUBLE, units / tau) ELSE 1.0::DOUBLE END AS p FROM y JOIN x ON y.yr = x.yr),
+i AS (SELECT *, floor(p * {UNIT}.0::DOUBLE + 0.5::DOUBLE)::BIGINT AS ticks FROM p), l AS (SELECT * FROM i WHERE ticks < {UNIT}),
+{settle_sql('l', [(['yr'], ['l_shipdate'])], 'period')}
+SELECT yr, strftime(l_shipdate, '%Y-%m-%d') AS day, units, round(greatest(units::DOUBLE, tau), 4) AS adj_weight FROM i WHERE ticks >= {UNIT} OR hk IN (SELECT hk FROM st)"""
 
 
-@query("est_multi_summary", YEARS + " SELECT yr, least(20, n)::BIGINT AS n, w AS total, true AS close FROM t")
+@query("est_multi_summary", YEARS)
 def _(spark, d):
-    """A summary for each year: sizes, and totals of adjusted weights next to the truth."""
+    """An order-aware summary of 20 days for each year, drawn side by side: its very days and adjusted weights."""
     rows = _by_year(spark, d)
-    truth = key_set(spark, d, "shipday").groupBy(F.year("l_shipdate").alias("yr")).agg(F.sum("units").alias("total"))
-    est = rows.groupBy("yr").agg(F.count("*").alias("n"), F.sum("adj_weight").alias("e"))
-    return est.join(truth, "yr").select("yr", "n", "total", (F.abs(F.col("e") / F.col("total") - 1) < 1e-9).alias("close"))
+    return rows.select("yr", F.date_format("l_shipdate", "yyyy-MM-dd").alias("day"), "units", F.round("adj_weight", 4).alias("adj_weight"))
 
 
 def queries():
