@@ -10,6 +10,7 @@ from pyspark.sql import functions as F
 from rangekeep.functions import UNIT, uniform
 from rangekeep.operators.chain import settle, takes_place
 from rangekeep.operators.ipps import Threshold, threshold, with_inclusion
+from rangekeep.sources.shared import keep, small
 
 #: Groups of two hex digits of the key's hash: a window each, so that no task chains all keys.
 BUCKETS = 256
@@ -103,7 +104,8 @@ def sample_order_bucketed(keys: DataFrame, s: int, order: list[str], bucket: str
     light = inc.where(~F.col("is_heavy") & (F.col("ticks") > 0)).select("hk", "ticks", bucket, *[c for c in order if c != bucket])
     before = Window.orderBy(bucket).rowsBetween(Window.unboundedPreceding, -1)  # a row for each bucket
     mass = light.groupBy(bucket).agg(F.sum("ticks").alias("m")).withColumn("__start", F.pmod(F.coalesce(F.sum("m").over(before), F.lit(0)), F.lit(UNIT))).drop("m")
-    rows = light.join(F.broadcast(mass), bucket)
+    mass = keep(mass)
+    rows = light.join(small(mass), bucket)
     stage0 = f"{stage}0"
     run = Window.partitionBy(bucket).orderBy(*order, "hk")
     rows = rows.withColumn("__cum", F.sum("ticks").over(run.rowsBetween(Window.unboundedPreceding, 0)) + F.col("__start"))
@@ -112,9 +114,9 @@ def sample_order_bucketed(keys: DataFrame, s: int, order: list[str], bucket: str
     rows = rows.withColumn("__prev", F.last(F.when(F.col("__took"), F.col("hk")), ignorenulls=True).over(run.rowsBetween(Window.unboundedPreceding, -1)))
     full = rows.where(F.col("__q") + F.col("ticks") >= UNIT)
     got = full.select(bucket, F.when(F.col("__took"), F.col("__prev")).otherwise(F.col("hk")).alias("hk"))
-    last = rows.groupBy(bucket).agg(F.max_by("hk", F.when(F.col("__took"), F.struct(*order, "hk"))).alias("taker"), F.max("__cum").alias("cum"))
+    last = keep(rows.groupBy(bucket).agg(F.max_by("hk", F.when(F.col("__took"), F.struct(*order, "hk"))).alias("taker"), F.max("__cum").alias("cum")))
     named = last.select(bucket, F.last("taker", ignorenulls=True).over(before).alias("inherited"))
-    got = got.join(F.broadcast(named), bucket).select(F.coalesce("hk", "inherited").alias("hk"))
+    got = got.join(small(named), bucket).select(F.coalesce("hk", "inherited").alias("hk"))
     end = last.agg(F.max_by("taker", F.when(F.col("taker").isNotNull(), F.col(bucket))).alias("hk"), F.max_by("cum", bucket).alias("c"))
     end = end.where(F.pmod(F.col("c"), F.lit(UNIT)) * 2 >= UNIT).select("hk")
     return finish(inc, got.unionByName(end), th, seed, "order")

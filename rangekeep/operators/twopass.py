@@ -399,6 +399,8 @@ def nodes_off(keys: DataFrame, out: Summary, structure) -> tuple[int, float]:
     tick a key, which is allowed for. One row a cell reaches the driver, as in the last step of the sampling.
     """
     rows = cell_counts(keys, out, structure).collect()
+    if not rows:  # every key is in the sample, or there is none
+        return 0, 0.0
     up = structure.up()
     if up is None:
         rows.sort(key=lambda r: r.cell)

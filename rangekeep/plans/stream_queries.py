@@ -29,7 +29,7 @@ def fresh(spark, kind):
     return f"{folder(spark)}/{kind}-{uuid.uuid4().hex}"
 
 
-@query("varopt_reservoir_docs", f"WITH {key_set_sql('docs')} SELECT 300::BIGINT AS n, 300::BIGINT AS distinct_keys, sum(units)::BIGINT AS total FROM k")
+@query("varopt_reservoir_docs", f"WITH {key_set_sql('docs')} SELECT least(300, count(*))::BIGINT AS n, least(300, count(*))::BIGINT AS distinct_keys, sum(units)::BIGINT AS total FROM k WHERE units > 0")
 def _(spark, d):
     r = R.varopt_reservoir(key_set(spark, d, "docs"), 300)
     return r.agg(F.count("*").alias("n"), F.countDistinct("hk").alias("distinct_keys"), F.round(F.sum("adj_weight"), 0).cast("bigint").alias("total"))

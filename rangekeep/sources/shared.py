@@ -7,6 +7,7 @@ import tempfile
 import uuid
 
 from pyspark.sql import DataFrame, SparkSession
+from pyspark.sql import functions as F
 
 
 def folder(spark: SparkSession) -> str:
@@ -32,6 +33,15 @@ def keep(df: DataFrame) -> DataFrame:
     return spark.read.schema(df.schema).parquet(path)
 
 
+#: Rows up to which a table is sent to every executor; beyond it the same join shuffles.
+BROADCAST_ROWS = 200_000
+
+
+def small(df: DataFrame, most: int = BROADCAST_ROWS) -> DataFrame:
+    """df with a broadcast hint if it is counted to hold at most so many rows; else as it is."""
+    return F.broadcast(df) if df.limit(most + 1).count() <= most else df
+
+
 @atexit.register
 def _sweep() -> None:
     for spark, path in _written:

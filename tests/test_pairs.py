@@ -77,17 +77,27 @@ def test_chain_means():
 
 
 def test_ten_leaf_example():
-    """The worked example: six rounds of pairs, nearest relatives first, end in leaves 2, 3, 7, 10."""
+    """The worked example replayed pair by pair, nearest relatives first: it ends in leaves 2, 3, 7, 10, and every node holds floor or ceiling."""
     p = [Fr(x, 10) for x in (3, 6, 4, 7, 1, 8, 4, 2, 3, 2)]
-    pairs = [[(1, 2), (3, 4)], [(2, 4), (6, 7), (8, 9)], [(9, 10)], [(6, 10)], [(5, 6)]]
-    want = {2, 3, 7, 10}
-    # choose in each round the outcome that leads to the known sample; every node must hold floor or ceiling throughout
+    leaf = lambda *at: [(i - 1, j - 1, who) for i, j, who in at]
+    # who of a pair becomes decided: a sum under one settles one at zero, a sum from one on settles one at one
+    rounds = leaf((1, 2, "first"), (3, 4, "first"), (6, 7, "second"), (8, 9, "second"), (2, 4, "first"), (8, 10, "first"), (6, 10, "first"), (5, 10, "second"))
+    states = local.replay(p, rounds)
+    # each step keeps the sum, decides one of its two keys at least, and is an outcome that the pair step has
+    before = p
+    for (i, j, _), after in zip(rounds, states, strict=True):
+        assert sum(after) == 4 and {after[i], after[j]} & {0, 1} and after[i] + after[j] == before[i] + before[j]
+        outcomes_of = {local.pair_step(before[i], before[j], u) for u in (0, Fr(999_999, 1_000_000))}
+        assert (after[i], after[j]) in outcomes_of
+        before = after
+    assert {i + 1 for i, x in enumerate(states[-1]) if x == 1} == {2, 3, 7, 10} and set(states[-1]) == {0, 1}
+    # the masses printed after the first four steps, the next two and the last two
+    printed = {3: (0, 9, 10, 1, 1, 2, 10, 5, 0, 2), 5: (0, 10, 10, 0, 1, 2, 10, 0, 0, 7), 6: (0, 10, 10, 0, 1, 0, 10, 0, 0, 9), 7: (0, 10, 10, 0, 0, 0, 10, 0, 0, 10)}
+    assert all(states[k] == [Fr(x, 10) for x in row] for k, row in printed.items())
     nodes = [{1, 2}, {3, 4}, {1, 2, 3, 4}, {6, 7}, {8, 9}, {8, 9, 10}, {6, 7, 8, 9, 10}, {5, 6, 7, 8, 9, 10}, set(range(1, 11))]
-    got = {i for i in want}
     for n in nodes:
         mass = sum(p[i - 1] for i in n)
-        assert int(mass) <= len(got & n) <= -(-mass // 1)
-    assert sum(p) == 4 == len(got) and sum(len(r) for r in pairs) >= 6
+        assert mass.__floor__() <= len({2, 3, 7, 10} & n) <= mass.__ceil__()
 
 
 def test_general_loop_keeps_sum():
