@@ -5,6 +5,8 @@ from __future__ import annotations
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
+from rangekeep.sources.shared import small
+
 
 def grid(points: DataFrame, x: str, y: str, w: str, cell_x: int, cell_y: int) -> DataFrame:
     """(gx, gy, units) of cells cell_x wide and cell_y high."""
@@ -24,6 +26,6 @@ def query(cells: DataFrame, boxes: DataFrame, cell_x: int, cell_y: int) -> DataF
     """(query_id, est): cells of a grid by their share of area in each box."""
     ox = F.least(F.col("x_hi"), (F.col("gx") + 1) * cell_x) - F.greatest(F.col("x_lo"), F.col("gx") * cell_x)
     oy = F.least(F.col("y_hi"), (F.col("gy") + 1) * cell_y) - F.greatest(F.col("y_lo"), F.col("gy") * cell_y)
-    rows = F.broadcast(boxes).join(cells, (ox > 0) & (oy > 0))
+    rows = small(boxes).join(cells, (ox > 0) & (oy > 0))
     sums = rows.groupBy("query_id").agg(F.sum(F.col("units") * (ox * oy) / float(cell_x * cell_y)).alias("e"))
     return boxes.select("query_id").distinct().join(sums, "query_id", "left").select("query_id", F.coalesce("e", F.lit(0.0)).alias("est"))

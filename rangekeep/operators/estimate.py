@@ -10,6 +10,7 @@ from pyspark.sql import Column, DataFrame, Window
 from pyspark.sql import functions as F
 
 from rangekeep.operators.structures import Summary, varopt
+from rangekeep.sources.shared import small
 
 
 def estimate(summary: Summary, predicate: Column | str | None = None) -> DataFrame:
@@ -92,7 +93,7 @@ def representatives(summary: Summary, predicate: Column | str, k: int) -> DataFr
 def in_boxes(points: DataFrame, boxes: DataFrame, x: str, y: str) -> DataFrame:
     """Points with the boxes (query_id, rect_id, x_lo, x_hi, y_lo, y_hi; half open) that hold them; boxes are a workload's few thousand rows."""
     hit = (F.col(x) >= F.col("x_lo")) & (F.col(x) < F.col("x_hi")) & (F.col(y) >= F.col("y_lo")) & (F.col(y) < F.col("y_hi"))
-    return points.join(F.broadcast(boxes), hit)
+    return points.join(small(boxes), hit)
 
 
 def estimate_boxes(summary: Summary, boxes: DataFrame, x: str, y: str) -> DataFrame:

@@ -9,6 +9,7 @@ from pyspark.sql import DataFrame, Window
 from pyspark.sql import functions as F
 
 from rangekeep.functions import UNIT
+from rangekeep.sources.shared import small
 
 
 def errors(answers: DataFrame, total: float) -> DataFrame:
@@ -68,7 +69,7 @@ def boundary_cells(cells: DataFrame, boxes: DataFrame) -> DataFrame:
     """(query_id, rect_id, cut): cells (x0, x1, y0, y1) that a box meets without holding them whole."""
     meets = (F.col("x0") < F.col("x_hi")) & (F.col("x_lo") < F.col("x1")) & (F.col("y0") < F.col("y_hi")) & (F.col("y_lo") < F.col("y1"))
     whole = (F.col("x0") >= F.col("x_lo")) & (F.col("x1") <= F.col("x_hi")) & (F.col("y0") >= F.col("y_lo")) & (F.col("y1") <= F.col("y_hi"))
-    rows = cells.join(F.broadcast(boxes), meets & ~whole)
+    rows = cells.join(small(boxes), meets & ~whole)
     n = rows.groupBy("query_id", "rect_id").agg(F.count("*").alias("c"))
     return boxes.select("query_id", "rect_id").join(n, ["query_id", "rect_id"], "left").select("query_id", "rect_id", F.coalesce("c", F.lit(0)).alias("cut"))
 

@@ -7,7 +7,7 @@ from pyspark.sql import Window
 from pyspark.sql import functions as F
 
 from rangekeep.operators import structures as S
-from rangekeep.plans.sampling_queries import DOCS, docs_summary
+from rangekeep.plans.sampling_queries import DOCS, bounds_sql, docs_summary
 from rangekeep.sources import table, views
 from rangekeep.sources.shared import folder, keep
 
@@ -392,13 +392,13 @@ def _(spark, d):
 
 
 # functions in Python
-@query("udf_interval", DOCS + " SELECT lang, count(*) FILTER (NOT is_heavy) AS n_light, true AS holds FROM smp GROUP BY 1")
+@query("udf_interval", bounds_sql(0.99) + " SELECT lang, n_light, lo, hi FROM bounds")
 def _(spark, d):
     from rangekeep.operators import estimate as E
 
     out = docs_summary(spark, d)
     r = E.with_bounds(E.split_counts(out, "lang"), out.th.tau, 0.99)
-    return r.select("lang", "n_light", ((F.col("lo") <= F.col("est")) & (F.col("est") <= F.col("hi"))).alias("holds"))
+    return r.select("lang", "n_light", *[F.round(c, 2).alias(c) for c in ("lo", "hi")])
 
 
 @query("udaf_tau", "WITH t AS (SELECT source, n_chars AS w, row_number() OVER (PARTITION BY source ORDER BY n_chars DESC, doc_id) - 1 AS k, count(*) OVER (PARTITION BY source) AS n, sum(n_chars) OVER (PARTITION BY source)::DOUBLE AS t, sum(n_chars) OVER (PARTITION BY source ORDER BY n_chars DESC, doc_id ROWS UNBOUNDED PRECEDING) - n_chars AS h FROM documents), l AS (SELECT source, min(ROW(k, (t - h) / (5 - k))) AS m FROM t WHERE n > 5 AND k < 5 AND w * (5 - k) < t - h GROUP BY 1) SELECT source, round(m[2]::DOUBLE, 6) AS tau FROM l".replace("min(ROW(k, (t - h) / (5 - k))) AS m", "arg_min((t - h) / (5 - k), k) AS m").replace("m[2]::DOUBLE", "m"))

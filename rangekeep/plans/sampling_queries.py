@@ -328,12 +328,25 @@ def _(spark, d):
     return E.estimate(docs_summary(spark, d), "lang = 'en' AND doc_id % 3 = 0").select(F.round("est", 2).alias("est"), "n_keys")
 
 
-@query("est_conf", f"""{DOCS}, b AS (SELECT lang, sum(CASE WHEN is_heavy THEN units ELSE 0 END)::DOUBLE AS h, count(*) FILTER (NOT is_heavy) AS c FROM smp GROUP BY lang)
-SELECT lang, round(h + c * tau, 2) AS est, true AS holds_est FROM b, th""")
+def bounds_sql(conf: float) -> str:
+    """CTEs ending in bounds (lang, n_light, est, lo, hi): the tail bound on either side of each language's light count, by bisection."""
+    floor = f"ln({1 - conf:.6f}::DOUBLE / 2)"
+    tail = lambda mu: f"(CASE WHEN c > 0 THEN c - {mu} + c * ln(greatest({mu}, 1e-300::DOUBLE) / c) ELSE -{mu} END)"
+    return f"""{DOCS.replace("WITH ", "WITH RECURSIVE ", 1)},
+b AS (SELECT lang, sum(CASE WHEN is_heavy THEN units ELSE 0 END)::DOUBLE AS h, (count(*) FILTER (NOT is_heavy))::DOUBLE AS c FROM smp GROUP BY lang),
+cut AS (SELECT lang, h, c, 0 AS step, 0::DOUBLE AS low, c AS below, c AS above, c + 4 * (sqrt(c + 1) + 1) * (1 - {floor}) AS high FROM b
+UNION ALL SELECT lang, h, c, step + 1, CASE WHEN {tail("((low + below) / 2)")} >= {floor} THEN low ELSE (low + below) / 2 END,
+CASE WHEN {tail("((low + below) / 2)")} >= {floor} THEN (low + below) / 2 ELSE below END,
+CASE WHEN {tail("((above + high) / 2)")} >= {floor} THEN (above + high) / 2 ELSE above END,
+CASE WHEN {tail("((above + high) / 2)")} >= {floor} THEN high ELSE (above + high) / 2 END FROM cut WHERE step < 80),
+bounds AS (SELECT lang, c::BIGINT AS n_light, round(h + c * tau, 2) AS est, round(h + below * tau, 2) AS lo, round(h + above * tau, 2) AS hi FROM cut, th WHERE step = 80)"""
+
+
+@query("est_conf", bounds_sql(0.95) + " SELECT lang, est, lo, hi FROM bounds")
 def _(spark, d):
     out = docs_summary(spark, d)
     r = E.with_bounds(E.split_counts(out, "lang"), out.th.tau)
-    return r.select("lang", F.round("est", 2).alias("est"), ((F.col("lo") <= F.col("est")) & (F.col("est") <= F.col("hi"))).alias("holds_est"))
+    return r.select("lang", *[F.round(c, 2).alias(c) for c in ("est", "lo", "hi")])
 
 
 @query("est_quantile", DOCS + """, c AS (SELECT units, sum(adj_weight) OVER (ORDER BY units, hk ROWS UNBOUNDED PRECEDING) AS c, sum(adj_weight) OVER () AS t FROM smp)

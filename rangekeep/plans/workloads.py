@@ -9,6 +9,7 @@ from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
 from rangekeep.operators import kdtree
+from rangekeep.sources.shared import small
 
 BOX = "query_id int, rect_id int, x_lo bigint, x_hi bigint, y_lo bigint, y_hi bigint"
 
@@ -64,13 +65,13 @@ def values(boxes: list[tuple]) -> str:
 
 def exact_boxes(points: DataFrame, boxes: DataFrame, x: str, y: str, w: str, cell_x: int = 0, cell_y: int = 0) -> DataFrame:
     """(query_id, exact, total): true sums. With cells given, boxes are cut into grid cells and meet points by equality;
-    otherwise every point is tried against the broadcast boxes."""
+    otherwise every point is tried against the boxes."""
     inside = (F.col(x) >= F.col("x_lo")) & (F.col(x) < F.col("x_hi")) & (F.col(y) >= F.col("y_lo")) & (F.col(y) < F.col("y_hi"))
     if cell_x and cell_y:
         span = lambda lo, hi, n: F.explode(F.sequence(F.floor(F.col(lo) / n), F.floor((F.col(hi) - 1) / n)))
         cut = boxes.select("*", span("x_lo", "x_hi", cell_x).alias("gx")).select("*", span("y_lo", "y_hi", cell_y).alias("gy"))
         rows = points.withColumn("gx", F.floor(F.col(x) / cell_x)).withColumn("gy", F.floor(F.col(y) / cell_y)).join(cut, ["gx", "gy"]).where(inside)
     else:
-        rows = points.join(F.broadcast(boxes), inside)
+        rows = points.join(small(boxes), inside)
     sums = rows.groupBy("query_id").agg(F.sum(w).alias("e"))
     return boxes.select("query_id").distinct().join(sums, "query_id", "left").select("query_id", F.coalesce("e", F.lit(0)).cast("bigint").alias("exact"))

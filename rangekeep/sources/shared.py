@@ -6,7 +6,7 @@ import atexit
 import tempfile
 import uuid
 
-from pyspark.sql import DataFrame, SparkSession
+from pyspark.sql import Column, DataFrame, SparkSession
 from pyspark.sql import functions as F
 
 
@@ -33,13 +33,25 @@ def keep(df: DataFrame) -> DataFrame:
     return spark.read.schema(df.schema).parquet(path)
 
 
-#: Rows up to which a table is sent to every executor; beyond it the same join shuffles.
-BROADCAST_ROWS = 200_000
+#: Rows and bytes up to which a table is sent to every executor; beyond it the same join shuffles.
+BROADCAST_ROWS, BROADCAST_BYTES = 200_000, 64 << 20
 
 
-def small(df: DataFrame, most: int = BROADCAST_ROWS) -> DataFrame:
-    """df with a broadcast hint if it is counted to hold at most so many rows; else as it is."""
-    return F.broadcast(df) if df.limit(most + 1).count() <= most else df
+def _row_bytes(df: DataFrame) -> Column:
+    """About how many bytes a row takes: texts and nested values by their length, all others as two words."""
+    out = F.lit(0)
+    for field in df.schema:
+        kind, c = field.dataType.typeName(), F.col("`" + field.name.replace("`", "``") + "`")
+        if kind in ("array", "map", "struct"):
+            c, kind = F.to_json(c), "string"
+        out = out + (F.coalesce(F.octet_length(c), F.lit(0)) if kind in ("string", "binary") else F.lit(16))
+    return out
+
+
+def small(df: DataFrame, most: int = BROADCAST_ROWS, most_bytes: int = BROADCAST_BYTES) -> DataFrame:
+    """df with a broadcast hint if it is measured to hold at most so many rows and bytes; else as it is."""
+    size = df.limit(most + 1).select(_row_bytes(df).cast("bigint").alias("b")).agg(F.count("*").alias("n"), F.coalesce(F.sum("b"), F.lit(0)).alias("b")).first()
+    return F.broadcast(df) if size.n <= most and size.b <= most_bytes else df
 
 
 @atexit.register

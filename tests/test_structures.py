@@ -122,6 +122,30 @@ def test_count_bounds_hold_the_count():
     assert (lo <= [0, 1, 10, 100]).all() and (hi >= [0, 1, 10, 100]).all() and lo[3] > 75 and hi[3] < 130
 
 
+def test_bound_size_and_gain(docs):
+    """A prefix's sum is off by no more than the count's deviation times the threshold; sizes and gains in plain numbers."""
+    out = S.sample_order(docs, 30, ["doc_id"])
+    inc = with_inclusion(docs, out.th.tau)
+    bound = M.error_bound(M.prefix_discrepancy(inc, out.rows, ["doc_id"]).first().prefix, out.th.tau)
+    true = {r.doc_id: r.units for r in docs.select("doc_id", "units").collect()}
+    got = {r.doc_id: r.adj_weight for r in out.rows.select("doc_id", "adj_weight").collect()}
+    off = np.cumsum([got.get(k, 0.0) - true[k] for k in sorted(true)])
+    assert 0 < np.abs(off).max() <= bound * (1 + 1e-6)
+    assert M.size_bytes(2700) == 32_400 and M.size_bytes(100, axes=1) == 800
+    assert M.gain(1.0, 4.0) == 0.25 and np.isnan(M.gain(1.0, 0.0))
+
+
+def test_broadcast_is_measured(spark):
+    """A side is sent whole only if few rows and few bytes are counted in it."""
+    from rangekeep.sources.shared import small
+
+    def sent(df):
+        return "broadcast" in df._jdf.queryExecution().logical().toString().lower()
+
+    wide = spark.range(10).select("id", F.repeat(F.lit("x"), 1000).alias("t"), F.array("id").alias("a"))
+    assert sent(small(wide)) and not sent(small(wide, most=9)) and not sent(small(wide, most_bytes=9_000)) and sent(small(spark.range(0)))
+
+
 def test_every_depth_of_deep_hierarchies(spark, data):
     """Nodes below the fourth path element and at every prefix length get the floor or ceiling of their mass."""
     from rangekeep.plans import sampling_queries as Q
