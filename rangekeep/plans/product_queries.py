@@ -20,7 +20,7 @@ from rangekeep.plans import planes as P
 from rangekeep.plans import workloads as W
 from rangekeep.plans.sampling_queries import EVENT_SQL, event_set, facts_sql, key_set, key_set_sql
 from rangekeep.sources import table
-from rangekeep.sources.shared import keep
+from rangekeep.sources.shared import keep, small
 
 QUERIES, SQL = {}, {}
 
@@ -468,7 +468,7 @@ def _(spark, d):
 def _(spark, d):
     """Revenue between a brand and a nation, the exact side of the flows' question."""
     li, p, s = (table(spark, d, t) for t in ("lineitem", "part", "supplier"))
-    rows = li.join(p, li.l_partkey == p.p_partkey).join(F.broadcast(s), li.l_suppkey == s.s_suppkey)
+    rows = li.join(p, li.l_partkey == p.p_partkey).join(small(s.select("s_suppkey", "s_nationkey")), li.l_suppkey == F.col("s_suppkey"))
     return rows.groupBy("p_brand", "s_nationkey").agg(F.sum(F.floor(F.col("l_extendedprice") * 100 + 0.5)).cast("bigint").alias("revenue"))
 
 
