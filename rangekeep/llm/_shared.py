@@ -50,11 +50,32 @@ def keep(df: DataFrame, spark: SparkSession | None = None) -> DataFrame:
     path = f"{shared_folder(spark)}/t-{uuid.uuid4().hex}"
     df.write.parquet(path)
     _written.append((spark, path))
+    free_shuffles(spark)
     out = spark.read.schema(df.schema).parquet(path)
     out._kept_at = path
     return out
 
 
+def free_shuffles(spark: SparkSession) -> None:
+    """Shuffle files go when the driver's JVM finds that no plan holds them, which on a quiet driver may be after the last job:
+    a chain of jobs would fill the disk with the sum of its shuffles instead of the largest."""
+    spark.sparkContext._jvm.System.gc()
+
+
+def written() -> int:
+    """How many tables keep() has written so far, for forget_since()."""
+    return len(_written)
+
+
+def forget_since(mark: int, *but: DataFrame) -> None:
+    """Delete the tables that keep() wrote after the mark, but for these."""
+    stay = {getattr(df, "_kept_at", None) for df in but}
+    for spark, path in _written[mark:]:
+        if path not in stay:
+            _delete(spark, path)
+    _written[mark:] = [x for x in _written[mark:] if x[1] in stay]
+
+
 def forget(*frames: DataFrame) -> None:
     """Delete tables that keep() wrote and nothing reads any more."""
     for df in frames:

@@ -37,7 +37,7 @@ from pyspark.sql import Column, DataFrame, Window
 from pyspark.sql import functions as F
 
 from rangekeep.llm._graph import components
-from rangekeep.llm._shared import chunks, forget, keep, short_batches, small, trim
+from rangekeep.llm._shared import chunks, forget, forget_since, keep, short_batches, small, trim, written
 
 GROWTH = 1.5
 SKETCH = 1024
@@ -226,6 +226,7 @@ def link(docs: DataFrame, text: str = "text", key: str = "doc_id", k: int = 5, n
     rows = docs.select(F.col(key).alias("id"), F.col(text).cast("binary").alias("t"))
     kind = docs.schema[key].dataType.simpleString()
     short_batches(docs.sparkSession)
+    mark = written()
     longs = ", ".join(f"{c} long" for c in ("n", "s1", "s2", *PARTS))
     marks = keep(rows.mapInArrow(_marks(k, num, den), f"id {kind}, {longs}, keys array<long>"))
     real = marks.where(F.col("id").isNotNull() & (F.col("n") > 0))
@@ -233,6 +234,9 @@ def link(docs: DataFrame, text: str = "text", key: str = "doc_id", k: int = 5, n
     sets = keep(real.groupBy("s1", "s2").agg(F.min("id").alias("rep"), *firsts))
 
     met = keep(_buckets(real.select(F.explode("keys").alias("key"), "s1")))
+    # the keys are most of the marks and have met
+    ids = keep(marks.select("id", "n", "s1", "s2"))
+    forget(marks)
     ends = met.select(F.explode(F.array(F.struct(F.col("lo").alias("x"), F.col("s1").alias("y")), F.struct(F.col("s1").alias("x"), F.col("hi").alias("y")))).alias("p"))
     stars = ends.select("p.x", "p.y").where("x < y").distinct()
     lean = sets.select("s1", "rep", "n", *PARTS)
@@ -277,9 +281,11 @@ def link(docs: DataFrame, text: str = "text", key: str = "doc_id", k: int = 5, n
     forget(met, open_)
 
     at = sets.join(joined, F.col("rep") == F.col("node"), "left").select("s1", "s2", F.coalesce("component", "rep").alias("component_id"))
-    out = marks.join(at, ["s1", "s2"], "left")
+    out = ids.join(at, ["s1", "s2"], "left")
     lone = F.when(F.col("id").isNotNull(), F.coalesce("component_id", "id"))
-    return out.select(F.col("id").alias(key), F.col("n").alias("n_shingles"), lone.alias("component_id"))
+    out = keep(out.select(F.col("id").alias(key), F.col("n").alias("n_shingles"), lone.alias("component_id")))
+    forget_since(mark, out)
+    return out
 
 
 def _buckets(sent: DataFrame) -> DataFrame:
