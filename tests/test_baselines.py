@@ -2,6 +2,7 @@
 
 import itertools
 
+import numpy as np
 import pytest
 from pyspark.sql import functions as F
 
@@ -76,3 +77,37 @@ def test_uniform_area_is_disjoint():
     assert len(b) == 40
     for p, q in itertools.combinations(b, 2):
         assert p[0] != q[0] or p[3] <= q[2] or q[3] <= p[2] or p[5] <= q[4] or q[5] <= p[4]
+
+
+@pytest.mark.parametrize(("bx", "by"), [(12, 4), (3, 11), (5, 5), (1, 1)])
+def test_wavelet_top_is_the_largest_of_all(spark, bx, by):
+    """Blocks on either axis, ties by number, and the count of all coefficients."""
+    rng = np.random.default_rng(bx)
+    rows = [(int(a), int(b), int(c)) for a, b, c in zip(rng.integers(0, 1 << bx, 400), rng.integers(0, 1 << by, 400), rng.integers(1, 4, 400), strict=True)]
+    points = spark.createDataFrame(rows, "x bigint, y bigint, w bigint")
+    every = wavelet.build(points, "x", "y", "w", bx, by)
+    got = wavelet.top(points, "x", "y", "w", bx, by, 60)
+    tell = lambda df: sorted((r.ix, r.iy, r.signed, r.c) for r in df.collect())
+    assert tell(got.where("ix >= 0")) == tell(wavelet.largest(every, 60))
+    assert got.where("ix < 0").first().signed == every.count()
+
+
+def test_wavelet_of_named_coefficients(spark):
+    """Only what the boxes feel is made, and answers stay those of all coefficients."""
+    points = spark.createDataFrame([(i * 37 % 256, i * 11 % 64, 1 + i % 5) for i in range(500)], "x bigint, y bigint, w bigint")
+    boxes = spark.createDataFrame([(0, 0, 3, 90, 5, 40), (1, 0, 17, 18, 0, 64)], "query_id int, rect_id int, x_lo bigint, x_hi bigint, y_lo bigint, y_hi bigint")
+    some, every = wavelet.build(points, "x", "y", "w", 8, 6, wavelet.felt(boxes, 8, 6)), wavelet.build(points, "x", "y", "w", 8, 6)
+    tell = lambda df: {r.query_id: round(r.est, 6) for r in wavelet.query_all(df, boxes, 8, 6).collect()}
+    assert tell(some) == tell(every) and some.count() < every.count()
+
+
+def test_plane_queries_keep_the_bits_of_their_sql(spark, duck, tmp_path):
+    """Keys beyond the SQL's 15 and 10 bits, as larger tables have them."""
+    from conftest import same
+
+    from rangekeep import registry
+
+    rows = [(i * 7919 % 90_000, i * 31 % 5_000, 100.0 + i % 70) for i in range(300)]
+    spark.createDataFrame(rows, "l_partkey bigint, l_suppkey bigint, l_extendedprice double").coalesce(1).write.parquet(str(tmp_path / "lineitem.parquet"))
+    for name in ("haar_coeffs", "haar_top", "haar_counters", "qdigest2d_nested", "sketch_counters", "haar_full_equals_exact"):
+        assert same(registry.queries()[name](spark, str(tmp_path)).toPandas(), duck(registry.oracle_sql()[name], tmp_path)), name
