@@ -27,7 +27,7 @@ def heavy_tables(tmp_path_factory):
     return str(d)
 
 
-@pytest.mark.parametrize("name", ["kd_custday_inv", "kd_mixed_custday_inv", "two_pass_flows", "two_pass_mixed"])
+@pytest.mark.parametrize("name", ["hier_prefix_bits", "kd_custday_inv", "kd_mixed_custday_inv", "two_pass_flows", "two_pass_mixed"])
 def test_total_is_whole(spark, duck, heavy_tables, name):
     got, want = registry.queries()[name](spark, heavy_tables).first().asDict(), duck(SQL[name], heavy_tables).iloc[0].to_dict()
     assert want["total"] > 1 << 53
