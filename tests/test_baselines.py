@@ -111,3 +111,26 @@ def test_plane_queries_keep_the_bits_of_their_sql(spark, duck, tmp_path):
     spark.createDataFrame(rows, "l_partkey bigint, l_suppkey bigint, l_extendedprice double").coalesce(1).write.parquet(str(tmp_path / "lineitem.parquet"))
     for name in ("haar_coeffs", "haar_top", "haar_counters", "qdigest2d_nested", "sketch_counters", "haar_full_equals_exact"):
         assert same(registry.queries()[name](spark, str(tmp_path)).toPandas(), duck(registry.oracle_sql()[name], tmp_path)), name
+
+
+def test_sketch_of_blocks(spark):
+    """Points of many blocks, some keys in two rows: all counters against plain hashes, none shuffled as rectangles, and boxes ask for theirs alone."""
+    import hashlib
+
+    points = [(i * 7919 % 4_000, i * 31 % 3_000, 1 + i % 5) for i in range(60)] * 2
+    s, bits, want = 3 * 13 * 13 * 4, (12, 12), {}
+    u = lambda tag, *key: int(hashlib.md5("|".join(map(str, (tag, 1, *key))).encode()).hexdigest()[:13], 16) / (1 << 52)
+    for x, y, w in points:
+        for at in ((lx, ly, row, x >> lx, y >> ly) for lx in range(13) for ly in range(13) for row in range(3)):
+            key = (*at[:3], int(u("bucket", *at) * 4))
+            want[key] = want.get(key, 0) + (w if u("sign", *at) < 0.5 else -w)
+    df = spark.createDataFrame(points, "x bigint, y bigint, w bigint")
+    every = sketch.build(df, "x", "y", "w", *bits, s)
+    # one exchange for points, one for counters
+    assert every._jdf.queryExecution().executedPlan().toString().count("Exchange") == 2
+    assert {tuple(r)[:4]: r.counter for r in every.collect()} == want
+    boxes = spark.createDataFrame([(0, 0, 100, 900, 7, 2_000), (1, 0, 2_000, 2_001, 0, 4_096)], W.BOX)
+    some = sketch.build(df, "x", "y", "w", *bits, s, boxes=boxes)
+    got = {tuple(r)[:4]: r.counter for r in some.collect()}
+    assert len(got) < len(want) and got.items() <= want.items()
+    assert answers(sketch.query(some, boxes, *bits, s)) == answers(sketch.query(every, boxes, *bits, s))
