@@ -51,3 +51,16 @@ def test_costs_are_reported(spark, data):
     bx, by = p.bits
     assert built["wavelet"]["touched"] == p.n * (bx + 1) * (by + 1) and built["aware"]["touched"] == p.n and built["aware"]["bytes"] == 240
     assert built["wavelet"]["made"] > p.n and {r["method"] for r in X.query_times(spark, data, (20,), "docs", 4, 3)} == {"data", "aware", "oblivious", "wavelet", "qdigest", "sketch"}
+
+
+def test_samples_of_a_plane_are_drawn_once(spark, data, monkeypatch):
+    """Experiments over one plane share their samples, and their errors are those of samples drawn anew."""
+    calls, draw = [], X.draw
+    monkeypatch.setattr(X, "draw", lambda p, s, seed, *how: calls.append((s, seed, *how)) or draw(p, s, seed, *how))
+    how = {"queries": 3, "seeds": 2}
+    p = P.plane(spark, data, "pairs")
+    shared = X.errors_of(X.error_vs_size(spark, data, p, (100,), ("aware", "oblivious"), **how))
+    sweep = X.errors_of(X.guide_sweep(spark, data, p, 100, (1, 5), **how))
+    assert len(calls) == len(set(calls)) == 6  # two seeds of two methods, and of the one factor that is new
+    assert shared == pytest.approx(X.errors_of(X.error_vs_size(spark, data, "pairs", (100,), ("aware", "oblivious"), **how)))
+    assert sweep[("area", "aware x5", 100)] == pytest.approx(shared[("area", "aware", 100)])
