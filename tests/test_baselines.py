@@ -134,3 +134,10 @@ def test_sketch_of_blocks(spark):
     got = {tuple(r)[:4]: r.counter for r in some.collect()}
     assert len(got) < len(want) and got.items() <= want.items()
     assert answers(sketch.query(some, boxes, *bits, s)) == answers(sketch.query(every, boxes, *bits, s))
+
+
+def test_wavelet_answers_by_equality_are_those_of_all_boxes(spark):
+    points = spark.createDataFrame([(i * 37 % 256, i * 11 % 64, 1 + i % 5) for i in range(500)], "x bigint, y bigint, w bigint")
+    boxes = spark.createDataFrame([(0, 0, 3, 90, 5, 40), (1, 0, 17, 18, 0, 64), (1, 1, 100, 256, 60, 64), (2, 0, 250, 251, 1, 2)], W.BOX)
+    some = wavelet.largest(wavelet.build(points, "x", "y", "w", 8, 6), 40)
+    assert answers(wavelet.query_all(some, boxes, 8, 6)) == pytest.approx(answers(wavelet.query(some, boxes, 8, 6)))
