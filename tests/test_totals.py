@@ -1,5 +1,7 @@
 """Totals of samples whose whole weight has more bits than a double."""
 
+from pathlib import Path
+
 import pandas as pd
 import pytest
 
@@ -32,3 +34,26 @@ def test_total_is_whole(spark, duck, heavy_tables, name):
     got, want = registry.queries()[name](spark, heavy_tables).first().asDict(), duck(SQL[name], heavy_tables).iloc[0].to_dict()
     assert want["total"] > 1 << 53
     assert {c: int(v) for c, v in got.items()} == {c: int(v) for c, v in want.items()}
+
+
+@pytest.fixture(scope="module")
+def repeated_tables(heavy_tables, tmp_path_factory):
+    """The same tables with weights of about one size that add up to those of 80 copies of sf0.1's orders and 60 of its lines."""
+    d = tmp_path_factory.mktemp("repeated")
+    for p in Path(heavy_tables).glob("*.parquet"):
+        t = pd.read_parquet(p)
+        for price, total in (("o_totalprice", 300_187_130_068_480), ("l_extendedprice", 190_627_212_741_600)):
+            if price in t:
+                units = [total // len(t) + i * 791_903 - (len(t) - 1) * 791_903 // 2 for i in range(len(t))]
+                units[0] += total - sum(units)
+                t[price] = [u / 100 for u in units]
+        t.to_parquet(d / p.name, coerce_timestamps="us")
+    return str(d)
+
+
+@pytest.mark.parametrize("name", ["hier_prefix_bits"])
+def test_total_of_equal_shares(spark, duck, repeated_tables, name):
+    """A hundred or a thousand doubles of one value drift from their sum by whole units at these totals."""
+    got, want = registry.queries()[name](spark, repeated_tables).first().asDict(), duck(SQL[name], repeated_tables).iloc[0].to_dict()
+    assert want["total"] in (300_187_130_068_480, 190_627_212_741_600) and want["heavy"] == 0
+    assert {c: int(v) for c, v in got.items()} == {c: int(v) for c, v in want.items()}
