@@ -51,7 +51,7 @@ def repeated_tables(heavy_tables, tmp_path_factory):
     return str(d)
 
 
-@pytest.mark.parametrize("name", ["kd_custday_inv", "hier_prefix_bits", "kd_mixed_custday_inv"])
+@pytest.mark.parametrize("name", ["kd_custday_inv", "hier_prefix_bits", "kd_mixed_custday_inv", "two_pass_flows"])
 def test_total_of_equal_shares(spark, duck, repeated_tables, name):
     """A hundred or a thousand doubles of one value drift from their sum by whole units at these totals."""
     got, want = registry.queries()[name](spark, repeated_tables).first().asDict(), duck(SQL[name], repeated_tables).iloc[0].to_dict()
