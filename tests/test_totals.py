@@ -57,3 +57,24 @@ def test_total_of_equal_shares(spark, duck, repeated_tables, name):
     got, want = registry.queries()[name](spark, repeated_tables).first().asDict(), duck(SQL[name], repeated_tables).iloc[0].to_dict()
     assert want["total"] in (300_187_130_068_480, 190_627_212_741_600) and want["heavy"] == 0
     assert {c: int(v) for c, v in got.items()} == {c: int(v) for c, v in want.items()}
+
+
+@pytest.fixture(scope="module", params=[3 * 10**12, 3 * 10**14])
+def even_tables(request, heavy_tables, tmp_path_factory):
+    """A hundred orders and a thousand lines of one weight beside one of a single unit: the threshold lies above the heavy ones
+    by a fraction of a unit, so that none reaches it."""
+    d = tmp_path_factory.mktemp("even")
+    for p in Path(heavy_tables).glob("*.parquet"):
+        t = pd.read_parquet(p)
+        for price, n in (("o_totalprice", 100), ("l_extendedprice", 1000)):
+            if price in t:
+                t = t.iloc[: n + 1].assign(**{price: [request.param / 100] * n + [0.01]})
+        t.to_parquet(d / p.name, coerce_timestamps="us")
+    return str(d)
+
+
+@pytest.mark.parametrize("name", ["hier_prefix_bits"])
+def test_keys_just_below_the_threshold(spark, duck, even_tables, name):
+    got, want = registry.queries()[name](spark, even_tables).first().asDict(), duck(SQL[name], even_tables).iloc[0].to_dict()
+    assert want["heavy"] == 0 and want["total"] % 100 == 1
+    assert {c: int(v) for c, v in got.items()} == {c: int(v) for c, v in want.items()}
