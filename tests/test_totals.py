@@ -73,7 +73,7 @@ def even_tables(request, heavy_tables, tmp_path_factory):
     return str(d)
 
 
-@pytest.mark.parametrize("name", ["hier_prefix_bits", "kd_custday_inv", "kd_mixed_custday_inv"])
+@pytest.mark.parametrize("name", ["hier_prefix_bits", "kd_custday_inv", "kd_mixed_custday_inv", "two_pass_flows"])
 def test_keys_just_below_the_threshold(spark, duck, even_tables, name):
     got, want = registry.queries()[name](spark, even_tables).first().asDict(), duck(SQL[name], even_tables).iloc[0].to_dict()
     assert want["heavy"] == 0 and want["total"] % 100 == 1
