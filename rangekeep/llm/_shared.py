@@ -5,7 +5,7 @@ from __future__ import annotations
 import atexit
 import tempfile
 import uuid
-from collections.abc import Iterator
+from collections.abc import Iterable, Iterator
 
 from pyspark.sql import Column, DataFrame, SparkSession
 from pyspark.sql import functions as F
@@ -46,12 +46,20 @@ _written: list[tuple[SparkSession, str]] = []
 
 def keep(df: DataFrame, spark: SparkSession | None = None) -> DataFrame:
     """Write df to the shared folder as Parquet and read it back: cuts lineage and survives lost executors."""
-    spark = spark or df.sparkSession
-    path = f"{shared_folder(spark)}/t-{uuid.uuid4().hex}"
-    df.write.parquet(path)
-    _written.append((spark, path))
-    free_shuffles(spark)
-    out = spark.read.schema(df.schema).parquet(path)
+    return keep_parts([df], spark)
+
+
+def keep_parts(parts: Iterable[DataFrame], spark: SparkSession | None = None) -> DataFrame:
+    """The rows of all parts as one kept table. They are written one after the other, so that the disk holds one part's shuffles at a time."""
+    path = schema = None
+    for df in parts:
+        spark = spark or df.sparkSession
+        if path is None:
+            path, schema = f"{shared_folder(spark)}/t-{uuid.uuid4().hex}", df.schema
+            _written.append((spark, path))
+        df.write.mode("append").parquet(path)
+        free_shuffles(spark)
+    out = spark.read.schema(schema).parquet(path)
     out._kept_at = path
     return out
 

@@ -30,6 +30,8 @@ is taken to name one text; rows that share an id come back each with the compone
 
 from __future__ import annotations
 
+from collections.abc import Iterator
+
 import numpy as np
 import pyarrow as pa
 import xxhash
@@ -37,7 +39,7 @@ from pyspark.sql import Column, DataFrame, Window
 from pyspark.sql import functions as F
 
 from rangekeep.llm._graph import components
-from rangekeep.llm._shared import chunks, forget, forget_since, keep, short_batches, small, trim, written
+from rangekeep.llm._shared import chunks, forget, forget_since, keep, keep_parts, short_batches, small, trim, written
 
 GROWTH = 1.5
 SKETCH = 1024
@@ -45,6 +47,8 @@ PARTS = [f"k{i}" for i in range(SKETCH // 64)]
 ROUNDS = 2
 #: Rows of a key among one in HOT_SHARE from which it is folded first: about half a million in all.
 HOT_SHARE, HOT = 128, 4096
+#: Sent keys that meet at a time, and the most turns that this takes. They are the largest shuffle, and a window may spill as much again.
+KEYS_AT_ONCE, TURNS = 4_000_000, 8
 #: Sets of a bucket, not connected, beyond which their sketches divide them (a million pairs are compared in no time); and the most groups that a sketch is cut into.
 MANY, GROUPS = 1000, 32
 _C1, _C2 = np.uint64(0xBF58476D1CE4E5B9), np.uint64(0x94D049BB133111EB)
@@ -233,7 +237,7 @@ def link(docs: DataFrame, text: str = "text", key: str = "doc_id", k: int = 5, n
     firsts = [F.first(c).alias(c) for c in ("n", *PARTS)]
     sets = keep(real.groupBy("s1", "s2").agg(F.min("id").alias("rep"), *firsts))
 
-    met = keep(_buckets(real.select(F.explode("keys").alias("key"), "s1")))
+    met = keep_parts(_buckets(real.select(F.explode("keys").alias("key"), "s1"), _turns(real)))
     # the keys are most of the marks and have met
     ids = keep(marks.select("id", "n", "s1", "s2"))
     forget(marks)
@@ -288,8 +292,14 @@ def link(docs: DataFrame, text: str = "text", key: str = "doc_id", k: int = 5, n
     return out
 
 
-def _buckets(sent: DataFrame) -> DataFrame:
-    """(key, s1, lo, hi): every block that two different sets sent, with the first and last of them.
+def _turns(real: DataFrame) -> int:
+    """In how many turns the sent keys meet."""
+    n = real.agg(F.sum(F.size("keys").cast("bigint"))).first()[0] or 0
+    return max(1, min(TURNS, -(-n // KEYS_AT_ONCE)))
+
+
+def _buckets(sent: DataFrame, turns: int) -> Iterator[DataFrame]:
+    """(key, s1, lo, hi): every block that two different sets sent, with the first and last of them; a part of all keys each turn.
 
     The keys go over the network once; a window spills, and a bucket has a row for each different set (and task that met it).
     """
@@ -299,12 +309,14 @@ def _buckets(sent: DataFrame) -> DataFrame:
     if hot.limit(1).count():
         cold = sent.join(small(hot), "key", "left_anti")
     of_key = Window.partitionBy("key")
-    met = cold.withColumns({"lo": F.min("s1").over(of_key), "hi": F.max("s1").over(of_key)}).where("lo < hi").distinct()
+    for turn in range(turns):
+        some = cold.where(F.pmod("key", F.lit(turns)) == turn)
+        yield some.withColumns({"lo": F.min("s1").over(of_key), "hi": F.max("s1").over(of_key)}).where("lo < hi").distinct()
     if cold is sent:
-        return met
+        return
     warm = sent.join(small(hot), "key", "left_semi").distinct()
     ends = keep(warm.groupBy("key").agg(F.min("s1").alias("lo"), F.max("s1").alias("hi")).where("lo < hi"))
-    return met.unionByName(warm.join(small(ends), "key").select("key", "s1", "lo", "hi"))
+    yield warm.join(small(ends), "key").select("key", "s1", "lo", "hi")
 
 
 def _crowded(open_: DataFrame, num: int, den: int) -> DataFrame:
