@@ -141,3 +141,20 @@ def test_wavelet_answers_by_equality_are_those_of_all_boxes(spark):
     boxes = spark.createDataFrame([(0, 0, 3, 90, 5, 40), (1, 0, 17, 18, 0, 64), (1, 1, 100, 256, 60, 64), (2, 0, 250, 251, 1, 2)], W.BOX)
     some = wavelet.largest(wavelet.build(points, "x", "y", "w", 8, 6), 40)
     assert answers(wavelet.query_all(some, boxes, 8, 6)) == pytest.approx(answers(wavelet.query(some, boxes, 8, 6)))
+
+
+def test_transform_in_parts_is_that_of_rows(spark, monkeypatch):
+    """Keys within and far beyond the bits, some in two rows, cut into many parts: every coefficient as summed row by row, points shuffled once."""
+    rng = np.random.default_rng(3)
+    rows = [(int(a), int(b), int(c)) for a, b, c in zip(rng.integers(0, 1 << rng.integers(3, 13, 300)), rng.integers(0, 1 << rng.integers(2, 9, 300)), rng.integers(-3, 4, 300), strict=True)]
+    points = spark.createDataFrame(rows + rows[:50], "x bigint, y bigint, w bigint")
+    tell = lambda df: sorted((r.ix, r.iy, r.signed, r.c) for r in df.collect())
+    for bits in ((6, 4), (4, 7), (13, 9)):
+        want = tell(wavelet._exploded(points, "x", "y", "w", *bits))
+        for share in (1 << 15, 40, 5, 1):
+            monkeypatch.setattr(wavelet, "BLOCK_POINTS", share)
+            got = wavelet.build(points, "x", "y", "w", *bits)
+            assert tell(got) == want
+        plan = got._jdf.queryExecution().optimizedPlan().toString()
+        # contributions are made of folded points alone, all others in a task's memory
+        assert plan.count("FlatMapGroupsInArrow") == 1 and plan.count("Generate explode") == 2
