@@ -158,3 +158,29 @@ def test_transform_in_parts_is_that_of_rows(spark, monkeypatch):
         plan = got._jdf.queryExecution().optimizedPlan().toString()
         # contributions are made of folded points alone, all others in a task's memory
         assert plan.count("FlatMapGroupsInArrow") == 1 and plan.count("Generate explode") == 2
+
+
+def test_nested_digest_in_stretches_is_that_of_nodes(spark, monkeypatch):
+    """Every node's digest against a plain count, with x and y beyond their bits and any width of a stretch; points are shuffled, not their copies."""
+    rng = np.random.default_rng(5)
+    rows = [(int(a), int(b), int(c)) for a, b, c in zip(rng.integers(0, 200, 300), rng.integers(0, 70, 300), rng.integers(1, 9, 300), strict=True)]
+    least, want = 0.02 * sum(r[2] for r in rows), []
+    for kx in range(7):
+        now = {}
+        for x, y, w in rows:
+            now[x >> kx, y] = now.get((x >> kx, y), 0) + w
+        for ky in range(6):
+            stay = {k: v for k, v in now.items() if ky == 5 or v >= least}
+            want += [(kx, ky, *k, v) for k, v in stay.items()]
+            up = {}
+            for (x, y), v in now.items():
+                if (x, y) not in stay:
+                    up[x, y >> 1] = up.get((x, y >> 1), 0) + v
+            now = up
+    points = spark.createDataFrame(rows, "x bigint, y bigint, w bigint")
+    for share in (1 << 15, 100, 20, 1):
+        monkeypatch.setattr(qdigest, "STRETCH_POINTS", share)
+        got = qdigest.build_2d_nested(points, "x", "y", "w", 6, 5, 0.02)
+        assert sorted(map(tuple, got.collect())) == sorted(want), share
+    monkeypatch.setattr(qdigest, "STRETCH_POINTS", 1 << 15)
+    assert "Generate" not in qdigest.build_2d_nested(points, "x", "y", "w", 6, 5, 0.02)._jdf.queryExecution().optimizedPlan().toString()
