@@ -184,3 +184,23 @@ def test_nested_digest_in_stretches_is_that_of_nodes(spark, monkeypatch):
         assert sorted(map(tuple, got.collect())) == sorted(want), share
     monkeypatch.setattr(qdigest, "STRETCH_POINTS", 1 << 15)
     assert "Generate" not in qdigest.build_2d_nested(points, "x", "y", "w", 6, 5, 0.02)._jdf.queryExecution().optimizedPlan().toString()
+
+
+def test_sketch_hashes_in_memory_are_those_of_columns(spark, monkeypatch):
+    """Rectangles of every number of digits: bucket and sign by arrays equal those of _place(), and no rectangle leaves its task."""
+    rows = [(lx, ly, row, kx, ky) for lx in (0, 9, 12) for ly in (3, 10) for row in (0, 2) for kx in (0, 7, 10, 99, 12345, 10**9 - 1, 10**10, 2**62) for ky in (0, 9, 100, 65_535, 2**33, 2**62)]
+    df = spark.createDataFrame(rows, "lx int, ly int, row int, kx bigint, ky bigint")
+    seeds = spark.range(1).select(F.xxhash64(F.lit("bucket"), F.lit(5)), F.xxhash64(F.lit("sign"), F.lit(5))).first()
+    for portable, place in ((True, sketch._portable(5)), (False, sketch._quick(*seeds))):
+        want = {tuple(r)[:5]: (r.bucket, r.sign) for r in df.withColumns(dict(zip(("bucket", "sign"), sketch._place(5, 1000, portable), strict=True))).collect()}
+        for row in (0, 2):
+            some = [r for r in rows if r[2] == row]
+            lx, ly, _, kx, ky = np.array(some, np.int64).T
+            bucket, sign = place(1000, row, lx, ly, kx, ky)
+            assert [want[r] for r in some] == list(zip(bucket.tolist(), sign.tolist(), strict=True))
+    points = spark.createDataFrame([(i * 7919 % 4_000, i * 31 % 3_000, 1 + i % 5) for i in range(200)], "x bigint, y bigint, w bigint")
+    tell = lambda **how: sorted(map(tuple, sketch.build(points, "x", "y", "w", 12, 12, 3 * 13 * 13 * 4, **how).collect()))
+    whole = tell(portable=False)
+    monkeypatch.setattr(sketch, "AT_ONCE", 100)
+    assert tell(portable=False) == whole
+    assert "Generate" not in sketch.build(points, "x", "y", "w", 12, 12, 2000)._jdf.queryExecution().optimizedPlan().toString()
