@@ -204,3 +204,10 @@ def test_sketch_hashes_in_memory_are_those_of_columns(spark, monkeypatch):
     monkeypatch.setattr(sketch, "AT_ONCE", 100)
     assert tell(portable=False) == whole
     assert "Generate" not in sketch.build(points, "x", "y", "w", 12, 12, 2000)._jdf.queryExecution().optimizedPlan().toString()
+
+
+def test_wavelet_answers_where_weight_times_area_passes_63_bits(spark):
+    points = spark.createDataFrame([(0, 0, 1 << 45), (1 << 19, 1 << 19, 1 << 44)], "x bigint, y bigint, w bigint")
+    boxes = spark.createDataFrame([(0, 0, 0, 1 << 20, 0, 1 << 20), (1, 0, 0, 1 << 19, 0, 1 << 19)], W.BOX)
+    made = wavelet.build(points, "x", "y", "w", 20, 20)
+    assert answers(wavelet.query(made, boxes, 20, 20)) == {0: 3 * 2.0**44, 1: 2.0**45}
